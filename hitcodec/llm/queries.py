@@ -9,6 +9,7 @@ from hitcodec.llm.line_dedup import line_digest
 from hitcodec.llm.media import media_digest, store_texts
 from hitcodec.llm.mixing import mix
 from hitcodec.llm.secret_scan import secret_scan
+from hitcodec.llm.toxicity import fit, score
 from hitcodec.llm.url_filter import url_filter
 from hitcodec.session import ship_package
 
@@ -22,6 +23,12 @@ def op3_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media_digest(store_texts(table(spark, sf_dir, "documents")))
 
 
+def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ship_package(spark)
+    docs = table(spark, sf_dir, "documents")
+    return score(docs, fit(docs, table(spark, sf_dir, "labels")))
+
+
 def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     ship_package(spark)
     return secret_scan(table(spark, sf_dir, "documents")).select("doc_id", "n_assign", "n_access", "n_hex", "base_sha256", "spans")
@@ -41,4 +48,4 @@ def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter(table(spark, sf_dir, "pages"), rules)
 
 
-QUERIES = {f.__name__: f for f in (op1_source_mixing, op3_media_columns, op5_secret_scan, op9_line_dedup, op10_url_filter)}
+QUERIES = {f.__name__: f for f in (op1_source_mixing, op3_media_columns, op4_toxicity, op5_secret_scan, op9_line_dedup, op10_url_filter)}
