@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from hitcodec.llm.common import table
+from hitcodec.llm.decontaminate import contaminated
 from hitcodec.llm.line_dedup import line_digest
 from hitcodec.llm.media import media_digest, store_texts
 from hitcodec.llm.mixing import mix
@@ -34,6 +35,10 @@ def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secret_scan(table(spark, sf_dir, "documents")).select("doc_id", "n_assign", "n_access", "n_hex", "base_sha256", "spans")
 
 
+def op6_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")).drop("tk")
+
+
 def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     ship_package(spark)
     return line_digest(table(spark, sf_dir, "documents"))
@@ -48,4 +53,4 @@ def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter(table(spark, sf_dir, "pages"), rules)
 
 
-QUERIES = {f.__name__: f for f in (op1_source_mixing, op3_media_columns, op4_toxicity, op5_secret_scan, op9_line_dedup, op10_url_filter)}
+QUERIES = {f.__name__: f for f in (op1_source_mixing, op3_media_columns, op4_toxicity, op5_secret_scan, op6_decontaminate, op9_line_dedup, op10_url_filter)}
