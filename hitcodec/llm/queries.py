@@ -9,6 +9,7 @@ from hitcodec.llm.decontaminate import contaminated
 from hitcodec.llm.line_dedup import line_digest
 from hitcodec.llm.media import media_digest, store_texts
 from hitcodec.llm.mixing import mix
+from hitcodec.llm.ngram_join import ngram_join
 from hitcodec.llm.secret_scan import secret_scan
 from hitcodec.llm.toxicity import fit, score
 from hitcodec.llm.url_filter import url_filter
@@ -39,6 +40,11 @@ def op6_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")).drop("tk")
 
 
+def op7_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ship_package(spark)
+    return ngram_join(table(spark, sf_dir, "documents"))
+
+
 def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     ship_package(spark)
     return line_digest(table(spark, sf_dir, "documents"))
@@ -53,4 +59,4 @@ def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter(table(spark, sf_dir, "pages"), rules)
 
 
-QUERIES = {f.__name__: f for f in (op1_source_mixing, op3_media_columns, op4_toxicity, op5_secret_scan, op6_decontaminate, op9_line_dedup, op10_url_filter)}
+QUERIES = {f.__name__: f for f in (op1_source_mixing, op3_media_columns, op4_toxicity, op5_secret_scan, op6_decontaminate, op7_ngram_join, op9_line_dedup, op10_url_filter)}
