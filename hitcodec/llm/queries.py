@@ -11,6 +11,7 @@ from hitcodec.llm.media import media_digest, store_texts
 from hitcodec.llm.mixing import mix
 from hitcodec.llm.ngram_join import ngram_join
 from hitcodec.llm.secret_scan import secret_scan
+from hitcodec.llm.token_output import token_digest
 from hitcodec.llm.toxicity import fit, score
 from hitcodec.llm.url_filter import url_filter
 from hitcodec.session import ship_package
@@ -20,6 +21,18 @@ def op1_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(table(spark, sf_dir, "documents"))
 
 
+def vocabulary_file(name: str = "byte_bpe_50k.json") -> str:
+    """The path of a public tokenizer's file."""
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
+def op2_token_output(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ship_package(spark)
+    return token_digest(table(spark, sf_dir, "documents"), vocabulary_file())
+
+
 def op3_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     ship_package(spark)
     return media_digest(store_texts(table(spark, sf_dir, "documents")))
@@ -59,4 +72,4 @@ def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter(table(spark, sf_dir, "pages"), rules)
 
 
-QUERIES = {f.__name__: f for f in (op1_source_mixing, op3_media_columns, op4_toxicity, op5_secret_scan, op6_decontaminate, op7_ngram_join, op9_line_dedup, op10_url_filter)}
+QUERIES = {f.__name__: f for f in (op1_source_mixing, op2_token_output, op3_media_columns, op4_toxicity, op5_secret_scan, op6_decontaminate, op7_ngram_join, op9_line_dedup, op10_url_filter)}
