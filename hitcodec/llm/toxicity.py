@@ -95,36 +95,33 @@ def log_ratios(rows: DataFrame, least_z: float = 4.0) -> tuple[np.ndarray, int,
             yield pa.RecordBatch.from_arrays([pa.array([k], pa.int32()), pa.array([part.tobytes()], pa.binary())], ["chunk", "counts"])
 
     kind = "chunk int, counts binary"
-    sums = rows.mapInArrow(count, kind).repartition("chunk").mapInArrow(total, kind).collect()  # a row for each chunk
-    counts, seen = np.zeros((2, 1 << BITS)), np.zeros(2, np.int64)
-    for chunk, part in sums:
-        part = np.frombuffer(part, np.int64)
-        if chunk == 0:
-            seen, part = part[:2], part[2:]
-        counts[:, chunk : chunk + CHUNK] = part.reshape(2, -1)
-    n0, n1 = int(seen[0]), int(seen[1])
-    if not n0 or not n1:
-        return np.zeros(1 << BITS), n1, n0
-    ratio = np.log((counts[1] + 0.5) / (n1 + 1)) - np.log((counts[0] + 0.5) / (n0 + 1))
-    pool = counts.sum(0) / (n0 + n1)
-    error = np.sqrt(pool * (1 - pool) * (1 / n1 + 1 / n0)) + 1e-12
-    clear = (np.abs(counts[1] / n1 - counts[0] / n0) > least_z * error) & (counts.sum(0) > 2)
-    return np.where(clear, ratio, 0.0), n1, n0
-
-
-def fit_weights(texts: list[str], y: np.ndarray, ratio: np.ndarray, rounds: int = 80, penalty: float = 1e-4) -> tuple[np.ndarray, float]:
-    """Logistic regression on present-or-not times ratio, by Adagrad over all rows."""
-    grams = Grams()
-    rows = [g[ratio[g] != 0] for g in (grams(t) for t in texts)]
-    lengths = np.array([len(r) for r in rows], np.int64)
-    flat, owner = np.concatenate(rows), np.repeat(np.arange(len(rows)), lengths)
-    x = ratio[flat]
-    x = x / np.sqrt(np.bincount(owner, x * x, len(rows)) + 1.0)[owner]
-    w, bias, past, past_bias = np.zeros(1 << BITS), 0.0, np.full(1 << BITS, 1e-8), 1e-8
+    sums = {k: part for k, part in rows.mapInArrow(count, kind).repartition("chunk").mapInArrow(total, kind).collect()}  # a row for each chunk
+    if not sums:
+        return np.zeros(1 << BITS), 0, 0
+    n0, n1 = np.frombuffer(sums[0], np.int64, 2).tolist()
+    ratio = np.zeros(1 << BITS)
+    for k in sorted(sums) if n0 and n1 else []:
+        clean, toxic = np.frombuffer(sums.pop(k), np.int64, offset=16 * (k == 0)).reshape(2, -1)
+        pool = (clean + toxic) / (n0 + n1)
+        error = np.sqrt(pool * (1 - pool) * (1 / n1 + 1 / n0)) + 1e-12
+        clear = (np.abs(toxic / n1 - clean / n0) > least_z * error) & (clean + toxic > 2)
+        ratio[k : k + CHUNK] = np.where(clear, np.log((toxic + 0.5) / (n1 + 1)) - np.log((clean + 0.5) / (n0 + 1)), 0.0)
+    return ratio, n1, n0
+
+
+def fit_weights(texts, y: np.ndarray, ratio: np.ndarray, rounds: int = 80, penalty: float = 1e-4) -> tuple[np.ndarray, float]:
+    """Logistic regression on present-or-not times ratio, by Adagrad over all rows; weights of the kept buckets in order."""
+    grams, kept = Grams(), np.flatnonzero(ratio)
+    rows = [np.searchsorted(kept, g[ratio[g] != 0]).astype(np.int32) for g in (grams(t) for t in texts)]
+    flat, owner = np.concatenate(rows), np.repeat(np.arange(len(rows), dtype=np.int32), [len(r) for r in rows])
+    x = ratio[kept][flat]
+    x /= np.sqrt(np.bincount(owner, x * x, len(rows)) + 1.0)[owner]
+    n = len(kept)
+    w, bias, past, past_bias = np.zeros(n), 0.0, np.full(n, 1e-8), 1e-8
     for _ in range(rounds):
         z = np.bincount(owner, w[flat] * x, len(rows)) + bias
         wrong = (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y) / len(rows)
-        slope = np.bincount(flat, wrong[owner] * x, 1 << BITS) + penalty * w / len(rows)
+        slope = np.bincount(flat, wrong[owner] * x, n) + penalty * w / len(rows)
         past += slope * slope
         w -= 0.5 * slope / np.sqrt(past)
         past_bias += wrong.sum() ** 2
@@ -144,7 +141,8 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = 4000, least_z: float
     """
     known = known_labels(labels)
     texts = docs.selectExpr("cast(doc_id as long) as doc_id", "text")
-    ratio, toxic, clean = log_ratios(texts.join(known, "doc_id").select("doc_id", "text", "y"), least_z)
+    # the same join at every size: both sides are dealt by doc_id, labels are never broadcast
+    ratio, toxic, clean = log_ratios(texts.join(known.hint("merge"), "doc_id").select("doc_id", "text", "y"), least_z)
     bias, kept = log_odds(toxic / max(1, toxic + clean)), np.flatnonzero(ratio)
     if not len(kept):
         return {"kept": kept, "ratio": ratio[kept], "w": ratio[kept], "bias": bias}
@@ -152,8 +150,8 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = 4000, least_z: float
     sample = F.broadcast(first(1).unionByName(first(0)))  # fit_rows rows of two numbers
     got = texts.join(sample, "doc_id").orderBy("doc_id", "text").limit(fit_rows).collect()
     y = np.array([r["y"] for r in got], np.float64)
-    w, own = fit_weights([r["text"] for r in got], y, ratio)
-    return {"kept": kept.astype(np.int32), "ratio": ratio[kept], "w": w[kept], "bias": own + bias - log_odds(float(y.mean()))}
+    w, own = fit_weights((r["text"] for r in got), y, ratio)
+    return {"kept": kept.astype(np.int32), "ratio": ratio[kept], "w": w, "bias": own + bias - log_odds(float(y.mean()))}
 
 
 class Scorer:
