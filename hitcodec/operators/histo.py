@@ -26,7 +26,7 @@ def cumulative(hist: DataFrame, keys: list[str]) -> DataFrame:
 def entropy(hist: DataFrame, keys: list[str], n: str = "n") -> DataFrame:
     """keys, total, symbols, entropy: bits a value; by log2 N - sum(n log2 n) / N, one pass."""
     total, some = F.sum(n), F.sum(F.col(n) * F.log2(n))
-    return hist.groupBy(*keys).agg(total.alias("total"), F.count(F.lit(1)).alias("symbols"), (F.log2(total) - some / total).alias("entropy"))
+    return hist.groupBy(*keys).agg(total.alias("total"), F.count(F.lit(1)).alias("symbols"), F.greatest(F.lit(0.0), F.log2(total) - some / total).alias("entropy"))
 
 
 def information(p: Column) -> Column:
