@@ -151,6 +151,29 @@ def verify(grams: list[np.ndarray], i: np.ndarray, j: np.ndarray, threshold: flo
     return keep
 
 
+class _Forest:
+    """Links seen in a task; only those that connect something new are put out. Forgets all beyond a bounded number."""
+
+    def __init__(self):
+        self.up: dict[bytes, bytes] = {}
+
+    def root(self, node: bytes) -> bytes:
+        while (up := self.up.get(node, node)) != node:
+            self.up[node] = node = self.up.get(up, up)
+        return node
+
+    def link(self, node: bytes, least: bytes, a: list, b: list) -> None:
+        if node == least:
+            return
+        x, y = self.root(node), self.root(least)
+        if x != y:
+            if len(self.up) > 500_000:
+                self.up.clear()
+                x, y = node, least
+            self.up[max(x, y)] = min(x, y)
+            a.append(max(x, y)), b.append(min(x, y))
+
+
 def _groups(batches, keys: int):
     """Runs of rows with equal first `keys` columns over sorted batches, as lists of rows."""
     last, rows = None, []
@@ -187,11 +210,11 @@ def sketches(docs: DataFrame) -> DataFrame:
 
 
 def blocks(rows: DataFrame, group: str, members: str) -> DataFrame:
-    """Rows sent to each pair of blocks (x <= y) of their group; `members` is the group's size."""
+    """Rows sent to each pair of blocks (x <= y) of their group, in order of node; `members` is the group's size."""
     n = F.ceil(F.col(members) / BLOCK).cast("int")
     at = F.pmod(F.xxhash64(F.lit(5), "node"), n).cast("int")
     rows = rows.withColumn("_at", at).withColumn("_to", F.explode(F.sequence(F.lit(0), n - 1)))
-    return rows.withColumn("x", F.least("_at", "_to")).withColumn("y", F.greatest("_at", "_to")).repartition(group, "x", "y").sortWithinPartitions(group, "x", "y")
+    return rows.withColumn("x", F.least("_at", "_to")).withColumn("y", F.greatest("_at", "_to")).repartition(group, "x", "y").sortWithinPartitions(group, "x", "y", "node")
 
 
 EDGES = "a binary, b binary"
@@ -206,7 +229,7 @@ def candidate_edges(reps: DataFrame, threshold: float, tolerance: float) -> Data
     rows = blocks(rows, "bucket", "members").select("bucket", "x", "y", F.col("_at"), "node", "sketch")
 
     def apply(batches):
-        a, b = [], []
+        a, b, forest = [], [], _Forest()
         for rows in _groups(batches, 3):
             x, y = rows[0][1], rows[0][2]
             left = [r for r in rows if r[3] == x]
@@ -217,8 +240,11 @@ def candidate_edges(reps: DataFrame, threshold: float, tolerance: float) -> Data
             i, j = surviving(sig(left), sig(right), x == y, least)
             nodes = [r[4] for r in left] + ([] if x == y else [r[4] for r in right])
             label = star_labels(len(nodes), i, j if x == y else j + len(left))
-            for k in np.flatnonzero(label != np.arange(len(nodes))):
-                a.append(nodes[k]), b.append(nodes[label[k]])
+            least_node: dict[int, bytes] = {}
+            for k, at in enumerate(label.tolist()):
+                least_node[at] = min(nodes[k], least_node.get(at, nodes[k]))
+            for k, at in enumerate(label.tolist()):
+                forest.link(nodes[k], least_node[at], a, b)
             if len(a) > 10_000:
                 yield pa.RecordBatch.from_arrays([pa.array(a, pa.binary()), pa.array(b, pa.binary())], ["a", "b"])
                 a, b = [], []
