@@ -68,8 +68,8 @@ def known_labels(labels: DataFrame) -> DataFrame:
     return known.where(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 != 0)
 
 
-def log_ratios(rows: DataFrame, least_z: float = 4.0) -> tuple[np.ndarray, int, int]:
-    """The log-count ratio of each bucket over all rows (doc_id, text, y), and the rows of both classes."""
+def log_ratios(rows: DataFrame, least_z: float = 4.0) -> tuple[np.ndarray, np.ndarray, int, int]:
+    """Kept buckets and their log-count ratios over all rows (doc_id, text, y), and the rows of both classes."""
 
     def count(batches):
         grams, counts, seen = Grams(), np.zeros((2, 1 << BITS), np.uint32), np.zeros(2, np.uint32)
@@ -79,7 +79,7 @@ def log_ratios(rows: DataFrame, least_z: float = 4.0) -> tuple[np.ndarray, int,
                 seen[int(y > 0)] += 1
         if seen.any():
             for k in range(0, 1 << BITS, CHUNK):
-                part = np.concatenate([seen, counts[:, k : k + CHUNK].ravel()]) if k == 0 else counts[:, k : k + CHUNK].ravel()
+                part = np.concatenate([seen, counts[:, k : k + CHUNK].ravel()])
                 yield pa.RecordBatch.from_arrays([pa.array([k], pa.int32()), pa.array([zlib.compress(part.tobytes(), 1)], pa.binary())], ["chunk", "counts"])
 
     def total(batches):
@@ -92,31 +92,31 @@ def log_ratios(rows: DataFrame, least_z: float = 4.0) -> tuple[np.ndarray, int,
                 else:
                     sums[k] = part.astype(np.int64)
         for k, part in sums.items():
-            yield pa.RecordBatch.from_arrays([pa.array([k], pa.int32()), pa.array([part.tobytes()], pa.binary())], ["chunk", "counts"])
-
-    kind = "chunk int, counts binary"
-    sums = {k: part for k, part in rows.mapInArrow(count, kind).repartition("chunk").mapInArrow(total, kind).collect()}  # a row for each chunk
-    if not sums:
-        return np.zeros(1 << BITS), 0, 0
-    n0, n1 = np.frombuffer(sums[0], np.int64, 2).tolist()
-    ratio = np.zeros(1 << BITS)
-    for k in sorted(sums) if n0 and n1 else []:
-        clean, toxic = np.frombuffer(sums.pop(k), np.int64, offset=16 * (k == 0)).reshape(2, -1)
-        pool = (clean + toxic) / (n0 + n1)
-        error = np.sqrt(pool * (1 - pool) * (1 / n1 + 1 / n0)) + 1e-12
-        clear = (np.abs(toxic / n1 - clean / n0) > least_z * error) & (clean + toxic > 2)
-        ratio[k : k + CHUNK] = np.where(clear, np.log((toxic + 0.5) / (n1 + 1)) - np.log((clean + 0.5) / (n0 + 1)), 0.0)
-    return ratio, n1, n0
-
-
-def fit_weights(texts, y: np.ndarray, ratio: np.ndarray, rounds: int = 80, penalty: float = 1e-4) -> tuple[np.ndarray, float]:
-    """Logistic regression on present-or-not times ratio, by Adagrad over all rows; weights of the kept buckets in order."""
-    grams, kept = Grams(), np.flatnonzero(ratio)
-    rows = [np.searchsorted(kept, g[ratio[g] != 0]).astype(np.int32) for g in (grams(t) for t in texts)]
-    flat, owner = np.concatenate(rows), np.repeat(np.arange(len(rows), dtype=np.int32), [len(r) for r in rows])
-    x = ratio[kept][flat]
+            n0, n1 = part[:2].tolist()
+            clean, toxic = part[2:].reshape(2, -1)
+            bucket, ratio = np.zeros(0, np.int64), np.zeros(0)
+            if n0 and n1:
+                pool = (clean + toxic) / (n0 + n1)
+                error = np.sqrt(pool * (1 - pool) * (1 / n1 + 1 / n0)) + 1e-12
+                bucket = np.flatnonzero((np.abs(toxic / n1 - clean / n0) > least_z * error) & (clean + toxic > 2))
+                ratio = np.log((toxic[bucket] + 0.5) / (n1 + 1)) - np.log((clean[bucket] + 0.5) / (n0 + 1))
+            if k == 0:  # the numbers of rows, once
+                yield pa.RecordBatch.from_arrays([pa.array([-1, -2], pa.int32()), pa.array([float(n1), float(n0)], pa.float64())], ["bucket", "ratio"])
+            yield pa.RecordBatch.from_arrays([pa.array(k + bucket, pa.int32()), pa.array(ratio, pa.float64())], ["bucket", "ratio"])
+
+    kept = rows.mapInArrow(count, "chunk int, counts binary").repartition("chunk").mapInArrow(total, "bucket int, ratio double")
+    got = kept.collect()  # at most a row for each bucket, some thousands in practice
+    seen = {r[0]: int(r[1]) for r in got if r[0] < 0}
+    pairs = sorted((r[0], r[1]) for r in got if r[0] >= 0)
+    return np.array([p[0] for p in pairs], np.int32), np.array([p[1] for p in pairs], np.float64), seen.get(-1, 0), seen.get(-2, 0)
+
+
+def fit_weights(rows: list[np.ndarray], y: np.ndarray, ratio: np.ndarray, rounds: int = 80, penalty: float = 1e-4) -> tuple[np.ndarray, float]:
+    """Logistic regression on present-or-not times ratio, by Adagrad over all rows (places of their kept buckets)."""
+    flat, owner = np.concatenate(rows).astype(np.int32), np.repeat(np.arange(len(rows), dtype=np.int32), [len(r) for r in rows])
+    x = ratio[flat]
     x /= np.sqrt(np.bincount(owner, x * x, len(rows)) + 1.0)[owner]
-    n = len(kept)
+    n = len(ratio)
     w, bias, past, past_bias = np.zeros(n), 0.0, np.full(n, 1e-8), 1e-8
     for _ in range(rounds):
         z = np.bincount(owner, w[flat] * x, len(rows)) + bias
@@ -142,16 +142,26 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = 4000, least_z: float
     known = known_labels(labels)
     texts = docs.selectExpr("cast(doc_id as long) as doc_id", "text")
     # the same join at every size: both sides are dealt by doc_id, labels are never broadcast
-    ratio, toxic, clean = log_ratios(texts.join(known.hint("merge"), "doc_id").select("doc_id", "text", "y"), least_z)
-    bias, kept = log_odds(toxic / max(1, toxic + clean)), np.flatnonzero(ratio)
+    kept, ratio, toxic, clean = log_ratios(texts.join(known.hint("merge"), "doc_id").select("doc_id", "text", "y"), least_z)
+    bias = log_odds(toxic / max(1, toxic + clean))
     if not len(kept):
-        return {"kept": kept, "ratio": ratio[kept], "w": ratio[kept], "bias": bias}
+        return {"kept": kept, "ratio": ratio, "w": ratio, "bias": bias}
+
+    def places(batches):
+        mask = np.zeros(1 << BITS, bool)
+        mask[kept] = True
+        for batch in batches:
+            every = (buckets(t) for t in batch.column(1).to_pylist())
+            found = [np.searchsorted(kept, np.unique(e[mask[e]])).tolist() for e in every]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(found, pa.list_(pa.int32()))], ["doc_id", "y", "found"])
+
     first = lambda y: known.where(f"y = {y}").orderBy(F.xxhash64("doc_id"), "doc_id").limit(fit_rows // 2)
     sample = F.broadcast(first(1).unionByName(first(0)))  # fit_rows rows of two numbers
-    got = texts.join(sample, "doc_id").orderBy("doc_id", "text").limit(fit_rows).collect()
+    some = texts.join(sample, "doc_id").select("doc_id", "text", "y").mapInArrow(places, "doc_id long, y int, found array<int>")
+    got = some.orderBy("doc_id", "found").limit(fit_rows).collect()
     y = np.array([r["y"] for r in got], np.float64)
-    w, own = fit_weights((r["text"] for r in got), y, ratio)
-    return {"kept": kept.astype(np.int32), "ratio": ratio[kept], "w": w, "bias": own + bias - log_odds(float(y.mean()))}
+    w, own = fit_weights([np.array(r["found"], np.int32) for r in got], y, ratio)
+    return {"kept": kept, "ratio": ratio, "w": w, "bias": own + bias - log_odds(float(y.mean()))}
 
 
 class Scorer:
