@@ -23,11 +23,11 @@ MAGIC = b"IDRC1\0\0\0"
 BLOCK = 4096
 LANES = 1024
 SINGLE, WIDE, WIDE_BITS = 512, 64, 6
-RENEW, GAIN = 64, 8
-TABLE_BITS = 12
-SCALE = 36
+RENEW, GAIN = 128, 8
+TABLE_BITS = 11
+SCALE, PART = 36, 16  # bits of the mix's and of order 0's distribution
 LOW_RANGE = np.uint64(1 << 44)
-WORD, MASK48 = np.uint64(16), np.uint64((1 << 60) - 1)
+WORD = np.uint64(16)
 START2, START1, START0, STEP = 4, 4, 8, 4
 U = np.uint64
 
@@ -35,53 +35,57 @@ U = np.uint64
 class _Model:
     """The models of all lanes; `ids` is the size of the vocabulary."""
 
-    def __init__(self, lanes: int, ids: int):
-        self.lanes, self.ids = lanes, ids
-        self.n = SINGLE + max(0, -(-(ids - SINGLE) // WIDE))
-        b = np.arange(self.n)
+    def __init__(self, lanes: int, ids: int, steps: int):
+        self.n = n = SINGLE + max(0, -(-(ids - SINGLE) // WIDE))
+        if n + GAIN * steps > 1 << PART:
+            raise ValueError("the block is too long for the vocabulary")
+        b, x = np.arange(n), np.arange(max(ids, SINGLE))
         self.start = np.where(b < SINGLE, b, SINGLE + (b - SINGLE) * WIDE).astype(np.int64)
-        self.shift = np.where(b < SINGLE, 0, WIDE_BITS).astype(np.int64)
-        self.lane = np.arange(lanes, dtype=np.int64)
-        self.at_bucket, self.at_sum = self.lane * self.n, self.lane * (self.n + 1)
-        self.at_table, self.at_mix = self.lane << TABLE_BITS, self.lane * 16
-        self.count = np.ones((lanes, self.n), np.int32)
-        self.sums = np.zeros((lanes, self.n + 1), np.int64)
+        self.bucket = np.where(x < SINGLE, x, SINGLE + (x - SINGLE) // WIDE).astype(np.int64)
+        self.place = x - self.start[self.bucket]
+        self.shift = np.where(x < SINGLE, 0, WIDE_BITS)
+        self.shift_of = np.where(b < SINGLE, 0, WIDE_BITS)
+        lane = np.arange(lanes, dtype=np.int64)
+        self.at_bucket, self.at_sum = lane * n, lane * (n + 1)
+        self.at_table, self.at_mix = lane << TABLE_BITS, lane * 48
+        self.count = np.ones((lanes, n), np.int32)
+        self.count_flat = self.count.ravel()
+        self.sums = np.zeros((lanes, n + 1), np.int32)
+        self.flat = self.sums.ravel()
         self.after2 = np.zeros(lanes << TABLE_BITS, np.int32)
         self.after1 = np.zeros(lanes << TABLE_BITS, np.int32)
-        self.right = [np.full(lanes * 16, s, np.int64) for s in (START2, START1, START0)]
+        self.right = np.tile(np.array([START2, START1, START0], np.int64), lanes * 16)
+        total = START2 + START1 + START0 + STEP * np.arange(steps + 1)
+        self.part_of = (1 << SCALE) // total  # by (total - start) / STEP
         self.p1 = np.zeros(lanes, np.int64)
-        self.p2 = np.zeros(lanes, np.int64)
-        self.keyed = self.lane << 24
+        self.h1 = np.zeros(lanes, np.int64)
         self.steps = 0
 
     def predict(self) -> None:
         """Candidates and weights of the next id."""
         if self.steps % RENEW == 0:
-            np.cumsum(self.count, axis=1, out=self.sums[:, 1:])
-            self.flat = self.sums.ravel()
-            self.total = self.sums[:, -1].copy()
-            self.keys = None
+            cum = np.cumsum(self.count, axis=1, dtype=np.int32)
+            np.multiply(cum, ((1 << PART) / cum[:, -1])[:, None], out=self.sums[:, 1:], casting="unsafe")
+            self.sums[:, -1] = 1 << PART
         mask = (1 << TABLE_BITS) - 1
-        self.i1 = self.at_table + ((self.p1 * 40503 >> 4) & mask)
-        self.i2 = self.at_table + ((self.p1 * 40503 + self.p2 * 60493 >> 5) & mask)
-        e2, e1 = self.after2[self.i2].astype(np.int64), self.after1[self.i1].astype(np.int64)
+        h1 = self.p1 * 40503
+        self.i1 = self.at_table + ((h1 >> 4) & mask)
+        self.i2 = self.at_table + ((h1 + self.h1 * 13 >> 5) & mask)
+        self.h1 = h1
+        e2, e1 = self.after2[self.i2], self.after1[self.i1]
         self.c2, self.f2, self.c1, self.f1 = e2 >> 2, e2 & 3, e1 >> 2, e1 & 3
-        self.mix = self.at_mix + self.f2 * 4 + self.f1
-        n2, n1, n0 = (r[self.mix] for r in self.right)
-        total = n2 + n1 + n0
-        self.w2, self.w1 = (n2 << SCALE) // total, (n1 << SCALE) // total
+        self.mix = self.at_mix + (self.f2 * 4 + self.f1) * 3
+        n2, n1, n0 = self.right[self.mix], self.right[self.mix + 1], self.right[self.mix + 2]
+        part = self.part_of[(n2 + n1 + n0 - (START2 + START1 + START0)) >> 2]
+        self.w2, self.w1 = n2 * part, n1 * part
         self.w0 = (1 << SCALE) - self.w2 - self.w1
 
-    def bucket(self, x: np.ndarray) -> np.ndarray:
-        return np.where(x < SINGLE, x, SINGLE + ((x - SINGLE) >> WIDE_BITS))
-
     def span(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Begin and end of an id in the weighted order-0 distribution."""
-        b = self.bucket(x)
-        at = self.at_sum + b
-        low, high = self.w0 * self.flat[at] // self.total, self.w0 * self.flat[at + 1] // self.total
-        k, s = x - self.start[b], self.shift[b]
-        return low + ((high - low) * k >> s), low + ((high - low) * (k + 1) >> s)
+        at = self.at_sum + self.bucket[x]
+        low, high = self.w0 * self.flat[at] >> PART, self.w0 * self.flat[at + 1] >> PART
+        size, k, s = high - low, self.place[x], self.shift[x]
+        return low + (size * k >> s), low + (size * (k + 1) >> s)
 
     def interval(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Begin and width of an id in the mix."""
@@ -90,57 +94,61 @@ class _Model:
         high += self.w2 * (self.c2 <= x) + self.w1 * (self.c1 <= x)
         return low, high - low
 
-    def find(self, v: np.ndarray) -> np.ndarray:
-        """The id whose interval in the mix holds v."""
+    def find(self, v: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """The id whose interval in the mix holds v, with the interval's begin and width."""
         first = self.c2 <= self.c1
-        a, b = np.where(first, self.c2, self.c1), np.where(first, self.c1, self.c2)
+        a, b = np.minimum(self.c2, self.c1), np.maximum(self.c2, self.c1)
         wa, wb = np.where(first, self.w2, self.w1), np.where(first, self.w1, self.w2)
-        one = self.c1 == self.c2
-        wa, wb = np.where(one, self.w1 + self.w2, wa), np.where(one, 0, wb)
         a_low, a_high = self.span(a)
         b_low, b_high = self.span(b)
+        one = a == b
+        # equal predictions: the second interval is the one that counts, with both weights
         a_high += wa
-        b_low, b_high = b_low + wa, b_high + wa + wb
-        is_a = (v >= a_low) & (v < a_high)
-        is_b = (v >= b_low) & (v < b_high) & ~one
-        x = np.where(is_a, a, b)
+        b_low += np.where(one, 0, wa)
+        b_high += wa + wb
+        is_b = (v >= b_low) & (v < b_high)
+        is_a = (v >= a_low) & (v < a_high) & ~is_b
+        x = np.where(is_a, a, b).astype(np.int64)
+        begin, size = np.where(is_a, a_low, b_low), np.where(is_a, a_high - a_low, b_high - b_low)
         rest = np.flatnonzero(~(is_a | is_b))
         if len(rest):
-            u = v[rest] - np.where(v[rest] >= a_high[rest], wa[rest], 0) - np.where((v[rest] >= b_high[rest]) & ~one[rest], wb[rest], 0)
-            if self.keys is None:
-                self.keys = (self.sums + self.keyed[:, None]).ravel()
-            w0, total = self.w0[rest], self.total[rest]
-            place = ((u + 1) * total - 1) // w0
-            at = np.searchsorted(self.keys, place + self.keyed[rest], "right") - 1
-            bucket = at - self.at_sum[rest]
-            low, high = w0 * self.flat[at] // total, w0 * self.flat[at + 1] // total
-            k = (((u - low + 1) << self.shift[bucket]) - 1) // (high - low)
+            vr, w0, row = v[rest], self.w0[rest], self.at_sum[rest]
+            above = np.where(vr >= a_high[rest], wa[rest], 0) + np.where(vr >= b_high[rest], wb[rest], 0)
+            u = vr - above
+            place = ((u + 1 << PART) - 1) // w0
+            bucket, step = np.zeros(len(rest), np.int64), 1 << (self.n.bit_length() - 1)
+            while step:
+                bucket += step * (self.flat[row + np.minimum(bucket + step, self.n)] <= place)
+                step >>= 1
+            at = bucket + row
+            low, high = w0 * self.flat[at] >> PART, w0 * self.flat[at + 1] >> PART
+            s = self.shift_of[bucket]
+            width = high - low
+            k = ((u - low + 1 << s) - 1) // width
             x[rest] = self.start[bucket] + k
-        return x
+            begin[rest] = low + (width * k >> s) + above
+            size[rest] = (width * (k + 1) >> s) - (width * k >> s)
+        return x, begin, size
 
     def learn(self, x: np.ndarray) -> None:
-        hit2 = x == self.c2
-        one = x == self.c1
-        hit1 = one & ~hit2
-        right = self.right
-        right[0][self.mix] += STEP * hit2
-        right[1][self.mix] += STEP * hit1
-        right[2][self.mix] += STEP * ~(hit2 | hit1)
-        fresh = x << 2
-        self.after2[self.i2] = np.where(hit2, (fresh | np.minimum(self.f2 + 1, 3)), np.where(self.f2 > 0, self.c2 << 2 | self.f2 - 1, fresh))
-        self.after1[self.i1] = np.where(one, (fresh | np.minimum(self.f1 + 1, 3)), np.where(self.f1 > 0, self.c1 << 2 | self.f1 - 1, fresh))
-        self.count.ravel()[self.at_bucket + self.bucket(x)] += GAIN
-        self.p2, self.p1 = self.p1, x
+        hit2, hit1 = x == self.c2, x == self.c1
+        self.right[self.mix + np.where(hit2, 0, np.where(hit1, 1, 2))] += STEP
+        fresh = (x << 2).astype(np.int32)
+        # sure of the same id: surer; else less sure of the old one, or the new one
+        self.after2[self.i2] = np.where(hit2, fresh | np.minimum(self.f2 + 1, 3), np.where(self.f2 > 0, (self.c2 << 2) + self.f2 - 1, fresh))
+        self.after1[self.i1] = np.where(hit1, fresh | np.minimum(self.f1 + 1, 3), np.where(self.f1 > 0, (self.c1 << 2) + self.f1 - 1, fresh))
+        self.count_flat[self.at_bucket + self.bucket[x]] += GAIN
+        self.p1 = x
         self.steps += 1
 
 
 def _encode_lanes(columns: np.ndarray, ids: int) -> list[bytes]:
     """Payloads of the lanes; `columns` is steps x lanes."""
     steps, lanes = columns.shape
-    model = _Model(lanes, ids)
+    model = _Model(lanes, ids, steps)
     low, width = np.zeros(lanes, U), np.full(lanes, 1 << 60, U)
     out = np.zeros((lanes, steps * 3 + 8), np.int64)
-    used = np.zeros(lanes, np.int64)
+    used, lane = np.zeros(lanes, np.int64), np.arange(lanes)
     for x in columns:
         model.predict()
         begin, size = model.interval(x)
@@ -157,7 +165,7 @@ def _encode_lanes(columns: np.ndarray, ids: int) -> list[bytes]:
             width[small] <<= WORD
         model.learn(x)
     for _ in range(4):
-        out[model.lane, used] = (low >> U(44)).astype(np.int64)
+        out[lane, used] = (low >> U(44)).astype(np.int64)
         used += 1
         low = (low & U((1 << 44) - 1)) << WORD
     while (out > 0xFFFF).any():
@@ -170,7 +178,7 @@ def _encode_lanes(columns: np.ndarray, ids: int) -> list[bytes]:
 
 def _decode_lanes(payloads: list[bytes], steps: int, ids: int) -> np.ndarray:
     lanes = len(payloads)
-    model = _Model(lanes, ids)
+    model = _Model(lanes, ids, steps)
     longest = max(len(p) for p in payloads) // 2 + 4
     words = np.zeros((lanes, longest), "<u2")
     for k, p in enumerate(payloads):
@@ -189,8 +197,7 @@ def _decode_lanes(payloads: list[bytes], steps: int, ids: int) -> np.ndarray:
         model.predict()
         unit = width >> U(SCALE)
         v = np.minimum(code // unit, top).astype(np.int64)
-        x = model.find(v)
-        begin, size = model.interval(x)
+        x, begin, size = model.find(v)
         code -= unit * begin.astype(U)
         width = unit * size.astype(U)
         while True:

@@ -14,6 +14,7 @@ by text and keep a row each; an empty table gives an empty result; other columns
 from __future__ import annotations
 
 import re
+import struct
 import zlib
 
 import numpy as np
@@ -47,11 +48,14 @@ class Pieces(dict):
         cut = [PIECE.findall(t) if t else [] for t in texts]
         if len(self) > MOST_PIECES:
             self.clear()
-        new = list({p for pieces in cut for p in pieces}.difference(self))
+        seen: set[str] = set()
+        for pieces in cut:
+            seen.update(pieces)
+        new = [p for p in seen if p not in self]
         for k in range(0, len(new), 10_000):
             part = new[k : k + 10_000]
             for p, e in zip(part, self.tokenizer.encode_batch_fast(part, add_special_tokens=False)):
-                self[p] = np.array(e.ids, "<u4").tobytes()
+                self[p] = struct.pack(f"<{len(e.ids)}I", *e.ids)
         end = np.array([END], "<u4").tobytes()
         return [b"".join(map(self.__getitem__, pieces)) + end for pieces in cut]
 
