@@ -68,8 +68,10 @@ def known_labels(labels: DataFrame) -> DataFrame:
     return known.where(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 != 0)
 
 
-def log_ratios(rows: DataFrame, least_z: float = 4.0) -> tuple[np.ndarray, np.ndarray, int, int]:
-    """Kept buckets and their log-count ratios over all rows (doc_id, text, y), and the rows of both classes."""
+def log_ratios(rows: DataFrame, least_z: float = 4.0, most_kept: int = 1 << 15) -> tuple[np.ndarray, np.ndarray, int, int]:
+    """Kept buckets and their log-count ratios over all rows (doc_id, text, y), and the rows of both classes.
+
+    `most_kept` bounds the features of the model: an equal part of them, the clearest, from each chunk of buckets."""
 
     def count(batches):
         grams, counts, seen = Grams(), np.zeros((2, 1 << BITS), np.uint32), np.zeros(2, np.uint32)
@@ -98,7 +100,9 @@ def log_ratios(rows: DataFrame, least_z: float = 4.0) -> tuple[np.ndarray, np.nd
             if n0 and n1:
                 pool = (clean + toxic) / (n0 + n1)
                 error = np.sqrt(pool * (1 - pool) * (1 / n1 + 1 / n0)) + 1e-12
-                bucket = np.flatnonzero((np.abs(toxic / n1 - clean / n0) > least_z * error) & (clean + toxic > 2))
+                z = np.abs(toxic / n1 - clean / n0) / error
+                bucket = np.flatnonzero((z > least_z) & (clean + toxic > 2))
+                bucket = bucket[np.argsort(-z[bucket], kind="stable")[: most_kept * CHUNK >> BITS]]
                 ratio = np.log((toxic[bucket] + 0.5) / (n1 + 1)) - np.log((clean[bucket] + 0.5) / (n0 + 1))
             if k == 0:  # the numbers of rows, once
                 yield pa.RecordBatch.from_arrays([pa.array([-1, -2], pa.int32()), pa.array([float(n1), float(n0)], pa.float64())], ["bucket", "ratio"])
@@ -113,19 +117,26 @@ def log_ratios(rows: DataFrame, least_z: float = 4.0) -> tuple[np.ndarray, np.nd
 
 def fit_weights(rows: list[np.ndarray], y: np.ndarray, ratio: np.ndarray, rounds: int = 80, penalty: float = 1e-4) -> tuple[np.ndarray, float]:
     """Logistic regression on present-or-not times ratio, by Adagrad over all rows (places of their kept buckets)."""
-    flat, owner = np.concatenate(rows).astype(np.int32), np.repeat(np.arange(len(rows), dtype=np.int32), [len(r) for r in rows])
-    x = ratio[flat]
-    x /= np.sqrt(np.bincount(owner, x * x, len(rows)) + 1.0)[owner]
     n = len(ratio)
+    parts = []  # some rows at a time bound the memory
+    for k in range(0, len(rows), 500):
+        some = rows[k : k + 500]
+        flat = np.concatenate(some).astype(np.int32)
+        owner = np.repeat(np.arange(len(some), dtype=np.int32), [len(r) for r in some])
+        x = ratio[flat].astype(np.float32)
+        parts.append((slice(k, k + len(some)), flat, owner, x / np.sqrt(np.bincount(owner, x * x, len(some)) + 1.0).astype(np.float32)[owner]))
     w, bias, past, past_bias = np.zeros(n), 0.0, np.full(n, 1e-8), 1e-8
     for _ in range(rounds):
-        z = np.bincount(owner, w[flat] * x, len(rows)) + bias
-        wrong = (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y) / len(rows)
-        slope = np.bincount(flat, wrong[owner] * x, n) + penalty * w / len(rows)
+        slope, shift = penalty * w / len(rows), 0.0
+        for at, flat, owner, x in parts:
+            z = np.bincount(owner, w[flat] * x, at.stop - at.start) + bias
+            wrong = (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y[at]) / len(rows)
+            slope += np.bincount(flat, wrong[owner] * x, n)
+            shift += wrong.sum()
         past += slope * slope
         w -= 0.5 * slope / np.sqrt(past)
-        past_bias += wrong.sum() ** 2
-        bias -= 0.5 * wrong.sum() / np.sqrt(past_bias)
+        past_bias += shift * shift
+        bias -= 0.5 * shift / np.sqrt(past_bias)
     return w, float(bias)
 
 
@@ -152,15 +163,15 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = 4000, least_z: float
         mask[kept] = True
         for batch in batches:
             every = (buckets(t) for t in batch.column(1).to_pylist())
-            found = [np.searchsorted(kept, np.unique(e[mask[e]])).tolist() for e in every]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(found, pa.list_(pa.int32()))], ["doc_id", "y", "found"])
+            found = [np.searchsorted(kept, np.unique(e[mask[e]])).astype("<u2").tobytes() for e in every]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(found, pa.binary())], ["doc_id", "y", "found"])
 
     first = lambda y: known.where(f"y = {y}").orderBy(F.xxhash64("doc_id"), "doc_id").limit(fit_rows // 2)
     sample = F.broadcast(first(1).unionByName(first(0)))  # fit_rows rows of two numbers
-    some = texts.join(sample, "doc_id").select("doc_id", "text", "y").mapInArrow(places, "doc_id long, y int, found array<int>")
+    some = texts.join(sample, "doc_id").select("doc_id", "text", "y").mapInArrow(places, "doc_id long, y int, found binary")
     got = some.orderBy("doc_id", "found").limit(fit_rows).collect()
     y = np.array([r["y"] for r in got], np.float64)
-    w, own = fit_weights([np.array(r["found"], np.int32) for r in got], y, ratio)
+    w, own = fit_weights([np.frombuffer(r["found"], "<u2") for r in got], y, ratio)
     return {"kept": kept, "ratio": ratio, "w": w, "bias": own + bias - log_odds(float(y.mean()))}
 
 
