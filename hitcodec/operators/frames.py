@@ -85,9 +85,9 @@ def frame_values(event, channel, rise, fall, lo: int, n_events: int, n_channels:
     pulses = np.bincount(key, minlength=n_events * n_channels)
     refs = np.full(n_events, np.iinfo(np.int64).max)
     np.minimum.at(refs, e - lo, r)
-    first = np.concatenate([[True], key[1:] != key[:-1]])
+    first = np.concatenate([[True], key[1:] != key[:-1]])[: len(key)]
     refs[refs == np.iinfo(np.int64).max] = 0
-    gap = np.concatenate([[0], r[1:] - f[:-1]])
+    gap = np.concatenate([[0], r[1:] - f[:-1]])[: len(key)]
     return refs, {"pulses": pulses, "start": (r - refs[e - lo])[first], "width": f - r, "distance": gap[~first]}
 
 
