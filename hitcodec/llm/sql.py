@@ -41,4 +41,83 @@ SELECT doc_id, count(*) AS n_lines, count(*) FILTER (gone) AS n_dropped,
 FROM marked GROUP BY doc_id
 """
 
-ORACLES = {"op9_line_dedup": LINES, "op10_url_filter": URL}
+JACCARD = r"""
+WITH RECURSIVE words AS (
+  SELECT doc_id, regexp_extract_all(lower(coalesce(text, '')), '[\p{L}\p{N}_]+') AS l FROM documents
+), grams AS (
+  SELECT DISTINCT doc_id, array_to_string(l[i:i + least(len(l), 5) - 1], ' ') AS gram
+  FROM (SELECT doc_id, l, unnest(range(1, greatest(len(l) - 4, 1) + 1)) AS i FROM words WHERE len(l) > 0)
+), sizes AS (
+  SELECT doc_id, count(*) AS n FROM grams GROUP BY doc_id
+), common AS (
+  SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS k FROM grams a JOIN grams b ON a.gram = b.gram AND a.doc_id <> b.doc_id GROUP BY ALL
+), links AS (
+  SELECT x, y FROM common JOIN sizes sx ON x = sx.doc_id JOIN sizes sy ON y = sy.doc_id WHERE k >= 0.8 * (sx.n + sy.n - k) - 1e-9
+), reach AS (
+  SELECT doc_id AS x, doc_id AS y FROM documents UNION SELECT r.x, l.y FROM reach r JOIN links l ON r.y = l.x
+), degree AS (
+  SELECT x, count(*) AS n FROM links GROUP BY x
+)
+SELECT r.x AS doc_id, min(r.y) AS class_id, coalesce(max(d.n), 0) AS n_links FROM reach r LEFT JOIN degree d ON r.x = d.x GROUP BY r.x
+"""
+
+
+def _draw(seed: str, turn: int) -> str:
+    return f"((((({seed}) % 2147483647) * 48271 + {turn} * 69621 + 11) % 2147483647 * 48271) % 2147483647 * 16807 + 97) % 2147483647"
+
+
+def _permuted(rounds: int) -> tuple[str, str]:
+    """CTEs that send x through the bijection of [0, n), step by step; and the last one's name."""
+    parts, last = [], "ask"
+    for turn in range(2 * rounds):
+        if turn % 2 == 0:
+            step = f"(x + {_draw('seed', turn)}) % n"
+        else:
+            mixed = f"((x * ((({_draw('seed', turn)}) % 33554432) * 2 + 1)) & (top - 1))"
+            step = f"CASE WHEN x < top THEN xor({mixed}, {mixed} >> half) ELSE x END"
+        parts.append(f"step{turn} AS (SELECT rn, i, n, seed, top, half, {step} AS x FROM {last})")
+        last = f"step{turn}"
+    return ",\n".join(parts), last
+
+
+_STEPS, _LAST = _permuted(4)
+MIX = rf"""
+WITH sized AS (
+  SELECT doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) AS size, (coalesce(doc_id, 0) % 1000003) * 40503 % 1024 AS bucket FROM documents
+), per AS (
+  SELECT source, CAST(sum(size) AS BIGINT) AS source_size, row_number() OVER (ORDER BY source NULLS LAST) AS rn FROM sized GROUP BY source
+), weighed AS (
+  SELECT *, (rn - 1) % 3 + 1 AS weight FROM per
+), levels AS (
+  SELECT *, ((SELECT sum(source_size) FROM weighed) - coalesce(sum(3 * source_size) OVER (o ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))
+            / sum(weight) OVER (o ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS level
+  FROM weighed WINDOW o AS (ORDER BY 3 * source_size / weight, rn)
+), aims AS (
+  SELECT *, CAST(CASE WHEN 3 * source_size <= level * weight THEN 3 * source_size
+                      ELSE least(weight * (SELECT max(level) FROM levels WHERE NOT 3 * source_size <= level * weight), 3 * source_size) END AS DOUBLE) AS target FROM levels
+), plan AS (
+  SELECT *, w // greatest(source_size, 1) AS passes, w - (w // greatest(source_size, 1)) * source_size AS rest, source_size // 1024 AS whole, source_size % 1024 AS tail
+  FROM (SELECT *, CAST(round(target) AS BIGINT) AS w FROM aims)
+), cuts AS (
+  SELECT rn, i, rest, whole, tail, passes FROM (SELECT *, unnest(range(0, (rest + 1023) // 1024)) AS i FROM plan)
+), ask AS (
+  SELECT rn, i, whole AS n, rn * 7919 + passes * 104729 + 1 AS seed, CAST(1 AS BIGINT) << (length(bin(whole)) - 1) AS top,
+         greatest(1, length(bin(whole)) - length(bin(whole)) // 2) AS half, i AS x
+  FROM cuts WHERE i < whole
+), {_STEPS}, used AS (
+  SELECT c.rn, coalesce(p.x, c.i) AS block, least(CASE WHEN c.i < whole THEN 1024 ELSE tail END, rest - c.i * 1024) AS cut
+  FROM cuts c LEFT JOIN {_LAST} p ON c.rn = p.rn AND c.i = p.i
+), placed AS (
+  SELECT s.*, p.rn, p.source_size, p.target, p.passes,
+         CAST(sum(size) OVER (PARTITION BY p.rn ORDER BY bucket, doc_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS BIGINT) - size AS origin
+  FROM sized s JOIN plan p ON s.source IS NOT DISTINCT FROM p.source
+), pieces AS (
+  SELECT doc_id, rn, origin, size, b AS block, greatest(origin, b * 1024) - b * 1024 AS a, least(origin + size, (b + 1) * 1024) - b * 1024 AS z
+  FROM (SELECT *, unnest(range(origin // 1024, (origin + size - 1) // 1024 + 1)) AS b FROM placed WHERE size > 0)
+), extra AS (
+  SELECT doc_id, CAST(sum(greatest(0, least(z, cut) - a)) AS BIGINT) AS more FROM pieces JOIN used USING (rn, block) GROUP BY doc_id
+)
+SELECT doc_id, size, source_size, target, passes * size + coalesce(more, 0) AS taken, source FROM placed LEFT JOIN extra USING (doc_id)
+"""
+
+ORACLES = {"op1_source_mixing": MIX, "op7_ngram_join": JACCARD, "op9_line_dedup": LINES, "op10_url_filter": URL}
