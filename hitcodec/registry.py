@@ -19,6 +19,7 @@ from hitcodec.operators import rangecoder as RC
 from hitcodec.operators import tans as T
 from hitcodec.operators import ticks as TK
 from hitcodec.plans import cost as C
+from hitcodec.plans import workloads as W
 from hitcodec.session import scratch, ship_package
 from hitcodec.sources import views as V
 from hitcodec.sources.tables import load
@@ -164,12 +165,7 @@ def counts_of(hist: DataFrame) -> dict[int, int]:
 @query
 def pulse_coders(spark, sf):
     """The table of coders for the numbers of pulses, in bits a value."""
-    hist = or0_hist(spark, sf).withColumn("vtype", F.lit("pulses")).cache()
-    n = F.sum("n")
-    simple = hist.agg(F.round(n * B.bit_length(F.max("v")) / n, 4).alias("fixed"), F.round(F.log2(F.max("v") + 1), 4).alias("radix"), F.round(F.sum(F.col("n") * (F.col("v") + 1)) / n, 4).alias("unary"), F.round(F.sum(F.col("n") * B.expgolomb_bits("v")) / n, 4).alias("expgolomb"), F.round(F.log2(n) - F.sum(F.col("n") * F.log2("n")) / n, 4).alias("entropy"))
-    huff = BN.simple_huffman(hist, ["vtype"]).select(F.round(F.col("coded_bits") / F.col("n_values"), 4).alias("huffman"))
-    row = simple.crossJoin(huff)
-    return row.select(F.expr("stack(6, 'fixed', fixed, 'radix', radix, 'unary', unary, 'expgolomb', expgolomb, 'huffman', huffman, 'entropy', entropy) as (coder, bits)"))
+    return W.pulse_coder_table(or0_hist(spark, sf))
 
 
 named("expgolomb_codes", lambda spark, sf: load(spark, sf, "part").select(F.col("p_size").cast("long").alias("v")).distinct().select("v", B.expgolomb_encode("v").alias("word"), B.expgolomb_bits("v").alias("bits")))
@@ -421,16 +417,15 @@ def tans_quota_invariants(spark, sf):
 
 @query
 def tans_loss_sweep(spark, sf):
-    """symbols, r, spread, entropy, loss: loss falls as the table grows, with every spread."""
-    rows = []
-    for name, counts in symbol_sets(spark, sf).items():
-        c = np.array([n for _, n in sorted(counts.items())], np.float64)
-        least = max(1, (len(c) - 1).bit_length())
-        for r in range(max(2, least), min(least + 5, 11)):
-            for kind in ("step", "block", "reverse", "precise"):
-                x = T.loss(T.fit(c, r, kind), c)
-                rows.append((name, len(c), r, kind, round(float(x["entropy"]), 6), round(float(x["loss"]), 6), T.table_bytes(T.fit(c, r, kind))))
-    return spark.createDataFrame(rows, "symbols string, m int, r int, spread string, entropy double, loss double, table_bytes long")
+    """symbols, m, r, spread, entropy, loss, table_bytes: the loss over table sizes and spreads."""
+    ship_package(spark)
+    toxic = lb1_frames(spark, sf).select(F.explode("syms").alias("v")).groupBy("v").agg(F.count(F.lit(1)).alias("n"))
+    sets = (("pulses", or0_hist(spark, sf)), ("toxic", toxic), ("characters", char_hist(V.do1(spark, sf))))
+    every = None
+    for name, h in sets:
+        one = h.select(F.lit(name).alias("symbols"), "v", "n")
+        every = one if every is None else every.unionByName(one)
+    return W.tans_loss_sweep(every, [2, 3, 4, 5, 6, 8, 10])
 
 
 # --- bins
@@ -716,3 +711,46 @@ def codec_sizes(spark, sf):
         size = p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getContentSummary(p).getLength()
         rows.append((codec, int(size)))
     return spark.createDataFrame(rows, "codec string, bytes long")
+
+
+# --- workloads that no query above covers
+
+
+@query
+def workload_bin_comparison(spark, sf):
+    """Simple and adaptive bins of starts and widths side by side, with a comb-shaped and a bell-shaped table."""
+    return W.bin_comparison(value_hist("LI1", spark, sf).unionByName(value_hist("EM0", spark, sf)), [12, 16, 20], [16, 64, 256])
+
+
+@query
+def workload_scope_sweep(spark, sf):
+    """One table or one for each channel over budgets of bins, in sample and held out (odd events)."""
+    return W.scope_sweep(V.em1(spark, sf), [8, 16, 32, 64], F.col("event") % 2 == 1, V.em1(spark, sf).select("channel").distinct().withColumn("class_id", V.div(F.col("channel"), 12).cast("int")))
+
+
+@query
+def workload_archive(spark, sf):
+    """Rows that a table and its archive do not share."""
+    ship_package(spark)
+    h = hits("LI1", spark, sf)
+    path = scratch(spark, "archive")
+    return W.differences(h, W.restore(spark, path, W.archive(h, path, CH), CH))
+
+
+@query
+def workload_faults(spark, sf):
+    f = W.fault_study(framed("LI1", spark, sf)[2], 5)
+    return f.select((F.col("damaged") == F.col("detected")).alias("all_detected"), (F.col("damaged") == F.col("repaired")).alias("all_repaired"), (F.col("damaged") > 0).alias("some"))
+
+
+def _fec(scheme, lost):
+    def f(spark, sf):
+        frames = framed("EV1", spark, sf)[2]
+        back = W.fec_decode(W.fec_encode(frames, scheme), scheme, lost)
+        return back.join(frames.select("frame", "width_payload"), "frame").agg(F.count_if(F.col("payload") != F.col("width_payload")).alias("differ"))
+
+    return f
+
+
+named("fec_hamming", _fec("hamming74", None))
+named("fec_parity", _fec("xor_parity", 2))
