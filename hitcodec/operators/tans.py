@@ -163,72 +163,88 @@ def trace(symbols, model: dict, state: int) -> list[tuple[int, int, int, float,
     return rows
 
 
+def _by_length(lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Lanes by falling length, and how many lanes are live at each step."""
+    order = np.argsort(-lengths, kind="stable")
+    longest = int(lengths.max()) if len(lengths) else 0
+    return order, np.searchsorted(-lengths[order], -np.arange(longest), "left")
+
+
 def encode_frames(frames: list[np.ndarray], model: dict, start: list[int] | None = None, backward: bool = False) -> list[tuple[bytes, int, int]]:
     """(payload, bits, final state) of each frame; all frames step together. start: states in [L, 2L) that carry data.
 
-    backward: symbols are coded from the last to the first, so that decoding gives them in order."""
-    size, r, enc, n = 1 << model["r"], model["r"], model["enc"], len(frames)
-    frames = [np.asarray(f, np.int64) for f in frames]
-    if backward:
-        frames = [f[::-1] for f in frames]
+    backward: symbols are coded from the last to the first, so that decoding gives them in order. Bits gather in 64-bit
+    words of each lane and leave 32 at a time."""
+    size, r, n = 1 << model["r"], model["r"], len(frames)
+    nb, off, nxt = (model["enc"][k].astype(np.int32) for k in ("nb", "off", "next"))
     lengths = np.array([len(f) for f in frames], np.int64)
-    order = np.argsort(-lengths, kind="stable")  # live lanes are a prefix
-    longest = int(lengths.max()) if n else 0
-    grid = np.zeros((longest, n), np.int64)
+    order, live = _by_length(lengths)
+    grid = np.zeros((n, len(live)), np.int32)
     for lane, k in enumerate(order):
-        grid[: lengths[k], lane] = frames[k]
-    sorted_lengths = lengths[order]
-    state = (np.full(n, size, np.int64) if start is None else np.asarray(start, np.int64))[order]
-    value, width = np.zeros((longest, n), np.uint16 if r <= 16 else np.int64), np.zeros((longest, n), np.uint8)
-    for step in range(longest):
-        live = int(np.searchsorted(-sorted_lengths, -step, "left"))
-        s, x = grid[step, :live], state[:live]
-        bits = (x + enc["nb"][s]) >> (r + 1)
-        value[step, :live], width[step, :live] = x & ((1 << bits) - 1), bits
-        state[:live] = enc["next"][enc["off"][s] + (x >> bits)]
+        f = np.asarray(frames[k])
+        grid[lane, : lengths[k]] = f[::-1] if backward else f
+    grid = np.ascontiguousarray(grid.T)
+    state = (np.full(n, size, np.int32) if start is None else np.asarray(start, np.int32))[order]
+    held, have = np.zeros(n, np.uint64), np.zeros(n, np.int32)
+    words, used = np.zeros((n, len(live) * (r + 1) // 32 + 2), np.uint32), np.zeros(n, np.int64)
+    every = max(1, 32 // max(r, 1))  # steps between looks for full words
+    step = 0
+    for symbols, m in zip(grid, live.tolist()):
+        s, x = symbols[:m], state[:m]
+        bits = (x + nb[s]) >> (r + 1)
+        held[:m] = (held[:m] << bits.astype(np.uint64)) | (x & ((1 << bits) - 1)).astype(np.uint64)
+        have[:m] += bits
+        state[:m] = nxt[off[s] + (x >> bits)]
+        step += 1
+        if step % every == 0:
+            full = np.flatnonzero(have >= 32)
+            have[full] -= 32
+            words[full, used[full]] = (held[full] >> have[full].astype(np.uint64)).astype(np.uint32)
+            used[full] += 1
+    full = np.flatnonzero(have >= 32)
+    have[full] -= 32
+    words[full, used[full]] = (held[full] >> have[full].astype(np.uint64)).astype(np.uint32)
+    used[full] += 1
+    total = used * 32 + have
+    words[np.arange(n), used] = (held << (32 - have).astype(np.uint64)).astype(np.uint32)
+    data = words.astype(">u4")
     out: list = [None] * n
-    for lane, k in enumerate(order):
-        size_k = int(lengths[k])
-        w, v = width[:size_k, lane].astype(np.int64), value[:size_k, lane].astype(np.int64)
-        ends = np.cumsum(w)
-        total = int(ends[-1]) if size_k else 0
-        owner = np.repeat(np.arange(size_k), w)
-        place = np.arange(total) - np.repeat(ends - w, w)
-        bits = (v[owner] >> (w[owner] - 1 - place)) & 1
-        out[k] = (np.packbits(bits.astype(np.uint8)).tobytes(), total, int(state[lane]))
+    for lane, k in enumerate(order.tolist()):
+        out[k] = (data[lane].tobytes()[: (int(total[lane]) + 7) // 8], int(total[lane]), int(state[lane]))
     return out
 
 
 def decode_frames(frames: list[tuple[bytes, int, int, int]], model: dict, backward: bool = False) -> tuple[list[np.ndarray], list[int]]:
     """Symbols and start states of frames given as (payload, bits, final state, symbols)."""
-    size, r, dec, n = 1 << model["r"], model["r"], model["dec"], len(frames)
+    size, n = 1 << model["r"], len(frames)
+    sym, nbits, base = (model["dec"][k].astype(np.int32) for k in ("sym", "nbits", "base"))
     lengths = np.array([f[3] for f in frames], np.int64)
-    order = np.argsort(-lengths, kind="stable")
-    longest = int(lengths.max()) if n else 0
-    total = np.array([f[1] for f in frames], np.int64)[order]
-    begins = np.concatenate([[0], np.cumsum(total)])
-    bits = np.zeros(int(begins[-1]) + 64, np.int64)
-    for lane, k in enumerate(order):
-        bits[begins[lane] : begins[lane + 1]] = np.unpackbits(np.frombuffer(frames[k][0], np.uint8))[: frames[k][1]]
-    # the value of the r bits before each place
-    before = np.zeros(len(bits) + 1, np.int64)
-    for k in range(r):
-        before[k + 1 :] |= bits[: len(bits) - k] << k
-    at = begins[1:].copy()
-    state = np.array([f[2] for f in frames], np.int64)[order]
-    grid = np.zeros((longest, n), np.int64)
-    sorted_lengths = lengths[order]
-    for step in range(longest):
-        live = int(np.searchsorted(-sorted_lengths, -step, "left"))
-        x = state[:live] - size
-        grid[step, :live] = dec["sym"][x]
-        nb = dec["nbits"][x]
-        state[:live] = size + dec["base"][x] + (before[at[:live]] & ((1 << nb) - 1))
-        at[:live] -= nb
+    order, live = _by_length(lengths)
+    # each lane's words behind one of zeros, so that the bits before any place lie in two neighbours
+    sizes = np.array([len(frames[k][0]) // 4 + 2 for k in order], np.int64)
+    first = np.concatenate([[0], np.cumsum(sizes)])
+    words = np.zeros(int(first[-1]) + 1, np.uint32)
+    for lane, k in enumerate(order.tolist()):
+        data = frames[k][0]
+        words[first[lane] + 1 : first[lane] + 1 + -(-len(data) // 4)] = np.frombuffer(data + bytes(-len(data) % 4), ">u4")
+    words = words.astype(np.uint64)
+    at = (first[:-1] + 1) * 32 + np.array([frames[k][1] for k in order], np.int64)
+    state = np.array([frames[k][2] for k in order], np.int32)
+    grid = np.zeros((len(live), n), np.int32)
+    for row, m in zip(grid, live.tolist()):
+        x, end = state[:m] - size, at[:m]
+        row[:m] = sym[x]
+        nb = nbits[x]
+        place = end >> 5
+        both = (words[place - 1] << np.uint64(32)) | words[place]
+        low = (both >> (32 - (end & 31)).astype(np.uint64)).astype(np.int64) & ((1 << nb) - 1)
+        state[:m] = size + base[x] + low
+        at[:m] -= nb
+    grid = np.ascontiguousarray(grid.T)
     symbols: list = [None] * n
     starts = [0] * n
-    for lane, k in enumerate(order):
-        got = grid[: lengths[k], lane]
+    for lane, k in enumerate(order.tolist()):
+        got = grid[lane, : lengths[k]].astype(np.int64)
         symbols[k] = got if backward else got[::-1]
         starts[k] = int(state[lane])
     return symbols, starts
