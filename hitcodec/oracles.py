@@ -207,7 +207,7 @@ O["pulse_coders"] = w(OR0, P0, "x AS (SELECT 1 AS g, n FROM h)", huffman("x", "g
 O["expgolomb_codes"] = "SELECT DISTINCT CAST(p_size AS BIGINT) AS v, repeat('0', length(bin(p_size + 1)) - 1) || bin(p_size + 1) AS word, CAST(2 * length(bin(p_size + 1)) - 1 AS INTEGER) AS bits FROM part"
 O["expgolomb_roundtrip"] = O["unary_roundtrip"] = w(OR0) + "SELECT event, channel, CAST(pulses AS BIGINT) AS pulses FROM or0"
 O["radix_roundtrip"] = "SELECT l_orderkey AS event, CAST(l_linenumber % 8 AS BIGINT) AS digit FROM lineitem"
-O["cost_radix"] = w(OR0, P0) + "SELECT 'pulses' AS vtype, CAST(sum(n) AS BIGINT) AS n_values, round(sum(n) * (61 / 19), 3) AS bits FROM h"
+O["cost_radix"] = w(OR0, P0) + "SELECT 'pulses' AS vtype, CAST(sum(n) AS BIGINT) AS n_values, round(sum(n) * (CAST(61 AS DOUBLE) / 19), 3) AS bits FROM h"
 CHARS = "c AS (SELECT doc_id AS frame, unnest(string_split(coalesce(text, ''), '')) AS ch FROM documents), s AS (SELECT frame, least(unicode(ch), 256) AS sym FROM c WHERE ch <> '')"
 
 
@@ -218,7 +218,7 @@ def huffman_total(ctes: list[str], table: str) -> str:
 O["cost_huffman_pulses"] = huffman_total([OR0, P0], "h")
 O["cost_huffman_quantity"] = huffman_total(["h AS (SELECT l_quantity AS v, count(*) AS n FROM lineitem GROUP BY ALL)"], "h")
 O["cost_huffman_bytes"] = huffman_total([CHARS, "h AS (SELECT sym AS v, count(*) AS n FROM s GROUP BY ALL)"], "h")
-O["huffman_kraft"] = "SELECT 'pulses' AS code, 1.0 AS kraft, 0 AS clashes UNION ALL SELECT 'characters', 1.0, 0"
+O["huffman_kraft"] = "SELECT 'pulses' AS code, CAST(1 AS DOUBLE) AS kraft, 0 AS clashes UNION ALL SELECT 'characters', CAST(1 AS DOUBLE), 0"
 FRAMES0 = "SELECT event // 16 AS frame, row_number() OVER (PARTITION BY event // 16 ORDER BY event, channel) - 1 AS pos, CAST(pulses AS BIGINT) AS sym FROM or0"
 O["tans_roundtrip_pulses"] = O["tans_roundtrip_backward"] = O["tans_roundtrip_payload"] = O["range_roundtrip_pulses"] = O["escape_roundtrip"] = w(OR0) + FRAMES0
 O["tans_roundtrip_binary"] = O["tans_sql_roundtrip"] = "SELECT doc_id // 1024 AS frame, row_number() OVER (PARTITION BY doc_id // 1024 ORDER BY doc_id, toxic) - 1 AS pos, CAST(toxic AS BIGINT) AS sym FROM labels WHERE toxic IS NOT NULL"
@@ -227,8 +227,8 @@ CHAR_ROWS = """SELECT frame, pos - 1 AS pos, CAST(least(unicode(l[pos]), 256) AS
 O["tans_roundtrip_characters"] = O["huffman_roundtrip"] = O["range_roundtrip_characters"] = CHAR_ROWS
 O["tans_tables_example"] = "SELECT * FROM (VALUES (4, 0, 1, 2, 6), (5, 1, 2, 0, 4), (6, 0, 0, 0, 4), (7, 0, 0, 1, 5)) t(state, sym, nbits, base, next_state)"
 O["tans_encode_example"] = "SELECT '00100001' AS bits, 5 AS state"
-O["tans_stationary_example"] = "SELECT * FROM (VALUES (4, 0.3214), (5, 0.25), (6, 0.2411), (7, 0.1875)) t(state, share)"
-O["tans_loss_example"] = "SELECT * FROM (VALUES ('L4 example', 0.0102), ('L8 best', 0.0018)) t(coder, loss)"
+O["tans_stationary_example"] = "SELECT state, CAST(share AS DOUBLE) AS share FROM (VALUES (4, 0.3214), (5, 0.25), (6, 0.2411), (7, 0.1875)) t(state, share)"
+O["tans_loss_example"] = "SELECT coder, CAST(loss AS DOUBLE) AS loss FROM (VALUES ('L4 example', 0.0102), ('L8 best', 0.0018)) t(coder, loss)"
 O["tans_quota_invariants"] = "SELECT * FROM (VALUES ('pulses', true, true, true), ('toxic', true, true, true), ('characters', true, true, true)) t(symbols, sums, positive, kept)"
 
 EM0 = "vals AS (SELECT 'em0' AS vtype, i - 1 AS channel, CAST(round((CAST(embedding[i] AS DOUBLE) + 1) * 1048576) AS BIGINT) AS v FROM embeddings, range(1, 65) r(i))"
