@@ -147,9 +147,12 @@ def _encode_lanes(columns: np.ndarray, ids: int) -> list[bytes]:
     steps, lanes = columns.shape
     model = _Model(lanes, ids, steps)
     low, width = np.zeros(lanes, U), np.full(lanes, 1 << 60, U)
-    out = np.zeros((lanes, steps * 3 + 8), np.int64)
+    out = np.zeros((lanes, steps + steps // 8 + 16), np.int32)  # most ids take less than a word; grown where not
     used, lane = np.zeros(lanes, np.int64), np.arange(lanes)
-    for x in columns:
+    for step, x in enumerate(columns):
+        if step % 64 == 0 and int(used.max()) + 3 * 64 + 8 > out.shape[1]:
+            out = np.concatenate([out, np.zeros((lanes, out.shape[1] // 2 + 256), np.int32)], axis=1)
+        x = x.astype(np.int64)
         model.predict()
         begin, size = model.interval(x)
         unit = width >> U(SCALE)
@@ -159,13 +162,13 @@ def _encode_lanes(columns: np.ndarray, ids: int) -> list[bytes]:
             small = np.flatnonzero(width < LOW_RANGE)
             if not len(small):
                 break
-            out[small, used[small]] = (low[small] >> U(44)).astype(np.int64)  # may hold a carry above 16 bits
+            out[small, used[small]] = (low[small] >> U(44)).astype(np.int32)  # may hold a carry above 16 bits
             used[small] += 1
             low[small] = (low[small] & U((1 << 44) - 1)) << WORD
             width[small] <<= WORD
         model.learn(x)
     for _ in range(4):
-        out[lane, used] = (low >> U(44)).astype(np.int64)
+        out[lane, used] = (low >> U(44)).astype(np.int32)
         used += 1
         low = (low & U((1 << 44) - 1)) << WORD
     while (out > 0xFFFF).any():
@@ -180,18 +183,17 @@ def _decode_lanes(payloads: list[bytes], steps: int, ids: int) -> np.ndarray:
     lanes = len(payloads)
     model = _Model(lanes, ids, steps)
     longest = max(len(p) for p in payloads) // 2 + 4
-    words = np.zeros((lanes, longest), "<u2")
+    words = np.zeros((lanes, longest), np.uint16)
     for k, p in enumerate(payloads):
         words[k, : len(p) // 2] = np.frombuffer(p, "<u2")
-    words = words.astype(U)
     # the first word holds the bits of low from 44 up: 16 of the 60
     code = np.zeros(lanes, U)
     for k in range(4):
-        code = (code << WORD) | words[:, k]
+        code = (code << WORD) | words[:, k].astype(U)
     code >>= U(4)  # 60 bits
-    extra = words[:, 3] & U(15)  # the four bits below them
+    extra = words[:, 3].astype(U) & U(15)  # the four bits below them
     used, width = np.full(lanes, 4, np.int64), np.full(lanes, 1 << 60, U)
-    out = np.zeros((steps, lanes), np.int64)
+    out = np.zeros((steps, lanes), np.int32)
     top = U((1 << SCALE) - 1)
     for step in range(steps):
         model.predict()
@@ -204,7 +206,7 @@ def _decode_lanes(payloads: list[bytes], steps: int, ids: int) -> np.ndarray:
             small = np.flatnonzero(width < LOW_RANGE)
             if not len(small):
                 break
-            word = words[small, np.minimum(used[small], longest - 1)]
+            word = words[small, np.minimum(used[small], longest - 1)].astype(U)
             code[small] = (code[small] << WORD) | (extra[small] << U(12)) | (word >> U(4))
             extra[small] = word & U(15)
             used[small] += 1
@@ -221,7 +223,7 @@ def encode_ids(ids: np.ndarray, vocabulary: int, block: int = BLOCK) -> bytes:
         raise ValueError("an id is beyond the vocabulary")
     block = max(1, min(block, len(ids)))
     n = -(-len(ids) // block)
-    padded = np.zeros(n * block, np.int64)
+    padded = np.zeros(n * block, np.uint32)
     padded[: len(ids)] = ids
     padded = padded.reshape(n, block)
     payloads: list[bytes] = []

@@ -29,7 +29,7 @@ from hitcodec.session import scratch
 SPACES = "\t-\r \x85\xa0  -     　"
 PIECE = re.compile(f"[{SPACES}]*[^{SPACES}]+|[{SPACES}]+")
 END = 0
-MOST_PIECES = 300_000
+MOST_PIECES = 200_000
 
 
 class Pieces(dict):
@@ -52,8 +52,8 @@ class Pieces(dict):
         for pieces in cut:
             seen.update(pieces)
         new = [p for p in seen if p not in self]
-        for k in range(0, len(new), 10_000):
-            part = new[k : k + 10_000]
+        for k in range(0, len(new), 4000):
+            part = new[k : k + 4000]
             for p, e in zip(part, self.tokenizer.encode_batch_fast(part, add_special_tokens=False)):
                 self[p] = struct.pack(f"<{len(e.ids)}I", *e.ids)
         end = np.array([END], "<u4").tobytes()
@@ -106,11 +106,11 @@ def read_tokens(spark, path: str, whole: bool = True) -> DataFrame:
     def apply(batches):
         for batch in batches:
             for row in batch.to_pylist():
-                ids = decode_ids(row["ids"]).astype("<u4")
+                ids = decode_ids(row["ids"]).astype("<u4", copy=False)
                 ends = np.cumsum(np.array(row["lengths"], np.int64))
                 if len(ids) != ends[-1]:
                     raise ValueError("a frame holds other ids than its documents")
-                data = memoryview(ids.tobytes())
+                data = memoryview(ids).cast("B")
                 starts = ends - row["lengths"]
                 n = len(ends)
                 crc = [zlib.crc32(data[4 * a : 4 * b]) for a, b in zip(starts.tolist(), ends.tolist())]
