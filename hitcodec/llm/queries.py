@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from hitcodec.llm.common import table
 from hitcodec.llm.decontaminate import contaminated
+from hitcodec.llm.license_scan import license_digest, license_scan
 from hitcodec.llm.line_dedup import line_digest
 from hitcodec.llm.media import media_digest, store_texts
 from hitcodec.llm.mixing import mix
@@ -58,6 +59,11 @@ def op7_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_join(table(spark, sf_dir, "documents"))
 
 
+def op8_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ship_package(spark)
+    return license_digest(license_scan(table(spark, sf_dir, "documents")))
+
+
 def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     ship_package(spark)
     return line_digest(table(spark, sf_dir, "documents"))
@@ -72,4 +78,4 @@ def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter(table(spark, sf_dir, "pages"), rules)
 
 
-QUERIES = {f.__name__: f for f in (op1_source_mixing, op2_token_output, op3_media_columns, op4_toxicity, op5_secret_scan, op6_decontaminate, op7_ngram_join, op9_line_dedup, op10_url_filter)}
+QUERIES = {f.__name__: f for f in (op1_source_mixing, op2_token_output, op3_media_columns, op4_toxicity, op5_secret_scan, op6_decontaminate, op7_ngram_join, op8_license_scan, op9_line_dedup, op10_url_filter)}
