@@ -3,7 +3,8 @@
 Texts and templates are sequences of word 5-grams (lower-cased words). A template of k grams has a window width v, a power
 of two up to 8, small enough that any copy that keeps `containment` of its grams leaves a run of 2v-1 grams unbroken
 (`width_for`); the template's windows begin at every gram and the documents' at every v-th, so that such a run holds a
-window of the document equal to one of the template's, and equal windows meet in every band. `bands_for` sets the number
+window of the document equal to one of the template's, and equal windows meet in every band. This takes grams in order
+and none repeated in the template; other copies rest on the bands' probability. `bands_for` sets the number
 of bands such that windows of similarity 2/3 (that of two windows of equal size sharing 0.8 of their grams) fail to meet
 with probability `miss` at most; a width of one needs one band, as single grams are equal or not.
 
