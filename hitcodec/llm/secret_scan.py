@@ -3,8 +3,9 @@
 Base finds (assignments, access identifiers, long hexadecimal runs) are always reported. On top of them, weak parts that
 alone prove nothing (free-standing secrets of 32 to 64 mixed characters, endpoints) are reported only where
 complementary parts co-occur: an interval join links each access identifier to secrets and endpoints whose spans begin
-within `reach` code points of it inside the same scope (a paragraph: text between blank lines). The join is a merge over
-sorted starts that looks at the nearest parts on either side, so that it never makes all pairs.
+within `reach` code points of it inside the same scope (a paragraph: text between blank lines). The join bisects the
+interval of each access identifier in the sorted starts and goes on where the last interval ended, so that every part in
+reach is linked, each is visited once, and no pairs are made.
 
 Defined results: null text is empty; spans count code points, end exclusive; parts that overlap a base find are that
 find; repeated rows each get a row; other columns are ignored. The whole text of a document is one string in one task.
@@ -14,7 +15,7 @@ from __future__ import annotations
 
 import hashlib
 import re
-from bisect import bisect_left
+from bisect import bisect_left, bisect_right
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -67,11 +68,14 @@ def linked_spans(text: str, base: list[tuple[int, int, str]], reach: int = 400)
     found = set()
     for kind, spans in parts.items():
         starts = [s[0] for s in spans]
+        done = 0  # anchors come by start, so that both ends of their intervals only rise: spans before `done` were visited
         for a in anchors:
-            i = bisect_left(starts, a[0])
-            for j in (i - 1, i):  # the nearest on either side
-                if 0 <= j < len(spans) and abs(starts[j] - a[0]) <= reach and scope(starts[j]) == scope(a[0]):
-                    found.add((*spans[j], kind))
+            k = scope(a[0])
+            first = max(a[0] - reach, ends[k - 1] if k else 0)
+            last = min(a[0] + reach, ends[k] - 1 if k < len(ends) else len(text))
+            i, j = max(done, bisect_left(starts, first)), bisect_right(starts, last)
+            found.update((*s, kind) for s in spans[i:j])
+            done = max(done, j)
     # an endpoint alone completes nothing: it needs a secret (weak or assigned) in the same scope
     secret_scopes = {scope(s[0]) for s in found if s[2] == "secret"} | {scope(s[0]) for s in base if s[2] in ("assign", "hex")}
     return sorted(s for s in found if s[2] == "secret" or scope(s[0]) in secret_scopes)

@@ -320,6 +320,34 @@ def test_secret_cases(spark, docs, none):
     assert SS.secret_scan(none).count() == 0
 
 
+def brute_links(text, reach):
+    """All pairs of access identifiers and weak parts that overlap no base find."""
+    base = SS.base_spans(text)
+    free = lambda m: all(e <= m.start() or m.end() <= s for s, e, _ in base)
+    scope = lambda at: sum(m.end() <= at for m in SS.BLANK.finditer(text))
+    parts = [(m.start(), m.end(), "secret") for m in SS.FREE.finditer(text) if SS._mixed(m[0]) and free(m)] + [(m.start(), m.end(), "endpoint") for m in SS.ENDPOINT.finditer(text) if free(m)]
+    near = {p for p in parts for s, _, kind in base if kind == "access" and abs(p[0] - s) <= reach and scope(p[0]) == scope(s)}
+    whole = {scope(s) for s, _, kind in near if kind == "secret"} | {scope(s) for s, _, kind in base if kind in ("assign", "hex")}
+    return sorted(p for p in near if p[2] == "secret" or scope(p[0]) in whole)
+
+
+def test_all_parts_in_reach():
+    """Several parts on one side of an identifier, and identifiers whose intervals overlap."""
+    other = SECRET.replace("wJalr", "Session1")
+    text = f"https://a.example.com/x then https://b.example.com/y {KEY} {other} {SECRET} https://c.example.com/z"
+    assert SS.scan_text(text)[4].count("secret:") == 2 and SS.scan_text(text)[4].count("endpoint:") == 3
+    rng = np.random.default_rng(4)
+    bits = [KEY, KEY, SECRET, other, "https://a.example.com/x", "host = db.example.com", "password=abcdef12", "\n\n", "a few words", "é"]
+    linked = 0
+    for _ in range(300):
+        text = " ".join(rng.choice(bits, 25))
+        for reach in (0, 60, 400):
+            got = SS.linked_spans(text, SS.base_spans(text), reach)
+            assert got == brute_links(text, reach), text
+            linked += len(got)
+    assert linked > 1000
+
+
 def test_secrets_on_given(spark, sf, given):
     got = {r["doc_id"]: r for r in Q.op5_secret_scan(spark, sf).collect()}
     for d, t, _ in given:
