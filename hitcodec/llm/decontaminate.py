@@ -11,7 +11,7 @@ The benchmark's windows are broadcast only if their counted rows are at most `br
 are shuffled by hash. Equal templates among the items are one item, the smallest item_id, with their number.
 
 Defined results: null and empty texts match nothing; items of fewer than `window` tokens are looked for as one window of
-`short` tokens at their start, and left out below that; windows with fewer than half literal tokens are left out on the
+their full width, and left out below `short` tokens; windows with fewer than half literal tokens are left out on the
 benchmark's side; a null doc_id is kept as it is; repeated rows are told apart by text only, equal rows give one result;
 an empty table gives an empty result; other columns are ignored by `contaminated` and kept by `decontaminate`.
 """
@@ -67,10 +67,8 @@ def benchmark_windows(benchmark: DataFrame, window: int = 8, short: int = 5) ->
     one = F.min_by(F.struct("tokens", "slotted", "raw"), F.coalesce("item_id", F.lit(0)))
     items = items.withColumn("same", F.xxhash64("tokens")).groupBy("same").agg(F.min("item_id").alias("item_id"), F.count(F.lit(1)).alias("copies"), one.alias("of")).select("item_id", "copies", "of.*")
     both = None
-    for width, some in ((window, F.size("tokens") >= window), (short, F.size("tokens") < window)):
-        rows = items.where(some)
-        if width == short:
-            rows = rows.withColumn("tokens", F.slice("tokens", 1, short))
+    for width in range(short, window + 1):  # an item below `window` is one window of its own full width
+        rows = items.where(F.size("tokens") == width if width < window else F.size("tokens") >= window)
         found = _windows(rows, width, ["item_id", "copies", "tokens"]).withColumn("width", F.lit(width))
         both = found if both is None else both.unionByName(found)
     both = both.withColumn("item_tokens", F.slice("tokens", F.col("at"), F.col("width"))).drop("tokens")
@@ -82,7 +80,7 @@ def benchmark_windows(benchmark: DataFrame, window: int = 8, short: int = 5) ->
 def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = 8, short: int = 5, least: int = 6, broadcast_rows: int = 1_000_000) -> DataFrame:
     """A row for each document and item it holds: doc_id, tk (text key), item_id, copies (of the item), windows, matched, same (are all fillers the item's)."""
     known = materialise(benchmark_windows(benchmark, window, short), "benchmark-windows")
-    counts = {r["width"]: r["n"] for r in known.groupBy("width").agg(F.count(F.lit(1)).alias("n")).collect()}  # at most two rows
+    counts = {r["width"]: r["n"] for r in known.groupBy("width").agg(F.count(F.lit(1)).alias("n")).collect()}  # a row for each width that occurs
     small = sum(counts.values()) <= broadcast_rows
     texts = _templates(docs, [F.col("doc_id").cast("long").alias("doc_id"), text_key().alias("tk")])
     hits = None

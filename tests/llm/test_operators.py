@@ -378,6 +378,21 @@ def test_templates(spark, docs, none):
     assert DC.decontaminate(docs, b).count() == len(rows()) and DC.decontaminate(docs, b).columns == docs.columns
 
 
+def found(spark, texts, items):
+    """(document, item, same) of what is found, both numbered from 0."""
+    d = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    b = spark.createDataFrame(list(enumerate(items)), "item_id long, text string")
+    return sorted((r["doc_id"], r["item_id"], r["same"]) for r in DC.contaminated(d, b).collect())
+
+
+def test_short_items_in_full(spark):
+    """Items of 5, 6 and 7 tokens: a document that holds all but the last of them is clean."""
+    items = ["what is the capital of France", "name the largest lake of inland Asia", "how far is the moon"]
+    held = [f"they ask {t} now and then" for t in items]
+    cut = [f"they ask {t.rsplit(' ', 1)[0]}" for t in items] + ["they ask what is the capital of trade", "how far is the sun"]
+    assert found(spark, held + cut, items) == [(k, k, True) for k in range(3)]
+
+
 def test_leaks_on_given(spark, sf):
     sf = sf.replace("0.001", "0.01")
     plain = lambda t: " ".join(re.findall(r"[^\W_]+", (t or "").lower()))
