@@ -8,7 +8,8 @@ A document is contaminated by an item if at least `least` windows of the item ma
 windows: 13 tokens in a row), or all of a shorter item's.
 
 The benchmark's windows are broadcast only if their counted rows are at most `broadcast_rows`; beyond that both sides
-are shuffled by hash. Equal templates among the items are one item, the smallest item_id, with their number.
+are shuffled by hash. Items of equal template whose slots hold equal fillers at the same places (so that a document is
+consistent with all or none of them) are one item, the smallest item_id, with their number.
 
 Defined results: null and empty texts match nothing; items of fewer than `window` tokens are looked for as one window of
 their full width, and left out below `short` tokens; windows with fewer than half literal tokens are left out on the
@@ -65,7 +66,9 @@ def benchmark_windows(benchmark: DataFrame, window: int = 8, short: int = 5) ->
     """Windows of distinct templates: item_id, copies, windows (of the item), width, hash, item_at, item_tokens, item_raw."""
     items = _templates(benchmark, [F.col("item_id").cast("long").alias("item_id")]).where(F.size("tokens") >= short)
     one = F.min_by(F.struct("tokens", "slotted", "raw"), F.coalesce("item_id", F.lit(0)))
-    items = items.withColumn("same", F.xxhash64("tokens")).groupBy("same").agg(F.min("item_id").alias("item_id"), F.count(F.lit(1)).alias("copies"), one.alias("of")).select("item_id", "copies", "of.*")
+    both = F.arrays_zip("tokens", "raw")
+    pattern = F.transform(both, lambda x: F.array_position(both, x))  # which slots hold equal fillers
+    items = items.withColumn("same", F.xxhash64("tokens", pattern)).groupBy("same").agg(F.min("item_id").alias("item_id"), F.count(F.lit(1)).alias("copies"), one.alias("of")).select("item_id", "copies", "of.*")
     both = None
     for width in range(short, window + 1):  # an item below `window` is one window of its own full width
         rows = items.where(F.size("tokens") == width if width < window else F.size("tokens") >= window)

@@ -393,6 +393,12 @@ def test_short_items_in_full(spark):
     assert found(spark, held + cut, items) == [(k, k, True) for k in range(3)]
 
 
+def test_items_of_one_template(spark):
+    """Equal templates with other patterns of equal slots are items of their own; equal patterns are one."""
+    items = [f"she took {a} apples and then {b} pears out of the basket on the table" for a, b in ((3, 3), (3, 4), (5, 5))]
+    assert found(spark, [f"so {t} today" for t in items], items) == [(0, 0, True), (0, 1, False), (1, 1, True), (2, 0, False), (2, 1, False)]
+
+
 def test_leaks_on_given(spark, sf):
     sf = sf.replace("0.001", "0.01")
     plain = lambda t: " ".join(re.findall(r"[^\W_]+", (t or "").lower()))
