@@ -12,8 +12,9 @@ are shuffled by hash. Items of equal template whose slots hold equal fillers at
 consistent with all or none of them) are one item, the smallest item_id, with their number.
 
 Defined results: null and empty texts match nothing; items of fewer than `window` tokens are looked for as one window of
-their full width, and left out below `short` tokens; windows with fewer than half literal tokens are left out on the
-benchmark's side; a null doc_id is kept as it is; repeated rows are told apart by text only, equal rows give one result;
+their full width, and left out below `short` tokens; windows with fewer than half literal tokens are looked for word
+for word only, without templates; an item is held if `least` of its windows match, or of those with literals enough all
+there are (if there are any); a null doc_id is kept as it is; repeated rows are told apart by text only, equal rows give one result;
 an empty table gives an empty result; other columns are ignored by `contaminated` and kept by `decontaminate`.
 """
 
@@ -48,36 +49,64 @@ def is_slot(token: Column) -> Column:
     return token.isin(NUMBER, NAME, UNIT)
 
 
-def _windows(rows: DataFrame, width: int, keep: list[str]) -> DataFrame:
-    """A row for each window: keep, hash, at (from 1), raw (what stands there, only in texts with slots)."""
+def _slices(width: int, *names: str) -> list:
+    """A function of a place (from 1) for each array: what stands there, `width` wide."""
+    return [lambda i, n=n: F.slice(n, i, width) for n in names]
+
+
+def _places(width: int) -> Column:
     count = F.size("tokens") - (width - 1)
-    at = F.when(count > 0, F.sequence(F.lit(1), F.greatest(count, F.lit(1)))).otherwise(F.array().cast("array<int>"))
-    each = F.transform(at, lambda i: F.struct(F.xxhash64(F.slice("tokens", i, width)).alias("hash"), i.alias("at"), F.when(F.col("slotted"), F.slice("raw", i, width)).alias("raw")))
-    return rows.select(*keep, F.inline(each))
+    return F.when(count > 0, F.sequence(F.lit(1), F.greatest(count, F.lit(1)))).otherwise(F.array().cast("array<int>"))
+
+
+def _windows(rows: DataFrame, width: int, keep: list[str]) -> DataFrame:
+    """The windows of documents, a row for each typing: keep, hash, at (from 1), raw, words (what stands there, null where nothing is a slot)."""
+    tokens, words, raw = _slices(width, "tokens", "words", "raw")
+    hashed = F.transform(_places(width), lambda i: F.struct(i.alias("at"), F.xxhash64(tokens(i)).alias("h"), F.xxhash64(words(i)).alias("hw"), F.xxhash64(raw(i)).alias("hr")))
+    slots = lambda x, f: F.when(x["h"] != x["hr"], f(x["at"]))
+    each = F.transform(hashed, lambda x: F.struct(x["at"].alias("at"), x["h"].alias("h"), x["hw"].alias("hw"), x["hr"].alias("hr"), slots(x, raw).alias("raw"), slots(x, words).alias("words")))
+    typed = F.when(F.col("h") == F.col("hr"), F.array("h")).otherwise(F.array_distinct(F.array("h", "hw", "hr")))
+    return rows.select(*keep, F.inline(each)).select(*keep, "at", "raw", "words", F.explode(typed).alias("hash"))
 
 
 def _templates(df: DataFrame, key: list[Column]) -> DataFrame:
     tokens, raw = template(text_or_empty())
-    slotted = F.exists("tokens", is_slot)
-    return df.select(*key, tokens.alias("tokens"), raw.alias("every")).withColumn("slotted", slotted).withColumn("raw", F.when(F.col("slotted"), F.col("every"))).drop("every")
+    rows = df.select(*key, tokens.alias("tokens"), raw.alias("raw"))
+    return rows.withColumn("words", F.col("tokens"))
+
+
+def _typings(of: Column) -> Column:
+    """All typings of a window: every choice between tokens and words, place by place."""
+    choices = F.zip_with(of["tokens"], of["words"], lambda t, w: F.array_distinct(F.array(t, w)))
+    none = F.array(F.array().cast("array<string>"))
+    return F.aggregate(choices, none, lambda made, c: F.flatten(F.transform(made, lambda m: F.transform(c, lambda x: F.concat(m, F.array(x))))))
 
 
 def benchmark_windows(benchmark: DataFrame, window: int = 8, short: int = 5) -> DataFrame:
-    """Windows of distinct templates: item_id, copies, windows (of the item), width, hash, item_at, item_tokens, item_raw."""
+    """Windows of distinct items, a row for each typing: item_id, copies, total (windows of the item), windows (those with literals enough), width, hash, item_at, heavy (too many slots), item_tokens, item_words, item_raw."""
     items = _templates(benchmark, [F.col("item_id").cast("long").alias("item_id")]).where(F.size("tokens") >= short)
-    one = F.min_by(F.struct("tokens", "slotted", "raw"), F.coalesce("item_id", F.lit(0)))
+    one = F.min_by(F.struct("tokens", "words", "raw"), F.coalesce("item_id", F.lit(0)))
     both = F.arrays_zip("tokens", "raw")
     pattern = F.transform(both, lambda x: F.array_position(both, x))  # which slots hold equal fillers
-    items = items.withColumn("same", F.xxhash64("tokens", pattern)).groupBy("same").agg(F.min("item_id").alias("item_id"), F.count(F.lit(1)).alias("copies"), one.alias("of")).select("item_id", "copies", "of.*")
+    items = items.withColumn("same", F.xxhash64("tokens", F.lit(0), "words", F.lit(0), pattern)).groupBy("same")
+    items = items.agg(F.min("item_id").alias("item_id"), F.count(F.lit(1)).alias("copies"), one.alias("of")).select("item_id", "copies", "of.*")
     both = None
     for width in range(short, window + 1):  # an item below `window` is one window of its own full width
         rows = items.where(F.size("tokens") == width if width < window else F.size("tokens") >= window)
-        found = _windows(rows, width, ["item_id", "copies", "tokens"]).withColumn("width", F.lit(width))
+        tokens, words, raw = _slices(width, "tokens", "words", "raw")
+        each = F.transform(_places(width), lambda i: F.struct(i.alias("at"), tokens(i).alias("tokens"), words(i).alias("words"), raw(i).alias("raw")))
+        found = rows.select("item_id", "copies", F.lit(width).alias("width"), F.explode(each).alias("of"))
         both = found if both is None else both.unionByName(found)
-    both = both.withColumn("item_tokens", F.slice("tokens", F.col("at"), F.col("width"))).drop("tokens")
-    both = both.where(F.size(F.filter("item_tokens", is_slot)) * 2 <= F.col("width"))
-    total = both.groupBy(F.col("item_id").alias("_item")).agg(F.count(F.lit(1)).alias("windows"))
-    return both.join(total, F.expr("item_id <=> _item")).select("item_id", "copies", "windows", "width", "hash", F.col("at").alias("item_at"), "item_tokens", F.col("raw").alias("item_raw"))
+    # what only the start of an item makes a slot is not counted
+    start = F.when((F.col("of.at") == 1) & ~is_slot(F.col("of.words")[0]), 1).otherwise(0)
+    slots = lambda v: F.size(F.filter(v, is_slot)) - F.when(is_slot(v[0]), start).otherwise(0)
+    both = both.withColumn("heavy", F.size(F.filter("of.words", is_slot)) * 2 > F.col("width")).withColumn("typings", _typings(F.col("of")))
+    both = both.withColumn("kept", F.filter("typings", lambda v: slots(v) * 2 <= F.col("width")))
+    whole = F.size("kept") == F.size("typings")  # else copies of the text itself are looked for too
+    both = both.withColumn("kept", F.when(whole, F.col("kept")).otherwise(F.array_union("kept", F.array("of.raw"))))
+    count = both.groupBy(F.col("item_id").alias("_item"), F.col("width").alias("_width")).agg(F.count(F.lit(1)).alias("total"), F.count_if(~F.col("heavy")).alias("windows"))
+    both = both.join(count, F.expr("item_id <=> _item and width = _width")).withColumn("typed", F.explode("kept"))
+    return both.select("item_id", "copies", "total", "windows", "width", F.xxhash64("typed").alias("hash"), F.col("of.at").alias("item_at"), "heavy", F.col("of.tokens").alias("item_tokens"), F.col("of.words").alias("item_words"), F.col("of.raw").alias("item_raw"))
 
 
 def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = 8, short: int = 5, least: int = 6, broadcast_rows: int = 1_000_000) -> DataFrame:
@@ -91,15 +120,24 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = 8, short:
         right = known.where(F.col("width") == width)
         found = _windows(texts, width, ["doc_id", "tk"]).join(F.broadcast(right) if small else right, "hash")
         hits = found if hits is None else hits.unionByName(found)
-    place = F.arrays_zip(F.col("item_tokens").alias("t"), F.col("item_raw").alias("i"), F.col("raw").alias("d"))
-    fillers = F.transform(F.filter(place, lambda x: is_slot(x["t"])), lambda x: F.struct(x["t"].alias("kind"), x["i"].alias("item"), x["d"].alias("doc")))
-    hits = hits.select("doc_id", "tk", "item_id", "copies", "windows", "item_at", (F.col("at") - F.col("item_at")).alias("shift"), F.when(F.col("item_raw").isNotNull() & F.col("raw").isNotNull(), fillers).alias("fillers"))
-    of = ["doc_id", "tk", "item_id", "copies", "windows"]
-    runs = hits.groupBy(*of, "shift").agg(F.collect_set("item_at").alias("ats"), F.array_distinct(F.flatten(F.collect_set("fillers"))).alias("pairs"))
-    sources = F.array_distinct(F.transform("pairs", lambda p: F.struct(p["kind"].alias("kind"), p["item"].alias("item"))))
-    runs = runs.where(F.size(sources) == F.size("pairs")).withColumn("kept", F.forall("pairs", lambda p: p["item"] == p["doc"]))
-    pairs = runs.groupBy(*of).agg(F.size(F.array_distinct(F.flatten(F.collect_list("ats")))).alias("matched"), F.bool_and("kept").alias("same"))
-    return pairs.where(F.col("matched") >= F.least(F.lit(least), F.col("windows")))
+    # a document's window without slots holds the item's own words
+    place = F.arrays_zip(F.col("item_tokens").alias("t"), F.col("item_words").alias("iw"), F.col("item_raw").alias("i"), F.coalesce("words", "item_raw").alias("dw"), F.coalesce("raw", "item_raw").alias("d"))
+    slots = F.filter(place, lambda x: is_slot(x["t"]) | (x["i"] != x["d"]))
+    fillers = F.transform(slots, lambda x: F.struct(x["t"].alias("kind"), x["i"].alias("item"), x["d"].alias("doc"), (is_slot(x["iw"]) & is_slot(x["dw"])).alias("sure")))
+    of = ["doc_id", "tk", "item_id", "copies", "windows", "total"]
+    hits = hits.select(*of, (F.col("at") - F.col("item_at")).alias("shift"), F.struct("item_at", "heavy", fillers.alias("pairs")).alias("hit"))
+    runs = hits.groupBy(*of, "shift").agg(F.collect_set("hit").alias("hits"))
+    runs = runs.withColumn("pairs", F.array_distinct(F.flatten("hits.pairs")))
+    against = lambda p, q: (p["kind"] == q["kind"]) & (p["item"] == q["item"]) & (p["doc"] != q["doc"])
+    runs = runs.withColumn("clash", F.filter("pairs", lambda p: F.exists("pairs", lambda q: against(p, q))))
+    runs = runs.where(~F.exists("clash", lambda p: p["sure"] & F.exists("clash", lambda q: q["sure"] & against(p, q))))
+    # words that only may be names prove nothing against an alignment: where they clash, their windows do not count
+    runs = runs.withColumn("hits", F.filter("hits", lambda h: ~F.exists(h["pairs"], lambda p: ~p["sure"] & (p["item"] != p["doc"]) & F.array_contains("clash", p))))
+    runs = runs.withColumn("kept", F.forall(F.flatten("hits.pairs"), lambda p: p["item"] == p["doc"])).withColumn("ats", F.transform("hits", lambda h: F.struct(h["item_at"].alias("at"), h["heavy"].alias("heavy"))))
+    pairs = runs.where(F.size("ats") > 0).groupBy(*of).agg(F.array_distinct(F.flatten(F.collect_list("ats"))).alias("ats"), F.bool_and("kept").alias("same"))
+    pairs = pairs.withColumn("light", F.size(F.filter("ats", lambda x: ~x["heavy"]))).withColumn("matched", F.size("ats"))
+    enough = (F.col("windows") > 0) & (F.col("light") >= F.least(F.lit(least), F.col("windows"))) | (F.col("matched") >= F.least(F.lit(least), F.col("total")))
+    return pairs.where(enough).select("doc_id", "tk", "item_id", "copies", F.col("total").alias("windows"), "matched", "same")
 
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:

@@ -399,6 +399,14 @@ def test_items_of_one_template(spark):
     assert found(spark, [f"so {t} today" for t in items], items) == [(0, 0, True), (0, 1, False), (1, 1, True), (2, 0, False), (2, 1, False)]
 
 
+def test_slot_heavy_items(spark):
+    """Verbatim copies of items whose windows are mostly slots, and other numbers in them."""
+    items = ["12 + 7 - 3 + 40 - 5 + 6 + 1 + 9 + 8 equals", "1 2 3 4 5", "they list, Ann, Bob, Cid, Dan, Eve, Flo, Gus, Hal, Ida, Jim and, Kit"]
+    held = [f"so {t} as we know" for t in items]
+    other = ["so 11 + 7 - 3 + 41 - 5 + 6 + 2 + 9 + 8 equals as we know", "so 1 2 3 4 6 too", "they list, Kit, Jim, Cid, Hal, Eve, Dan, Gus, Flo, Ida, Ann and, Bob"]
+    assert found(spark, held + other, items) == [(k, k, True) for k in range(3)]
+
+
 def test_leaks_on_given(spark, sf):
     sf = sf.replace("0.001", "0.01")
     plain = lambda t: " ".join(re.findall(r"[^\W_]+", (t or "").lower()))
