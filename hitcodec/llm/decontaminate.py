@@ -1,9 +1,12 @@
 """Benchmark decontamination by templates, with DataFrame functions only.
 
-Texts become token sequences in which numbers, names (capitalised words inside a sentence) and units (after a number) are
-replaced by typed placeholders. Windows of `window` template tokens are hashed and hash-joined with those of the
-benchmark, so that a question with other numbers or names still meets its source. Matches are grouped by alignment; a
-match counts if its slots are consistent: every filler of the item stands for one filler in the document throughout.
+Texts become token sequences in which numbers, names (capitalised words) and units (after a number) are replaced by typed
+placeholders. A capitalised word at the start of a text or sentence may be a name or not: the benchmark's windows are
+looked for under every choice, the documents' with all such words as names and with none, so that neither what stands
+before a pasted item nor other names at its sentence starts hide it. Windows of `window` template tokens are hashed and
+hash-joined with those of the benchmark, so that a question with other numbers or names still meets its source. Matches are grouped by alignment; a
+match counts if its slots are consistent: every filler of the item stands for one filler in the document throughout
+(windows with words that only may be names are left out where these clash; sure slots that clash rule out the match).
 A document is contaminated by an item if at least `least` windows of the item match (eight tokens a window and six
 windows: 13 tokens in a row), or all of a shorter item's.
 
@@ -26,22 +29,25 @@ from pyspark.sql import functions as F
 from hitcodec.llm.common import text_key, text_or_empty
 from hitcodec.session import materialise
 
-NUMBER, NAME, UNIT = "", "", ""
+NUMBER, NAME, UNIT, MAYBE = "", "", "", ""
 # Units that follow a number.
 UNITS = (
     "mm cm dm m km in inch inches ft foot feet yd yards mi mile miles mg g kg t lb lbs oz ounces tons ml cl dl l liter "
     "liters litre litres gallons s sec seconds min minutes h hr hours hour day days week weeks month months year years "
     "percent pct usd eur dollars euros cents pounds hz khz mhz ghz kb mb gb tb w kw mw v kv a j kj k c f degrees"
 ).split()
-TOKEN = rf"[{NUMBER}{NAME}{UNIT}]|\d+(?:[.,]\d+)*|[\p{{L}}\p{{M}}]+"
+TOKEN = rf"[{NUMBER}{NAME}{UNIT}{MAYBE}]|\d+(?:[.,]\d+)*|[\p{{L}}\p{{M}}]+"
 NAME_AT = rf"(?<=[\p{{Ll}}\p{{N}},;:)] )\p{{Lu}}[\p{{L}}\p{{M}}]*"
+# Capitalised words elsewhere: at the start of a text or sentence, where they are names or words.
+MAYBE_AT = r"(?<![\p{L}\p{M}\p{N}])\p{Lu}[\p{L}\p{M}]*"
 NUMBER_AT = r"\d+(?:[.,]\d+)*"
 UNIT_AT = rf"(?<={NUMBER} ?)(?i:{'|'.join(sorted(UNITS, key=lambda u: (-len(u), u)))})(?![\p{{L}}\p{{M}}])"
 
 
 def template(text: Column) -> tuple[Column, Column]:
-    """Template tokens and, token by token, what stands in the text."""
-    marked = F.regexp_replace(F.regexp_replace(F.regexp_replace(text, NAME_AT, NAME), NUMBER_AT, NUMBER), UNIT_AT, UNIT)
+    """Template tokens and, token by token, what stands in the text. Whether a word that begins a sentence is a name is left open."""
+    marked = F.regexp_replace(F.regexp_replace(text, NAME_AT, NAME), MAYBE_AT, MAYBE)
+    marked = F.regexp_replace(F.regexp_replace(marked, NUMBER_AT, NUMBER), UNIT_AT, UNIT)
     return F.regexp_extract_all(F.lower(marked), F.lit(TOKEN), F.lit(0)), F.regexp_extract_all(F.lower(text), F.lit(TOKEN), F.lit(0))
 
 
@@ -70,9 +76,11 @@ def _windows(rows: DataFrame, width: int, keep: list[str]) -> DataFrame:
 
 
 def _templates(df: DataFrame, key: list[Column]) -> DataFrame:
-    tokens, raw = template(text_or_empty())
-    rows = df.select(*key, tokens.alias("tokens"), raw.alias("raw"))
-    return rows.withColumn("words", F.col("tokens"))
+    """Both typings of texts: in `tokens` all capitalised words are names, in `words` those that begin a sentence stand for themselves."""
+    marked, raw = template(text_or_empty())
+    rows = df.select(*key, marked.alias("marked"), raw.alias("raw"))
+    words = F.zip_with("marked", "raw", lambda t, r: F.when(t == MAYBE, r).otherwise(t))
+    return rows.select("*", F.transform("marked", lambda t: F.when(t == MAYBE, NAME).otherwise(t)).alias("tokens"), words.alias("words")).drop("marked")
 
 
 def _typings(of: Column) -> Column:

@@ -407,6 +407,26 @@ def test_slot_heavy_items(spark):
     assert found(spark, held + other, items) == [(k, k, True) for k in range(3)]
 
 
+SHORT = "Which planet is closest to the sun by mean distance over one whole orbit of it"
+
+
+@pytest.mark.parametrize("n", [5, 7, 8, 10, 13])
+def test_names_at_starts(spark, n):
+    """Items pasted after any character, and items that begin with a name, which is changed."""
+    item = " ".join(SHORT.split()[:n])
+    named = " ".join("Tom has 3 apples and eats 2 of them. Then he buys some more".split()[:n])
+    before = ["", "a word ", "after, ", "An end. ", '"', "in 1999 ", "line\n"]
+    texts = [f"{b}{item} then" for b in before] + [f"a {item.lower()}"] + [f"{b}{named.replace('Tom', 'Sue').replace('3', '7')}" for b in before]
+    want = [(k, 0, True) for k in range(len(before) + 1)] + [(len(before) + 1 + k, 1, False) for k in range(len(before))]
+    assert found(spark, [*texts, "Which one of the planets is it", "Tom and I have no apples"], [item, named]) == want
+
+
+def test_changed_starts_hide_nothing(spark):
+    """A word at a sentence start, changed in one place and kept in another, leaves the other windows of the item."""
+    item = "The cat sat on the mat for all of that long day and slept there. The dog was out in the yard and barked at the moon"
+    assert [r[:2] for r in found(spark, [item.replace("The dog", "One dog")], [item])] == [(0, 0)]
+
+
 def test_leaks_on_given(spark, sf):
     sf = sf.replace("0.001", "0.01")
     plain = lambda t: " ".join(re.findall(r"[^\W_]+", (t or "").lower()))
