@@ -4,8 +4,8 @@ Features are the n-grams present in the lower-cased text (a space added at both
 all labelled training rows, the log-count ratio of a bucket is r = log(share of toxic rows / share of clean rows that have it),
 smoothed by half a row; buckets whose two shares differ by less than `least_z` standard errors get r = 0. A logistic
 regression is then fitted on x * r (present or not, times r; the rows scaled to about unit length). The counts are summed in the executors by chunks of buckets, so that what meets
-in a task or the driver is bounded by the number of buckets; the regression is fitted on at most `fit_rows` labelled
-rows, half of them toxic where there are enough, and its bias is shifted back to the share of toxic rows overall.
+in a task or the driver is bounded by the number of buckets, all of which may be kept; the regression is fitted on at most `fit_rows` labelled
+rows (streamed to a file of the driver), half of them toxic where there are enough, and its bias is shifted back to the share of toxic rows overall.
 
 Only text enters a score. Rows whose crc32(doc_id as text) mod 5 is 0 are never learnt from.
 
@@ -17,7 +17,9 @@ by `toxicity_filter` and ignored by `score`.
 
 from __future__ import annotations
 
+import tempfile
 import zlib
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -27,6 +29,7 @@ from pyspark.sql import functions as F
 BITS = 20
 ORDERS = (3, 4, 5, 6)
 CHUNK = 16384
+PART = 1 << 20
 MULTIPLIER = np.uint32(0x01000193)
 SPREAD = np.uint32(0x9E3779B1)
 
@@ -68,10 +71,8 @@ def known_labels(labels: DataFrame) -> DataFrame:
     return known.where(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 != 0)
 
 
-def log_ratios(rows: DataFrame, least_z: float = 4.0, most_kept: int = 1 << 15) -> tuple[np.ndarray, np.ndarray, int, int]:
-    """Kept buckets and their log-count ratios over all rows (doc_id, text, y), and the rows of both classes.
-
-    `most_kept` bounds the features of the model: an equal part of them, the clearest, from each chunk of buckets."""
+def log_ratios(rows: DataFrame, least_z: float = 4.0) -> tuple[np.ndarray, np.ndarray, int, int]:
+    """Kept buckets and their log-count ratios over all rows (doc_id, text, y), and the rows of both classes."""
 
     def count(batches):
         grams, counts, seen = Grams(), np.zeros((2, 1 << BITS), np.uint32), np.zeros(2, np.uint32)
@@ -102,35 +103,42 @@ def log_ratios(rows: DataFrame, least_z: float = 4.0, most_kept: int = 1 << 15)
                 error = np.sqrt(pool * (1 - pool) * (1 / n1 + 1 / n0)) + 1e-12
                 z = np.abs(toxic / n1 - clean / n0) / error
                 bucket = np.flatnonzero((z > least_z) & (clean + toxic > 2))
-                bucket = bucket[np.argsort(-z[bucket], kind="stable")[: most_kept * CHUNK >> BITS]]
                 ratio = np.log((toxic[bucket] + 0.5) / (n1 + 1)) - np.log((clean[bucket] + 0.5) / (n0 + 1))
             if k == 0:  # the numbers of rows, once
                 yield pa.RecordBatch.from_arrays([pa.array([-1, -2], pa.int32()), pa.array([float(n1), float(n0)], pa.float64())], ["bucket", "ratio"])
             yield pa.RecordBatch.from_arrays([pa.array(k + bucket, pa.int32()), pa.array(ratio, pa.float64())], ["bucket", "ratio"])
 
     kept = rows.mapInArrow(count, "chunk int, counts binary").repartition("chunk").mapInArrow(total, "bucket int, ratio double")
-    got = kept.collect()  # at most a row for each bucket, some thousands in practice
-    seen = {r[0]: int(r[1]) for r in got if r[0] < 0}
-    pairs = sorted((r[0], r[1]) for r in got if r[0] >= 0)
-    return np.array([p[0] for p in pairs], np.int32), np.array([p[1] for p in pairs], np.float64), seen.get(-1, 0), seen.get(-2, 0)
+    got = kept.toArrow()  # at most a row for each bucket: 12 MB
+    bucket, ratio = got.column(0).to_numpy(), got.column(1).to_numpy()
+    seen = dict(zip(bucket[bucket < 0].tolist(), ratio[bucket < 0].astype(int).tolist()))
+    order = np.argsort(bucket, kind="stable")[len(seen) :]
+    return bucket[order].astype(np.int32), ratio[order], seen.get(-1, 0), seen.get(-2, 0)
+
 
+def fit_weights(places: np.ndarray, ends: np.ndarray, y: np.ndarray, ratio: np.ndarray, rounds: int = 80, penalty: float = 1e-4) -> tuple[np.ndarray, float]:
+    """Logistic regression on present-or-not times ratio, by Adagrad over all rows.
 
-def fit_weights(rows: list[np.ndarray], y: np.ndarray, ratio: np.ndarray, rounds: int = 80, penalty: float = 1e-4) -> tuple[np.ndarray, float]:
-    """Logistic regression on present-or-not times ratio, by Adagrad over all rows (places of their kept buckets)."""
+    places: of the kept buckets of all rows, one row after the other (a mapped file), up to `ends`."""
     n = len(ratio)
-    parts = []  # some rows at a time bound the memory
-    for k in range(0, len(rows), 500):
-        some = rows[k : k + 500]
-        flat = np.concatenate(some).astype(np.int32)
-        owner = np.repeat(np.arange(len(some), dtype=np.int32), [len(r) for r in some])
-        x = ratio[flat].astype(np.float32)
-        parts.append((slice(k, k + len(some)), flat, owner, x / np.sqrt(np.bincount(owner, x * x, len(some)) + 1.0).astype(np.float32)[owner]))
+    sizes = np.diff(ends, prepend=0)
+    scale = np.ones(len(y), np.float32)
+    cuts = [0, *(np.flatnonzero(np.diff(ends // PART)) + 1).tolist(), len(y)]  # some rows at a time bound the memory
+
+    def parts():
+        for k, m in zip(cuts, cuts[1:]):
+            flat = np.asarray(places[ends[k] - sizes[k] : ends[m - 1]])
+            owner = np.repeat(np.arange(m - k, dtype=np.int32), sizes[k:m])
+            yield slice(k, m), flat, owner, ratio[flat].astype(np.float32) * scale[k:m][owner]
+
+    for at, _, owner, x in parts():
+        scale[at] = 1 / np.sqrt(np.bincount(owner, x * x, at.stop - at.start) + 1.0)
     w, bias, past, past_bias = np.zeros(n), 0.0, np.full(n, 1e-8), 1e-8
     for _ in range(rounds):
-        slope, shift = penalty * w / len(rows), 0.0
-        for at, flat, owner, x in parts:
+        slope, shift = penalty * w / len(y), 0.0
+        for at, flat, owner, x in parts():
             z = np.bincount(owner, w[flat] * x, at.stop - at.start) + bias
-            wrong = (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y[at]) / len(rows)
+            wrong = (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y[at]) / len(y)
             slope += np.bincount(flat, wrong[owner] * x, n)
             shift += wrong.sum()
         past += slope * slope
@@ -146,7 +154,7 @@ def log_odds(share: float) -> float:
 
 
 def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = 4000, least_z: float = 4.0) -> dict:
-    """The model: kept buckets with their ratios and weights (some thousands), and the bias.
+    """The model: kept buckets with their ratios and weights, and the bias.
 
     fit_rows bounds the labelled rows that the regression sees; the ratios count all of them.
     """
@@ -163,15 +171,21 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = 4000, least_z: float
         mask[kept] = True
         for batch in batches:
             every = (buckets(t) for t in batch.column(1).to_pylist())
-            found = [np.searchsorted(kept, np.unique(e[mask[e]])).astype("<u2").tobytes() for e in every]
+            found = [np.searchsorted(kept, np.unique(e[mask[e]])).astype("<i4").tobytes() for e in every]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(found, pa.binary())], ["doc_id", "y", "found"])
 
     first = lambda y: known.where(f"y = {y}").orderBy(F.xxhash64("doc_id"), "doc_id").limit(fit_rows // 2)
     sample = F.broadcast(first(1).unionByName(first(0)))  # fit_rows rows of two numbers
     some = texts.join(sample, "doc_id").select("doc_id", "text", "y").mapInArrow(places, "doc_id long, y int, found binary")
-    got = some.orderBy("doc_id", "found").limit(fit_rows).collect()
-    y = np.array([r["y"] for r in got], np.float64)
-    w, own = fit_weights([np.frombuffer(r["found"], "<u2") for r in got], y, ratio)
+    y, sizes = [], []
+    with tempfile.TemporaryFile() as file:  # read by the driver alone
+        for r in islice(some.orderBy("doc_id", "found").toLocalIterator(), fit_rows):
+            y.append(float(r["y"]))
+            sizes.append(file.write(r["found"]) // 4)
+        file.flush()
+        places = np.memmap(file, "<i4", "r") if sum(sizes) else np.zeros(0, np.int32)
+        y = np.array(y)
+        w, own = fit_weights(places, np.cumsum(sizes), y, ratio)
     return {"kept": kept, "ratio": ratio, "w": w, "bias": own + bias - log_odds(float(y.mean()))}
 
 

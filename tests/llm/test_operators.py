@@ -278,6 +278,18 @@ def test_toxicity(spark, docs, none):
     assert all(r["score"] < 0.5 for r in TX.score(docs, plain).collect())
 
 
+def test_all_clear_features_are_kept(spark):
+    """More n-grams that tell the classes apart than 2**15, and places beyond two bytes."""
+    rng = np.random.default_rng(8)
+    clean, toxic = (["".join(rng.choice(list(a), 6)) for _ in range(9000)] for a in ("abcdefghijklm", "nopqrstuvwxyz"))
+    local = [(k, " ".join(toxic if k % 2 else clean)) for k in range(60)]
+    d = spark.createDataFrame(local, "doc_id long, text string").repartition(4)
+    model = TX.fit(d, spark.createDataFrame([(k, k % 2) for k, _ in local], "doc_id long, toxic int"))
+    only = [set(TX.buckets(t).tolist()) for _, t in local[:2]]
+    assert set(model["kept"].tolist()) == only[0] ^ only[1] and len(model["kept"]) > 1 << 16
+    assert all(r["predicted"] == r["doc_id"] % 2 for r in TX.score(d, model).collect())
+
+
 def test_toxicity_on_given(spark, sf):
     sf = sf.replace("0.001", "0.01")
     got = Q.op4_toxicity(spark, sf).join(table(spark, sf, "labels"), "doc_id").where("held_out").collect()
