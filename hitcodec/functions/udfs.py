@@ -54,7 +54,7 @@ def trace_udtf():
 
 
 def decode_udtf(symbols: int):
-    """Table function: the symbols of an Exp-Golomb bit string, one after the other."""
+    """Table function: the symbols of an Exp-Golomb bit string, one after the other; one beyond the alphabet is an error."""
 
     class Decode:
         def eval(self, bits: str):
@@ -62,8 +62,9 @@ def decode_udtf(symbols: int):
             while at < len(bits):
                 zeros = bits.index("1", at) - at
                 value = int(bits[at + zeros : at + 2 * zeros + 1], 2) - 1
-                if value < symbols:
-                    yield pos, value
+                if value >= symbols:
+                    raise ValueError(f"symbol {value} is beyond the alphabet of {symbols}")
+                yield pos, value
                 at, pos = at + 2 * zeros + 1, pos + 1
 
     return F.udtf(Decode, returnType="pos int, sym int")

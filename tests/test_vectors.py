@@ -116,3 +116,12 @@ def test_forward_error_correction():
     assert fec.parity_repair([b"abc", None, b"fghij"], [3, 2, 5], parity) == blocks
     with pytest.raises(ValueError):
         fec.parity_repair([None, None, b"x"], [3, 2, 1], parity)
+
+
+def test_symbols_beyond_the_alphabet():
+    from hitcodec.functions.udfs import decode_udtf
+
+    decode = decode_udtf(3).func().eval
+    assert list(decode("1010011")) == [(0, 0), (1, 1), (2, 2)]
+    with pytest.raises(ValueError):
+        list(decode("100100"))
