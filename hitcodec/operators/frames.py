@@ -68,6 +68,8 @@ def _symbols(model: dict, v: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.nda
     """Symbols, raw values and raw widths of values."""
     if "escape" in model:
         e = model["escape"]
+        if (v - e >= 1 << 16).any():
+            raise ValueError("a number of pulses is beyond the escape's 16 bits")
         s = np.minimum(v, e)
         w = np.where(s == e, 16, 0)
         return s, np.maximum(v - e, 0), w
