@@ -3,13 +3,17 @@
 A stream of ids is cut in blocks that are coded independently, each with a model of its own from the first id on:
 
 * order 2 and order 1 keep, for a hash of the last two ids and of the last id, the id that followed, with a confidence;
-* order 0 counts ids in buckets (one id each below SINGLE, 64 ids above), its running sums renewed every RENEW ids;
-* the mix gives weights to the three by counts of which one was right, for each pair of confidences.
+* order 0 is a distribution over all ids in buckets (one id each below SINGLE, WIDE ids above);
+* the mix weighs the three by how often each was right, for each pair of confidences.
 
-The mixed distribution drives a range coder: order 0 is a cumulative distribution over all ids, and the two predictions
-add their weight at their id, so that coding and decoding need no escape symbols. Each step codes one id of every block at
-once with NumPy integers. A frame holds a header, a table of blocks (ids, words, CRC-32 of ids and of payload) and the
-payloads, in words of 16 bits; everything is checked when it is read.
+The table of orders 2 and 1 learns from every id (a context's order-2 ids stand beside its order-1 id, in one cache line);
+order 0 and the weights are renewed after 64, 320, 1344, ... ids.
+
+The mix drives a range coder: its line has the share of order 2's id, that of order 1's, and order 0's whole distribution
+in what is left, so that no escape symbols are needed. An id has the first of these places that holds it; what order 0
+keeps for an id that a context predicts stays unused. Each step codes one id of every block at once; the coder's integers
+are below 2**53 and held as doubles, which are exact there and divide fast. A frame holds a header, a table of blocks
+(ids, words, CRC-32 of ids and of payload) and the payloads, in words of 16 bits; everything is checked when it is read.
 """
 
 from __future__ import annotations
@@ -19,158 +23,206 @@ import zlib
 
 import numpy as np
 
-MAGIC = b"IDRC1\0\0\0"
+MAGIC = b"IDRC2\0\0\0"
 BLOCK = 4096
-LANES = 1024
-SINGLE, WIDE, WIDE_BITS = 512, 64, 6
-RENEW, GAIN = 128, 8
-TABLE_BITS = 11
-SCALE, PART = 36, 16  # bits of the mix's and of order 0's distribution
-LOW_RANGE = np.uint64(1 << 44)
-WORD = np.uint64(16)
-START2, START1, START0, STEP = 4, 4, 8, 4
-U = np.uint64
+LANES = 2048
+SINGLE, WIDE_BITS = 512, 8
+WIDE = 1 << WIDE_BITS
+FIRST, GROWTH, GAIN = 64, 4, 8
+TABLE_BITS = 9
+# bits of the mix's weights and of order 0's distribution over buckets; a bucket's ids share it evenly
+MIX, PART = 12, 12
+TAIL = PART + WIDE_BITS
+SCALE = MIX + TAIL
+MOST = np.uint32((1 << TAIL) - 1)
+# what a prediction of order 2 or 1 is trusted at first, by its confidence, and for how many ids that counts
+TRUST, WEIGHT = np.array([0.1, 0.4, 0.6, 0.8]), 4
+# the coder's state has 52 bits, of which the upper 16 leave as a word
+LOW_RANGE, TOP, TURN = 2.0**36, 2.0**52, 2.0**16
+K1, K2 = np.uint32(2654435761), np.uint32(2246822519)
+CHUNK = 32  # steps whose independent parts are taken together
 
 
 class _Model:
     """The models of all lanes; `ids` is the size of the vocabulary."""
 
-    def __init__(self, lanes: int, ids: int, steps: int):
+    def __init__(self, lanes: int, ids: int):
         self.n = n = SINGLE + max(0, -(-(ids - SINGLE) // WIDE))
-        if n + GAIN * steps > 1 << PART:
-            raise ValueError("the block is too long for the vocabulary")
-        b, x = np.arange(n), np.arange(max(ids, SINGLE))
-        self.start = np.where(b < SINGLE, b, SINGLE + (b - SINGLE) * WIDE).astype(np.int64)
-        self.bucket = np.where(x < SINGLE, x, SINGLE + (x - SINGLE) // WIDE).astype(np.int64)
-        self.place = x - self.start[self.bucket]
-        self.shift = np.where(x < SINGLE, 0, WIDE_BITS)
-        self.shift_of = np.where(b < SINGLE, 0, WIDE_BITS)
-        lane = np.arange(lanes, dtype=np.int64)
-        self.at_bucket, self.at_sum = lane * n, lane * (n + 1)
-        self.at_table, self.at_mix = lane << TABLE_BITS, lane * 48
-        self.count = np.ones((lanes, n), np.int32)
-        self.count_flat = self.count.ravel()
-        self.sums = np.zeros((lanes, n + 1), np.int32)
-        self.flat = self.sums.ravel()
-        self.after2 = np.zeros(lanes << TABLE_BITS, np.int32)
-        self.after1 = np.zeros(lanes << TABLE_BITS, np.int32)
-        self.right = np.tile(np.array([START2, START1, START0], np.int64), lanes * 16)
-        total = START2 + START1 + START0 + STEP * np.arange(steps + 1)
-        self.part_of = (1 << SCALE) // total  # by (total - start) / STEP
-        self.p1 = np.zeros(lanes, np.int64)
-        self.h1 = np.zeros(lanes, np.int64)
-        self.steps = 0
+        if 2 * n > 1 << PART:
+            raise ValueError("the vocabulary is too large")
+        bucket, lane = np.arange(n), np.arange(lanes)
+        self.first = np.where(bucket < SINGLE, bucket, (bucket << WIDE_BITS) - (SINGLE << WIDE_BITS) + SINGLE).astype(np.int32)
+        self.span = np.where(bucket < SINGLE, WIDE, 1).astype(np.uint32)  # an id's part of its bucket
+        self.at_bucket, self.at_slot, self.at_mix = lane * n, lane << PART, (lane << 4).astype(np.int32)
+        self.at_table = lane << TABLE_BITS + 2
+        self.after = np.zeros(lanes << TABLE_BITS + 2, np.int32)
+        self.count, self.seen = np.zeros(lanes * n, np.int32), 0
+        mix = np.arange(16)  # confidence of order 1, of order 2
+        two = TRUST[mix & 3]
+        one = (1 - two) * TRUST[mix >> 2]
+        self.right = np.tile(WEIGHT * np.stack([1 - one - two, one, two], 1), (lanes, 1))
+        self.share_ids()
+        self.share_mix()
+
+    def bucket(self, x: np.ndarray) -> np.ndarray:
+        return np.minimum(x, (x >> WIDE_BITS) + (SINGLE - (SINGLE >> WIDE_BITS)))
+
+    def renew(self, ids: np.ndarray, log: np.ndarray) -> None:
+        """Learn from some more ids (steps x lanes) and from which order was right in which context of the mix."""
+        place = self.bucket(np.ascontiguousarray(ids.T)) + self.at_bucket[:, None]  # lane by lane, near in memory
+        self.count += np.bincount(place.ravel(), minlength=len(self.count)).astype(np.int32)
+        self.seen += len(ids)
+        self.right += np.bincount(log.ravel(), minlength=self.right.size).reshape(-1, 3)
+        self.share_ids()
+        self.share_mix()
+
+    def share_ids(self) -> None:
+        """Begin of each bucket on order 0's line (the upper 12 bits of `share`), and size of each of its ids on the WIDE times longer one."""
+        n = self.n
+        size = self.count * GAIN
+        size += 1
+        size *= (1 << PART) - n >> 1  # halved against overflow
+        size //= n + GAIN * self.seen + 1 >> 1
+        size += 1
+        self.size = size
+        size = size.reshape(-1, n)
+        begin = np.cumsum(size, axis=1, dtype=np.int32)
+        over = (1 << PART) - begin[:, -1:]
+        begin += over
+        size[:, :1] += over
+        begin -= size
+        share = begin.astype(np.uint32)
+        share <<= np.uint32(TAIL)
+        share |= size.astype(np.uint32) * self.span
+        self.share = share.ravel()
 
-    def predict(self) -> None:
-        """Candidates and weights of the next id."""
-        if self.steps % RENEW == 0:
-            cum = np.cumsum(self.count, axis=1, dtype=np.int32)
-            np.multiply(cum, ((1 << PART) / cum[:, -1])[:, None], out=self.sums[:, 1:], casting="unsafe")
-            self.sums[:, -1] = 1 << PART
-        mask = (1 << TABLE_BITS) - 1
-        h1 = self.p1 * 40503
-        self.i1 = self.at_table + ((h1 >> 4) & mask)
-        self.i2 = self.at_table + ((h1 + self.h1 * 13 >> 5) & mask)
-        self.h1 = h1
-        e2, e1 = self.after2[self.i2], self.after1[self.i1]
-        self.c2, self.f2, self.c1, self.f1 = e2 >> 2, e2 & 3, e1 >> 2, e1 & 3
-        self.mix = self.at_mix + (self.f2 * 4 + self.f1) * 3
-        n2, n1, n0 = self.right[self.mix], self.right[self.mix + 1], self.right[self.mix + 2]
-        part = self.part_of[(n2 + n1 + n0 - (START2 + START1 + START0)) >> 2]
-        self.w2, self.w1 = n2 * part, n1 * part
-        self.w0 = (1 << SCALE) - self.w2 - self.w1
+    def share_mix(self) -> None:
+        """Weight of order 2, and of orders 2 and 1, in each context of the mix."""
+        most = (1 << MIX) * 63 // 64
+        part = np.floor(self.right * (most / self.right.sum(axis=1, keepdims=True))) + 1
+        self.part = (part[:, 2] * 65536 + part[:, 2] + part[:, 1]).astype(np.int32)
 
-    def span(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Begin and end of an id in the weighted order-0 distribution."""
-        at = self.at_sum + self.bucket[x]
-        low, high = self.w0 * self.flat[at] >> PART, self.w0 * self.flat[at + 1] >> PART
-        size, k, s = high - low, self.place[x], self.shift[x]
-        return low + (size * k >> s), low + (size * (k + 1) >> s)
+    def slots(self) -> np.ndarray:
+        """The bucket of each of a lane's 2**PART places."""
+        each = np.tile(np.arange(self.n, dtype=np.uint16), len(self.at_slot))
+        return np.repeat(each, self.size)
 
-    def interval(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Begin and width of an id in the mix."""
-        low, high = self.span(x)
-        low += self.w2 * (self.c2 < x) + self.w1 * (self.c1 < x)
-        high += self.w2 * (self.c2 <= x) + self.w1 * (self.c1 <= x)
-        return low, high - low
+    def weights(self, entry: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Context of the mix, ends of order 2's and order 1's share, by the entries (order 1, order 2) of the tables."""
+        one, two = entry[..., 0, :], entry[..., 1, :]
+        mix = one & 3
+        mix <<= 2
+        mix |= two & 3
+        mix += self.at_mix
+        part = self.part.take(mix)
+        return mix, (part >> 16) * 2.0**TAIL, (part & 0xFFFF) * 2.0**TAIL
 
-    def find(self, v: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """The id whose interval in the mix holds v, with the interval's begin and width."""
-        first = self.c2 <= self.c1
-        a, b = np.minimum(self.c2, self.c1), np.maximum(self.c2, self.c1)
-        wa, wb = np.where(first, self.w2, self.w1), np.where(first, self.w1, self.w2)
-        a_low, a_high = self.span(a)
-        b_low, b_high = self.span(b)
-        one = a == b
-        # equal predictions: the second interval is the one that counts, with both weights
-        a_high += wa
-        b_low += np.where(one, 0, wa)
-        b_high += wa + wb
-        is_b = (v >= b_low) & (v < b_high)
-        is_a = (v >= a_low) & (v < a_high) & ~is_b
-        x = np.where(is_a, a, b).astype(np.int64)
-        begin, size = np.where(is_a, a_low, b_low), np.where(is_a, a_high - a_low, b_high - b_low)
-        rest = np.flatnonzero(~(is_a | is_b))
-        if len(rest):
-            vr, w0, row = v[rest], self.w0[rest], self.at_sum[rest]
-            above = np.where(vr >= a_high[rest], wa[rest], 0) + np.where(vr >= b_high[rest], wb[rest], 0)
-            u = vr - above
-            place = ((u + 1 << PART) - 1) // w0
-            bucket, step = np.zeros(len(rest), np.int64), 1 << (self.n.bit_length() - 1)
-            while step:
-                bucket += step * (self.flat[row + np.minimum(bucket + step, self.n)] <= place)
-                step >>= 1
-            at = bucket + row
-            low, high = w0 * self.flat[at] >> PART, w0 * self.flat[at + 1] >> PART
-            s = self.shift_of[bucket]
-            width = high - low
-            k = ((u - low + 1 << s) - 1) // width
-            x[rest] = self.start[bucket] + k
-            begin[rest] = low + (width * k >> s) + above
-            size[rest] = (width * (k + 1) >> s) - (width * k >> s)
-        return x, begin, size
+    def places(self, x: np.ndarray, last: np.ndarray) -> np.ndarray:
+        """Places in the table after ids x (... x lanes) that follow the ids `last`: order 2 has three beside each of order 1."""
+        place = np.empty((*x.shape[:-1], 2, x.shape[-1]), np.int64)
+        one, two = place[..., 0, :], place[..., 1, :]
+        code = x.view(np.uint32) * K1
+        code >>= np.uint32(32 - TABLE_BITS)
+        code <<= np.uint32(2)
+        np.add(self.at_table, code, out=one)
+        code = last.view(np.uint32) * K2
+        code >>= np.uint32(16)
+        code *= np.uint32(3)
+        code >>= np.uint32(16)
+        code += np.uint32(1)
+        np.add(one, code, out=two)
+        return place
 
-    def learn(self, x: np.ndarray) -> None:
-        hit2, hit1 = x == self.c2, x == self.c1
-        self.right[self.mix + np.where(hit2, 0, np.where(hit1, 1, 2))] += STEP
-        fresh = (x << 2).astype(np.int32)
-        # sure of the same id: surer; else less sure of the old one, or the new one
-        self.after2[self.i2] = np.where(hit2, fresh | np.minimum(self.f2 + 1, 3), np.where(self.f2 > 0, (self.c2 << 2) + self.f2 - 1, fresh))
-        self.after1[self.i1] = np.where(hit1, fresh | np.minimum(self.f1 + 1, 3), np.where(self.f1 > 0, (self.c1 << 2) + self.f1 - 1, fresh))
-        self.count_flat[self.at_bucket + self.bucket[x]] += GAIN
-        self.p1 = x
-        self.steps += 1
+    def learn(self, place: np.ndarray, entry: np.ndarray, fresh: np.ndarray) -> np.ndarray:
+        """Which of the two were right: those are surer now, the others hold the new id (`fresh`: four times the id)."""
+        entry = entry ^ fresh  # the confidence where right, more where wrong
+        hit = entry.view(np.uint32) < 4
+        entry += 1
+        np.minimum(entry, 3, out=entry)
+        entry *= hit
+        entry += fresh
+        self.after[place.reshape(-1)] = entry.reshape(-1)
+        return hit
+
+
+def _segments(steps: int) -> list[tuple[int, int]]:
+    """Where the models are renewed."""
+    cuts, size = [0], FIRST
+    while cuts[-1] + size < steps:
+        cuts.append(cuts[-1] + size)
+        size *= GROWTH
+    return list(zip(cuts, [*cuts[1:], steps]))
 
 
 def _encode_lanes(columns: np.ndarray, ids: int) -> list[bytes]:
-    """Payloads of the lanes; `columns` is steps x lanes."""
+    """Payloads of the lanes; `columns` is steps x lanes (int32)."""
     steps, lanes = columns.shape
-    model = _Model(lanes, ids, steps)
-    low, width = np.zeros(lanes, U), np.full(lanes, 1 << 60, U)
-    out = np.zeros((lanes, steps + steps // 8 + 16), np.int32)  # most ids take less than a word; grown where not
-    used, lane = np.zeros(lanes, np.int64), np.arange(lanes)
-    for step, x in enumerate(columns):
-        if step % 64 == 0 and int(used.max()) + 3 * 64 + 8 > out.shape[1]:
-            out = np.concatenate([out, np.zeros((lanes, out.shape[1] // 2 + 256), np.int32)], axis=1)
-        x = x.astype(np.int64)
-        model.predict()
-        begin, size = model.interval(x)
-        unit = width >> U(SCALE)
-        low += unit * begin.astype(U)
-        width = unit * size.astype(U)
-        while True:
-            small = np.flatnonzero(width < LOW_RANGE)
-            if not len(small):
-                break
-            out[small, used[small]] = (low[small] >> U(44)).astype(np.int32)  # may hold a carry above 16 bits
-            used[small] += 1
-            low[small] = (low[small] & U((1 << 44) - 1)) << WORD
-            width[small] <<= WORD
-        model.learn(x)
+    model = _Model(lanes, ids)
+    low, width = np.zeros(lanes), np.full(lanes, TOP)
+    room = steps // 2 + 3 * CHUNK + 8  # grown where that is too little
+    out = np.zeros((lanes, room), np.int32)
+    flat, at, begins = out.ravel(), np.arange(lanes) * room, np.arange(lanes) * room
+    before = np.concatenate([np.zeros((2, lanes), np.int32), columns])
+    for start, stop in _segments(steps):
+        if start:
+            model.renew(columns[begun:start], log)
+        begun, log = start, np.empty((stop - start, lanes), np.int32)
+        for k0 in range(start, stop, CHUNK):
+            x = columns[k0 : min(k0 + CHUNK, stop)]
+            place = model.places(before[k0 + 1 : k0 + 1 + len(x)], before[k0 : k0 + len(x)])
+            entry, fresh, hit = np.empty(place.shape, np.int32), x << 2, np.empty(place.shape, bool)
+            for k in range(len(x)):
+                model.after.take(place[k], out=entry[k], mode="clip")
+                hit[k] = model.learn(place[k], entry[k], fresh[k])
+            mix, two, both = model.weights(entry)
+            by2 = hit[:, 1]
+            by1 = hit[:, 0] > by2
+            log[k0 - start : k0 - start + len(x)] = mix * 3 + by1 + by2 * np.int8(2)
+            bucket = model.bucket(x)
+            share = model.share.take(model.at_bucket + bucket)
+            size = (share & MOST) * 1.0
+            begin = (share >> np.uint32(TAIL)) * float(WIDE) + size * (x - model.first.take(bucket))
+            rest = 2.0**MIX - both * 2.0**-TAIL
+            begin, size = both + rest * begin, rest * size
+            known = np.flatnonzero(by1 | by2)
+            first, split = by2.take(known), two.take(known)
+            begin.ravel()[known] = np.where(first, 0.0, split)
+            size.ravel()[known] = np.where(first, split, both.take(known) - split)
+            for k in range(len(x)):
+                unit = np.floor(width * 2.0**-SCALE)
+                low += unit * begin[k]
+                width = unit * size[k]
+                small = width < LOW_RANGE
+                word = np.floor(low * 2.0**-36)
+                flat[at] = word.astype(np.int32)  # may hold a carry above 16 bits; written over unless it leaves
+                word *= small
+                low -= word * LOW_RANGE
+                turn = small * (TURN - 1.0) + 1.0
+                low *= turn
+                width *= turn
+                at += small
+                few = np.flatnonzero(width < LOW_RANGE)
+                while len(few):
+                    word = np.floor(low[few] * 2.0**-36)
+                    flat[at[few]] = word.astype(np.int32)
+                    low[few] = (low[few] - word * LOW_RANGE) * TURN
+                    width[few] *= TURN
+                    at[few] += 1
+                    few = few[width[few] < LOW_RANGE]
+            if int((at - begins).max()) + 3 * CHUNK + 4 > room:
+                used, wider = at - begins, room // 2 + 3 * CHUNK
+                out = np.concatenate([out, np.zeros((lanes, wider), np.int32)], axis=1)
+                room += wider
+                flat, begins = out.ravel(), np.arange(lanes) * room
+                at = begins + used
     for _ in range(4):
-        out[lane, used] = (low >> U(44)).astype(np.int32)
-        used += 1
-        low = (low & U((1 << 44) - 1)) << WORD
+        word = np.floor(low * 2.0**-36)
+        flat[at] = word.astype(np.int32)
+        at += 1
+        low = (low - word * LOW_RANGE) * TURN
+    used = at - begins
+    out = out[:, : used.max()]
+    out[np.arange(out.shape[1]) >= used[:, None]] = 0
     while (out > 0xFFFF).any():
         carry = out >> 16
         out &= 0xFFFF
@@ -181,41 +233,81 @@ def _encode_lanes(columns: np.ndarray, ids: int) -> list[bytes]:
 
 def _decode_lanes(payloads: list[bytes], steps: int, ids: int) -> np.ndarray:
     lanes = len(payloads)
-    model = _Model(lanes, ids, steps)
-    longest = max(len(p) for p in payloads) // 2 + 4
+    model = _Model(lanes, ids)
+    longest = max(len(p) for p in payloads) // 2 + 8
     words = np.zeros((lanes, longest), np.uint16)
     for k, p in enumerate(payloads):
         words[k, : len(p) // 2] = np.frombuffer(p, "<u2")
-    # the first word holds the bits of low from 44 up: 16 of the 60
-    code = np.zeros(lanes, U)
-    for k in range(4):
-        code = (code << WORD) | words[:, k].astype(U)
-    code >>= U(4)  # 60 bits
-    extra = words[:, 3].astype(U) & U(15)  # the four bits below them
-    used, width = np.full(lanes, 4, np.int64), np.full(lanes, 1 << 60, U)
+    code = words[:, 0] * 2.0**36 + words[:, 1] * 2.0**20 + words[:, 2] * 2.0**4 + (words[:, 3] >> 12)
+    # 52 bits are no whole number of words: what comes in later starts four bits into a word
+    coming = words << 4
+    coming[:, :-1] |= words[:, 1:] >> 12
+    coming = coming.ravel()
+    at = np.arange(lanes) * longest + 3
+    width = np.full(lanes, TOP)
     out = np.zeros((steps, lanes), np.int32)
-    top = U((1 << SCALE) - 1)
-    for step in range(steps):
-        model.predict()
-        unit = width >> U(SCALE)
-        v = np.minimum(code // unit, top).astype(np.int64)
-        x, begin, size = model.find(v)
-        code -= unit * begin.astype(U)
-        width = unit * size.astype(U)
-        while True:
-            small = np.flatnonzero(width < LOW_RANGE)
-            if not len(small):
-                break
-            word = words[small, np.minimum(used[small], longest - 1)].astype(U)
-            code[small] = (code[small] << WORD) | (extra[small] << U(12)) | (word >> U(4))
-            extra[small] = word & U(15)
-            used[small] += 1
-            width[small] <<= WORD
-        model.learn(x)
-        out[step] = x
+    x = last = np.zeros(lanes, np.int32)
+    for start, stop in _segments(steps):
+        if start:
+            model.renew(out[begun:start], log)
+        begun, log, slots = start, np.empty((stop - start, lanes), np.int32), model.slots()
+        for step in range(start, stop):
+            place = model.places(x, last)
+            entry = model.after.take(place)
+            mix, two, both = model.weights(entry)
+            rest = 2.0**MIX - both * 2.0**-TAIL
+            unit = np.floor(width * 2.0**-SCALE)
+            v = np.floor(code / unit)
+            # order 0: place on its line, bucket, id in the bucket; of no account where v lies below
+            spot = np.floor((v - both) / rest)
+            bucket = slots.take(model.at_slot + (spot * 2.0**-WIDE_BITS).astype(np.int64), mode="clip").astype(np.int64)
+            share = model.share.take(model.at_bucket + bucket)
+            size, begin = (share & MOST) * 1.0, (share >> np.uint32(TAIL)) * float(WIDE)
+            inside = np.floor((spot - begin) / size)
+            begin += size * inside
+            begin *= rest
+            begin += both
+            size *= rest
+            last, x = x, model.first.take(bucket) + inside.astype(np.int32)
+            guess = entry >> 2
+            known = np.flatnonzero(v < both)
+            if len(known):
+                split = two[known]
+                by2 = v[known] < split
+                begin[known] = np.where(by2, 0.0, split)
+                size[known] = np.where(by2, split, both[known] - split)
+                x[known] = np.where(by2, guess[1, known], guess[0, known])
+            out[step] = x
+            code -= unit * begin
+            width = unit * size
+            small = width < LOW_RANGE
+            turn = small * (TURN - 1.0) + 1.0
+            code *= turn
+            code += coming.take(at, mode="clip") * small
+            width *= turn
+            at += small
+            few = np.flatnonzero(width < LOW_RANGE)
+            while len(few):
+                code[few] = code[few] * TURN + coming.take(at[few], mode="clip")
+                width[few] *= TURN
+                at[few] += 1
+                few = few[width[few] < LOW_RANGE]
+            hit = model.learn(place, entry, x << 2)
+            by2 = hit[1]
+            mix *= 3
+            mix += hit[0] > by2
+            mix += by2
+            mix += by2
+            log[step - start] = mix
     return out
 
 
+def _groups(n: int) -> list[tuple[int, int]]:
+    """Blocks that go side by side: even parts of at most LANES."""
+    cuts = np.linspace(0, n, -(-n // LANES) + 1).astype(int).tolist()
+    return list(zip(cuts, cuts[1:]))
+
+
 def encode_ids(ids: np.ndarray, vocabulary: int, block: int = BLOCK) -> bytes:
     """A frame of one id stream."""
     ids = np.ascontiguousarray(ids, np.uint32)
@@ -223,12 +315,12 @@ def encode_ids(ids: np.ndarray, vocabulary: int, block: int = BLOCK) -> bytes:
         raise ValueError("an id is beyond the vocabulary")
     block = max(1, min(block, len(ids)))
     n = -(-len(ids) // block)
-    padded = np.zeros(n * block, np.uint32)
+    padded = np.zeros(n * block, np.int32)
     padded[: len(ids)] = ids
     padded = padded.reshape(n, block)
     payloads: list[bytes] = []
-    for k in range(0, n, LANES):
-        payloads += _encode_lanes(np.ascontiguousarray(padded[k : k + LANES].T), vocabulary)
+    for a, z in _groups(n):
+        payloads += _encode_lanes(np.ascontiguousarray(padded[a:z].T), vocabulary)
     parts = [MAGIC, struct.pack("<QIII", len(ids), vocabulary, block, n)]
     for k, p in enumerate(payloads):
         part = ids[k * block : (k + 1) * block]
@@ -255,8 +347,8 @@ def decode_ids(frame: bytes) -> np.ndarray:
             raise ValueError("damaged block")
         at += 2 * words
     out = [np.zeros(0, np.uint32)]
-    for k in range(0, n, LANES):
-        got = _decode_lanes(payloads[k : k + LANES], block, vocabulary)
+    for a, z in _groups(n):
+        got = _decode_lanes(payloads[a:z], block, vocabulary)
         out.append(np.ascontiguousarray(got.T).ravel().astype(np.uint32))
     ids = np.concatenate(out)[:total]
     for k, (size, _, check, _) in enumerate(table):

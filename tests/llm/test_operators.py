@@ -6,6 +6,7 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -134,9 +135,7 @@ def test_mix_documents(docs, none, given, spark, sf):
 def tokenizer():
     from tokenizers import Tokenizer
 
-    t = Tokenizer.from_file(Q.vocabulary_file())
-    t.encode_special_tokens = True
-    return t
+    return Tokenizer.from_file(Q.vocabulary_file())
 
 
 @pytest.mark.parametrize("n", [0, 1, 2, 100, 4096, 4097, 9000])
@@ -169,10 +168,43 @@ def test_context_helps():
 ODD = ["a  b", "  lead", " x\n\n  y", "don't  we'll\tgo \n", "\x1c!\x1cab\x85q", "é　ü   z", "<|endoftext|> hi", "tail   ", "a​c", " ", "\n\n", "1 2  3,4!! ??", "!\x1c! \x1f?", ""]
 
 
+def same_ids(pieces, texts, tokenizer):
+    ids, sizes = pieces.encode(pa.array(texts, pa.string()))
+    want = [tokenizer.encode(t or "", add_special_tokens=False).ids + [0] for t in texts]
+    assert sizes.tolist() == [len(w) for w in want]
+    assert ids.tolist() == [x for w in want for x in w]
+
+
 def test_pieces(tokenizer):
     p = TO.Pieces(Q.vocabulary_file())
-    for text, ids in zip(ODD, p.encode(ODD)):
-        assert np.frombuffer(ids, "<u4").tolist() == tokenizer.encode(text, add_special_tokens=False).ids + [0]
+    same_ids(p, [], tokenizer)
+    same_ids(p, ["", None], tokenizer)
+    for _ in range(2):  # the second time from the cache
+        same_ids(p, [*ODD, None], tokenizer)
+        for text in ODD:
+            same_ids(p, [text], tokenizer)
+    assert tokenizer.encode("<|endoftext|>", add_special_tokens=False).ids == [50256]
+
+
+@pytest.mark.parametrize("marked", [False, True])
+def test_random_pieces(tokenizer, marked):
+    rng = np.random.default_rng(3)
+    parts = [*" \t\n\x0b\x1c\x85aB1.,'", "\u2028", "\u3000", "\u200b", "\xa0", "é", "日本", "😀", "'ll", "  ", "word", " the", *["<|endoftext|>", "<|endof"] * marked]
+    texts = ["".join(rng.choice(parts, rng.integers(0, 12))) for _ in range(4000)]
+    p = TO.Pieces(Q.vocabulary_file())
+    for k in range(0, len(texts), 500):
+        same_ids(p, texts[k : k + 500], tokenizer)
+    p.known = pa.concat_arrays([p.known, pa.array([b"x"] * TO.MOST_PIECES, pa.large_binary())])  # full: forgotten
+    same_ids(p, texts[:300], tokenizer)
+    assert len(p.known) < 5000
+
+
+def test_other_vocabularies(tokenizer):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    other = public_tokenizers.path("word_bpe_49k.json")
+    same_ids(TO.Pieces(other), [*ODD, "Hello  World <|endoftext|>"], Tokenizer.from_file(other))
 
 
 def check_tokens(local, got, tokenizer):
