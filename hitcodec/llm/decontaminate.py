@@ -10,8 +10,8 @@ match counts if its slots are consistent: every filler of the item stands for on
 A document is contaminated by an item if at least `least` windows of the item match (eight tokens a window and six
 windows: 13 tokens in a row), or all of a shorter item's.
 
-The benchmark's windows are broadcast only if their counted rows are at most `broadcast_rows`; beyond that both sides
-are shuffled by hash. Items of equal template whose slots hold equal fillers at the same places (so that a document is
+The benchmark's windows are broadcast only if their counted bytes are at most `broadcast_bytes`; beyond that both sides
+are shuffled by hash, and the texts with partners are joined again for what stands in their windows. Items of equal template whose slots hold equal fillers at the same places (so that a document is
 consistent with all or none of them) are one item, the smallest item_id, with their number.
 
 Defined results: null and empty texts match nothing; items of fewer than `window` tokens are looked for as one window of
@@ -65,22 +65,47 @@ def _places(width: int) -> Column:
     return F.when(count > 0, F.sequence(F.lit(1), F.greatest(count, F.lit(1)))).otherwise(F.array().cast("array<int>"))
 
 
-def _windows(rows: DataFrame, width: int, keep: list[str]) -> DataFrame:
-    """The windows of documents, a row for each typing: keep, hash, at (from 1), raw, words (what stands there, null where nothing is a slot)."""
-    tokens, words, raw = _slices(width, "tokens", "words", "raw")
-    hashed = F.transform(_places(width), lambda i: F.struct(i.alias("at"), F.xxhash64(tokens(i)).alias("h"), F.xxhash64(words(i)).alias("hw"), F.xxhash64(raw(i)).alias("hr")))
-    slots = lambda x, f: F.when(x["h"] != x["hr"], f(x["at"]))
-    each = F.transform(hashed, lambda x: F.struct(x["at"].alias("at"), x["h"].alias("h"), x["hw"].alias("hw"), x["hr"].alias("hr"), slots(x, raw).alias("raw"), slots(x, words).alias("words")))
-    typed = F.when(F.col("h") == F.col("hr"), F.array("h")).otherwise(F.array_distinct(F.array("h", "hw", "hr")))
-    return rows.select(*keep, F.inline(each)).select(*keep, "at", "raw", "words", F.explode(typed).alias("hash"))
+def _marked(df: DataFrame, key: list[Column]) -> DataFrame:
+    marked, raw = template(text_or_empty())
+    return df.select(*key, marked.alias("marked"), raw.alias("raw"))
 
 
 def _templates(df: DataFrame, key: list[Column]) -> DataFrame:
     """Both typings of texts: in `tokens` all capitalised words are names, in `words` those that begin a sentence stand for themselves."""
-    marked, raw = template(text_or_empty())
-    rows = df.select(*key, marked.alias("marked"), raw.alias("raw"))
     words = F.zip_with("marked", "raw", lambda t, r: F.when(t == MAYBE, r).otherwise(t))
-    return rows.select("*", F.transform("marked", lambda t: F.when(t == MAYBE, NAME).otherwise(t)).alias("tokens"), words.alias("words")).drop("marked")
+    return _marked(df, key).select("*", F.transform("marked", lambda t: F.when(t == MAYBE, NAME).otherwise(t)).alias("tokens"), words.alias("words")).drop("marked")
+
+
+def _hash(width: int, token_hash) -> Column:
+    """Hash of a window by its tokens' hashes, a function of the place in it."""
+    return F.xxhash64(F.lit(width), *[token_hash(k) for k in range(width)])
+
+
+def _windows(rows: DataFrame, widths: list[int], keep: list[str]) -> DataFrame:
+    """The windows of documents, a row for each typing: keep, the text's marked and raw tokens, at (from 1), hash.
+
+    Tokens are hashed once and windows take these hashes by place, so that no window has arrays of its own."""
+    least = min(widths)
+    places = F.when(F.size("raw") >= least, F.sequence(F.lit(0), F.size("raw") - least)).otherwise(F.array().cast("array<int>"))
+    names = F.transform("marked", lambda t: F.xxhash64(F.when(t == MAYBE, NAME).otherwise(t)))
+    rows = rows.select(*keep, "marked", "raw", names.alias("names"), F.transform("raw", lambda t: F.xxhash64(t)).alias("plain"))
+    rows = rows.select("*", F.explode(places).alias("place"))
+    at = lambda name, k: F.get(name, F.col("place") + k)
+    maybe = lambda k: F.when(at("marked", k) == MAYBE, at("plain", k)).otherwise(at("names", k))
+    typed = []
+    for w in widths:
+        rows = rows.withColumns({f"t{w}": _hash(w, lambda k: at("names", k)), f"r{w}": _hash(w, lambda k: at("plain", k))})
+        # all names, words where a name is not sure, what stands there: one where nothing is a slot
+        each = F.when(F.col(f"t{w}") == F.col(f"r{w}"), F.array(f"t{w}")).otherwise(F.array_distinct(F.array(F.col(f"t{w}"), _hash(w, maybe), F.col(f"r{w}"))))
+        typed.append(each if w == least else F.when(F.size("raw") >= F.col("place") + w, each).otherwise(F.array().cast("array<long>")))
+    return rows.select(*keep, "marked", "raw", (F.col("place") + 1).alias("at"), F.explode(F.concat(*typed) if len(typed) > 1 else typed[0]).alias("hash"))
+
+
+def _held(rows: DataFrame, width: Column | int) -> DataFrame:
+    """In place of the text's tokens what stands in the window: raw, and words, where names that are not sure stand for themselves."""
+    marked, raw = F.slice("marked", F.col("at"), width), F.slice("raw", F.col("at"), width)
+    words = F.zip_with(marked, raw, lambda t, r: F.when(t == MAYBE, r).otherwise(t))
+    return rows.withColumns({"raw": raw, "words": words}).drop("marked")
 
 
 def _typings(of: Column) -> Column:
@@ -114,20 +139,24 @@ def benchmark_windows(benchmark: DataFrame, window: int = 8, short: int = 5) ->
     both = both.withColumn("kept", F.when(whole, F.col("kept")).otherwise(F.array_union("kept", F.array("of.raw"))))
     count = both.groupBy(F.col("item_id").alias("_item"), F.col("width").alias("_width")).agg(F.count(F.lit(1)).alias("total"), F.count_if(~F.col("heavy")).alias("windows"))
     both = both.join(count, F.expr("item_id <=> _item and width = _width")).withColumn("typed", F.explode("kept"))
-    return both.select("item_id", "copies", "total", "windows", "width", F.xxhash64("typed").alias("hash"), F.col("of.at").alias("item_at"), "heavy", F.col("of.tokens").alias("item_tokens"), F.col("of.words").alias("item_words"), F.col("of.raw").alias("item_raw"))
+    hashes = [F.when(F.col("width") == w, _hash(w, lambda k: F.xxhash64(F.get("typed", F.lit(k))))) for w in range(short, window + 1)]
+    return both.select("item_id", "copies", "total", "windows", "width", F.coalesce(*hashes).alias("hash"), F.col("of.at").alias("item_at"), "heavy", F.col("of.tokens").alias("item_tokens"), F.col("of.words").alias("item_words"), F.col("of.raw").alias("item_raw"))
 
 
-def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = 8, short: int = 5, least: int = 6, broadcast_rows: int = 1_000_000) -> DataFrame:
+def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = 8, short: int = 5, least: int = 6, broadcast_bytes: int = 32 << 20) -> DataFrame:
     """A row for each document and item it holds: doc_id, tk (text key), item_id, copies (of the item), windows, matched, same (are all fillers the item's)."""
     known = materialise(benchmark_windows(benchmark, window, short), "benchmark-windows")
-    counts = {r["width"]: r["n"] for r in known.groupBy("width").agg(F.count(F.lit(1)).alias("n")).collect()}  # a row for each width that occurs
-    small = sum(counts.values()) <= broadcast_rows
-    texts = _templates(docs, [F.col("doc_id").cast("long").alias("doc_id"), text_key().alias("tk")])
-    hits = None
-    for width in sorted(counts) or [window]:
-        right = known.where(F.col("width") == width)
-        found = _windows(texts, width, ["doc_id", "tk"]).join(F.broadcast(right) if small else right, "hash")
-        hits = found if hits is None else hits.unionByName(found)
+    held = F.length(F.to_json(F.struct("item_tokens", "item_words", "item_raw"))) * 4 + 400  # more than a row's bytes
+    counts = {r["width"]: r["bytes"] for r in known.groupBy("width").agg(F.sum(held).alias("bytes")).collect()}  # a row for each width that occurs
+    texts = _marked(docs, [F.col("doc_id").cast("long").alias("doc_id"), text_key().alias("tk")])
+    found = _windows(texts, sorted(counts) or [window], ["doc_id", "tk"])
+    if sum(counts.values()) <= broadcast_bytes:
+        hits = _held(found.join(F.broadcast(known), "hash"), F.col("width"))
+    else:  # the windows travel: only the hash finds partners, then each document's tokens are asked for
+        pairs = found.drop("marked", "raw").join(known, "hash")
+        texts = texts.select(F.col("doc_id").alias("_doc"), F.col("tk").alias("_tk"), "marked", "raw").dropDuplicates(["_doc", "_tk"])
+        pairs = pairs.join(texts, F.col("doc_id").eqNullSafe(F.col("_doc")) & (F.col("tk") == F.col("_tk")))
+        hits = _held(pairs, F.col("width"))
     # a document's window without slots holds the item's own words
     place = F.arrays_zip(F.col("item_tokens").alias("t"), F.col("item_words").alias("iw"), F.col("item_raw").alias("i"), F.coalesce("words", "item_raw").alias("dw"), F.coalesce("raw", "item_raw").alias("d"))
     slots = F.filter(place, lambda x: is_slot(x["t"]) | (x["i"] != x["d"]))

@@ -417,7 +417,7 @@ def test_templates(spark, docs, none):
     got = {(r["doc_id"], r["item_id"], r["copies"], r["same"]) for r in DC.contaminated(d, b).collect()}
     assert got == {(1, 1, 2, True), (2, 1, 2, False), (None, 1, 2, False)}
     assert sorted(r["doc_id"] for r in DC.decontaminate(d, b).collect()) == [3, 4, 5, 6]
-    assert DC.contaminated(d, b, broadcast_rows=0).count() == 3
+    assert DC.contaminated(d, b, broadcast_bytes=0).count() == 3
     assert DC.contaminated(none, b).count() == 0 and DC.contaminated(d, b.limit(0)).count() == 0
     assert DC.decontaminate(docs, b).count() == len(rows()) and DC.decontaminate(docs, b).columns == docs.columns
 
