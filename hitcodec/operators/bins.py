@@ -5,10 +5,16 @@ Bins: bin, bin_start, bin_width (low bits left raw), n. A value is its bin (entr
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StructType
 
 from hitcodec.functions.bits import bit_length
 from hitcodec.operators.histo import cumulative, entropy
@@ -73,22 +79,103 @@ def _capped(bins, end, v, n):
     return bins
 
 
+class GreedyStream:
+    """The same bins from sorted values that come in parts; nothing but the open bin's place is held."""
+
+    def __init__(self, total: int, min_val: int, strict: bool = True):
+        self.total, self.need = total, min_val if strict else max(min_val - 1, 0)
+        self.start = self.end = None  # of the open bin; its end once the value that must be inside is known
+        self.done = self.passed = 0  # values in closed bins, values seen
+
+    def feed(self, v: np.ndarray, n: np.ndarray) -> list[tuple[int, int, int]]:
+        cum = self.passed + np.cumsum(n)
+        if self.start is None:
+            self.start = int(v[0])
+        out = []
+        while self.done < self.total:
+            if self.end is None:
+                k = int(np.searchsorted(cum, min(self.done + self.need, self.total - 1), "right"))
+                if k == len(v):
+                    break
+                self.width = max(0, int(v[k]) - self.start).bit_length()
+                self.end = self.start + (1 << self.width)
+            k = int(np.searchsorted(v, self.end, "left"))
+            after = int(cum[k - 1]) if k else self.passed
+            if k == len(v) and after < self.total:
+                break
+            out.append((self.start, self.width, after - self.done))
+            self.start, self.end, self.done = self.end, None, after
+        self.passed = int(cum[-1])
+        return out
+
+
 BINS = "bin int, bin_start long, bin_width int, n long"
 
 
 def adaptive_bins(hist: DataFrame, keys: list[str], min_val: int | None = None, share: int = 256, strict: bool = True, special: list[int] | None = None) -> DataFrame:
     """keys, bin, bin_start, bin_width, n. min_val values, or the count of the group div `share`.
 
-    The groups are fitted in parallel; a group's distinct values, not its rows, meet in one task. For value types of
-    unbounded domain take `adaptive_bins_sketch`.
-    """
+    The groups are fitted in parallel. A group's distinct values are sorted by Spark (spilling where they must) and
+    stream through one task in Arrow batches, of which it holds one; only `special` values, which cut the domain, make a
+    task hold a group's distinct values. `adaptive_bins_sketch` needs neither sort nor stream."""
+    if special:
+        return _special_bins(hist, keys, min_val, share, strict, special)
+    one = hist.withColumn("share", F.lit(share)) if min_val is None else hist.withColumn("share", F.lit(0))
+    return _streamed_bins(one, keys, min_val, strict).drop("share")
+
+
+def _streamed_bins(hist: DataFrame, keys: list[str], min_val: int | None = None, strict: bool = True) -> DataFrame:
+    """Bins for each group and each of its shares (arrays are taken apart in the task, so that no row is repeated)."""
+    several = hist.schema["share"].dataType.simpleString().startswith("array")
+    kinds = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in hist.schema.fields if f.name in keys)
+    totals = hist.groupBy(*keys).agg(F.sum("n").alias("_total"))
+    same = F.lit(True)
+    for k in keys:
+        totals = totals.withColumnRenamed(k, f"_{k}")
+        same = same & F.col(k).eqNullSafe(F.col(f"_{k}"))
+    rows = hist.select(*keys, "v", F.col("n").cast("long").alias("n"), "share").join(totals, same).select(F.struct(*keys).alias("key"), "v", "n", "share", "_total")
+    rows = rows.repartition("key").sortWithinPartitions("key", "v")
+
+    def apply(batches):
+        now, streams = None, []
+        for batch in batches:
+            key, v, n = batch.column(0), batch.column(1).to_numpy(), batch.column(2).to_numpy()
+            cuts = [0, *_changes(key), batch.num_rows]
+            for a, z in zip(cuts, cuts[1:]):
+                here = key[a].as_py()
+                if here != now:
+                    total, shares = batch.column(4)[a].as_py(), batch.column(3)[a].as_py()
+                    least = lambda s: total // s if min_val is None else min_val  # noqa: E731, B023
+                    now, streams = here, [[s, GreedyStream(total, least(s), strict), 0] for s in (shares if several else [shares])]
+                found = []
+                for held in streams:
+                    for s, w, count in held[1].feed(v[a:z], n[a:z]):
+                        found.append({**here, "share": held[0], "bin": held[2], "bin_start": s, "bin_width": w, "n": count})
+                        held[2] += 1
+                if found:
+                    yield pa.RecordBatch.from_pylist(found, schema)
+
+    made = StructType.fromDDL(f"{kinds}, share int, {BINS}")
+    schema = to_arrow_schema(made)
+    return rows.mapInArrow(apply, made)
+
+
+def _changes(key: pa.Array) -> list[int]:
+    """Where the keys of sorted rows change."""
+    changed = np.zeros(max(len(key) - 1, 0), bool)
+    for k in range(key.type.num_fields):
+        f = pc.dictionary_encode(key.field(k), null_encoding="encode").indices.to_numpy()
+        changed |= f[1:] != f[:-1]
+    return (np.flatnonzero(changed) + 1).tolist()
+
+
+def _special_bins(hist: DataFrame, keys: list[str], min_val: int | None, share: int, strict: bool, special: list[int]) -> DataFrame:
     kinds = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in hist.schema.fields if f.name in keys)
 
-    def one(key, part: pd.DataFrame) -> pd.DataFrame:
+    def one(key: tuple, part: pd.DataFrame) -> pd.DataFrame:
         part = part.sort_values("v")
         v, n = part["v"].to_numpy(np.int64), part["n"].to_numpy(np.int64)
-        least = int(n.sum()) // share if min_val is None else min_val
-        rows = greedy_bins(v, n, least, strict, special)
+        rows = greedy_bins(v, n, int(n.sum()) // share if min_val is None else min_val, strict, special)
         out = pd.DataFrame([(k, *r) for k, r in enumerate(rows)], columns=["bin", "bin_start", "bin_width", "n"])
         for name, x in zip(keys, key):
             out[name] = x
@@ -113,11 +200,25 @@ def adaptive_bins_sketch(values: DataFrame, keys: list[str], share: int = 256, a
 
 
 def count_bins(values: DataFrame, bins: DataFrame, keys: list[str]) -> DataFrame:
-    """Exact counts of values in bins (those outside go to the first or last bin)."""
-    starts = bins.groupBy(*keys).agg(F.array_sort(F.collect_list("bin_start")).alias("starts"))
-    placed = values.groupBy(*keys, "v").agg(F.count(F.lit(1)).alias("n")).join(F.broadcast(starts), keys)
-    at = F.greatest(F.size(F.filter("starts", lambda s: s <= F.col("v"))), F.lit(1)) - 1
-    counted = placed.groupBy(*keys, at.cast("int").alias("bin")).agg(F.sum("n").alias("n"))
+    """Exact counts of values in bins (those outside go to the first or last bin). Some hundred bins a group travel in a closure."""
+    edges: dict[tuple, list[int]] = {}
+    for r in bins.select(*keys, "bin_start").orderBy("bin_start").collect():
+        edges.setdefault(tuple(r[k] for k in keys), []).append(r["bin_start"])
+    hist = values.groupBy(*keys, "v").agg(F.count(F.lit(1)).alias("n"))
+    kinds = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in values.schema.fields if f.name in keys)
+
+    def apply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            cuts = [0, *_changes(batch.select(keys).to_struct_array()), batch.num_rows]
+            at = np.zeros(batch.num_rows, np.int32)
+            v = batch.column(len(keys)).to_numpy()
+            for a, z in zip(cuts, cuts[1:]):
+                own = edges[tuple(batch.column(k)[a].as_py() for k in range(len(keys)))]
+                at[a:z] = np.maximum(np.searchsorted(own, v[a:z], "right") - 1, 0)
+            yield pa.RecordBatch.from_arrays([*batch.columns[: len(keys)], pa.array(at), batch.column(len(keys) + 1)], [*keys, "bin", "n"])
+
+    placed = hist.select(*keys, "v", "n").sortWithinPartitions(*keys).mapInArrow(apply, f"{kinds}, bin int, n long")
+    counted = placed.groupBy(*keys, "bin").agg(F.sum("n").alias("n"))
     return bins.select(*keys, "bin", "bin_start", "bin_width").join(counted, [*keys, "bin"], "left").withColumn("n", F.coalesce("n", F.lit(0)))
 
 
@@ -130,20 +231,9 @@ def bin_cost(bins: DataFrame, keys: list[str]) -> DataFrame:
 
 
 def adaptive_sweep(hist: DataFrame, keys: list[str], shares: list[int]) -> DataFrame:
-    """keys, share, and the cost of adaptive bins with min_val = count div share: one histogram, groups in parallel."""
-    kinds = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in hist.schema.fields if f.name in keys)
-
-    def one(key, part: pd.DataFrame) -> pd.DataFrame:
-        part = part.sort_values("v")
-        v, n = part["v"].to_numpy(np.int64), part["n"].to_numpy(np.int64)
-        rows = greedy_bins(v, n, int(n.sum()) // int(key[-1]))
-        out = pd.DataFrame([(k, *r) for k, r in enumerate(rows)], columns=["bin", "bin_start", "bin_width", "n"])
-        for name, x in zip([*keys, "share"], key):
-            out[name] = x
-        return out[[*keys, "share", "bin", "bin_start", "bin_width", "n"]]
-
-    each = hist.withColumn("share", F.explode(F.array(*[F.lit(x) for x in shares])))
-    return bin_cost(each.groupBy(*keys, "share").applyInPandas(one, f"{kinds}, share int, {BINS}"), [*keys, "share"])
+    """keys, share, and the cost of adaptive bins with min_val = count div share: one histogram, one stream for all shares."""
+    each = hist.withColumn("share", F.lit([int(x) for x in shares]))
+    return bin_cost(_streamed_bins(each, keys), [*keys, "share"])
 
 
 def simple_huffman(hist: DataFrame, keys: list[str], top_bits: int = 8) -> DataFrame:
@@ -152,7 +242,7 @@ def simple_huffman(hist: DataFrame, keys: list[str], top_bits: int = 8) -> DataF
     top = hist.groupBy(*keys).agg(F.greatest(F.lit(0), bit_length(F.max("v")) - top_bits).alias("low_bits"))
     coarse = hist.join(F.broadcast(top), keys).groupBy(*keys, "low_bits", F.expr("shiftright(v, low_bits)").alias("b")).agg(F.sum("n").alias("n"))
 
-    def one(key, part: pd.DataFrame) -> pd.DataFrame:  # at most 2**top_bits rows
+    def one(key: tuple, part: pd.DataFrame) -> pd.DataFrame:  # at most 2**top_bits rows
         out = pd.DataFrame({"n_values": [int(part["n"].sum())], "n_bins": [len(part)], "coded_bits": [huffman_bits(part["n"].tolist())]})
         for name, x in zip([*keys, "low_bits"], key):
             out[name] = x

@@ -2,12 +2,14 @@
 
 A frame is one row; each value type has its own columns (symbols, final state, bits, payload, raw bits), so that reading
 one type prunes the others, and lo_event/hi_event let a reader skip row groups. Symbols of many frames are coded side by
-side in Arrow batches. Values beyond the fitted bins go to wide end bins; numbers of pulses beyond the alphabet to an
-escape symbol with the excess raw.
+side in Arrow batches. Models are one for all channels, or one for each channel, class or unit: all of a value type step
+on one state. Values beyond the fitted bins go to wide end bins; numbers of pulses beyond the alphabet to an escape symbol
+with the excess as an Exp-Golomb word. Reference times are differences of as many bits as the frame's greatest needs.
 """
 
 from __future__ import annotations
 
+import struct
 import zlib
 
 import numpy as np
@@ -17,30 +19,56 @@ from pyspark.sql import functions as F
 
 from hitcodec.operators import tans
 from hitcodec.operators.bins import adaptive_bins
-from hitcodec.operators.layout import pulse_counts, value_streams
+from hitcodec.operators.layout import value_streams
+from hitcodec.session import materialise
 from hitcodec.sources.views import div
 
 NUMERIC = ("start", "width", "distance")
 TYPES = ("pulses", *NUMERIC)
-TAIL = 44  # low bits of the two end bins
+TAIL = 62  # low bits of the two end bins: all differences of times
 PER_TYPE = "{0}_n long, {0}_state int, {0}_bits long, {0}_payload binary, {0}_raw binary"
 FRAME = "frame long, lo_event long, hi_event long, n_hits long, refs binary, " + ", ".join(PER_TYPE.format(t) for t in TYPES) + ", crc long"
 NAMES = [f.split()[0] for f in FRAME.split(", ")]
 
 
-def fit_models(hits: DataFrame, n_channels: int, share: int = 256, max_pulses: int = 15, ratio: int = 8) -> dict:
-    """One model for each value type, a few kilobytes in all, from histograms that the cluster counts."""
-    counts = {r["v"]: r["n"] for r in pulse_counts(hits, n_channels).where(f"v <= {max_pulses}").collect()}
-    top = max(counts)
-    symbols = [max(1, counts.get(k, 0)) for k in range(top + 1)] + [1]  # the last is the escape
-    models = {"pulses": {"coder": tans.fit(symbols, tans.choose_r(len(symbols), ratio) + 2), "escape": top + 1}}
-    hist = value_streams(hits).where("vtype <> 'pulses'").groupBy("vtype", "v").agg(F.count(F.lit(1)).alias("n"))
-    rows = adaptive_bins(hist, ["vtype"], share=share).orderBy("vtype", "bin_start").collect()  # some hundred bins
+def fit_models(hits: DataFrame, n_channels: int, share: int = 256, max_pulses: int = 15, ratio: int = 8, scopes: list[int] | None = None) -> dict:
+    """Models of each value type, a few kilobytes in all, from histograms that the cluster counts.
+
+    scopes: a model's number for each channel, from 0 (numbers of channels, of their classes or units); none: one model."""
+    many = max(scopes) + 1 if scopes else 1
+    scope = F.element_at(F.lit([int(x) for x in scopes]), F.col("channel") + 1) if scopes else F.lit(0)
+    values = value_streams(hits).groupBy(scope.alias("scope"), "vtype", "v").agg(F.count(F.lit(1)).alias("n"))
+    values = materialise(values, "frame-models")
+    width = [0] * many
+    for k in scopes or range(1):
+        width[k] += 1
+    # silent channels are the zeros that the events leave
+    events = hits.select("event").distinct().count()
+    seen = [dict() for _ in range(many)]
+    for x in values.where(f"vtype = 'pulses' and v <= {max_pulses}").collect():
+        seen[x["scope"]][x["v"]] = x["n"]
+    active = {x["scope"]: x["n"] for x in values.where("vtype = 'pulses'").groupBy("scope").agg(F.sum("n").alias("n")).collect()}
+    for k, counts in enumerate(seen):
+        counts[0] = events * (width[k] if scopes else n_channels) - active.get(k, 0)
+    top = max(max(c) for c in seen)
+    symbols = [[max(1, c.get(v, 0)) for v in range(top + 1)] + [1] for c in seen]  # the last is the escape
+    r = tans.choose_r(top + 2, ratio) + 2
+    scope_of = np.array(scopes if scopes else [0] * n_channels, np.int64)
+    models: dict = {"pulses": {"coder": tans.join_models([tans.fit(x, r) for x in symbols]), "escape": top + 1, "scope_of": scope_of, "many": many}}
+    rows = adaptive_bins(values.where("vtype <> 'pulses'"), ["scope", "vtype"], share=share).orderBy("vtype", "scope", "bin_start").collect()  # some hundred bins each
     for t in NUMERIC:
-        bins = [(r["bin_start"], r["bin_width"], r["n"]) for r in rows if r["vtype"] == t] or [(0, 0, 1)]
-        end = bins[-1][0] + (1 << bins[-1][1])
-        bins = [(bins[0][0] - (1 << TAIL), TAIL, 0), *bins, (end, TAIL, 0)]
-        models[t] = {"coder": tans.fit([max(1, b[2]) for b in bins], tans.choose_r(len(bins), ratio)), "starts": np.array([b[0] for b in bins]), "widths": np.array([b[1] for b in bins])}
+        bins = [[] for _ in range(many)]
+        for x in rows:
+            if x["vtype"] == t:
+                bins[x["scope"]].append((x["bin_start"], x["bin_width"], x["n"]))
+        for k, b in enumerate(bins):
+            b = b or [(0, 0, 1)]
+            end = b[-1][0] + (1 << b[-1][1])
+            bins[k] = [(b[0][0] - (1 << TAIL), TAIL, 0), *b, (end, TAIL, 0)]
+        r = max(tans.choose_r(len(b), ratio) for b in bins)
+        coder = tans.join_models([tans.fit([max(1, x[2]) for x in b], r) for b in bins])
+        flat = [x for b in bins for x in b]
+        models[t] = {"coder": coder, "starts": np.array([x[0] for x in flat]), "widths": np.array([x[1] for x in flat]), "many": many, "scope_of": scope_of}
     return models
 
 
@@ -64,23 +92,62 @@ def unpack_bits(data: bytes, widths: np.ndarray) -> np.ndarray:
     return out
 
 
-def _symbols(model: dict, v: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Symbols, raw values and raw widths of values."""
+def _symbols(model: dict, v: np.ndarray, scope: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Symbols (numbered through the scopes), raw values and raw widths of values."""
+    first = model["coder"]["first"]
     if "escape" in model:
         e = model["escape"]
-        if (v - e >= 1 << 16).any():
-            raise ValueError("a number of pulses is beyond the escape's 16 bits")
         s = np.minimum(v, e)
-        w = np.where(s == e, 16, 0)
-        return s, np.maximum(v - e, 0), w
-    s = np.searchsorted(model["starts"], v, "right") - 1
-    if (s < 0).any() or (v - model["starts"][s] >= (1 << model["widths"][s].astype(object))).any():
+        word, width = expgolomb_words(np.maximum(v - e, 0))
+        return s + first[scope], word, np.where(s == e, width, 0)
+    edges = [*first.tolist(), len(model["starts"])]
+    s = np.zeros(len(v), np.int64)
+    for k in np.unique(scope).tolist() if model["many"] > 1 else range(1):
+        own = scope == k if model["many"] > 1 else slice(None)
+        s[own] = edges[k] + np.searchsorted(model["starts"][edges[k] : edges[k + 1]], v[own], "right") - 1
+    raw = v - model["starts"][s]
+    if ((s < first[scope]) | (raw < 0) | (raw >> model["widths"][s] > 0)).any():
         raise ValueError("a value is beyond the end bins")
-    return s, v - model["starts"][s], model["widths"][s]
+    return s, raw, model["widths"][s]
 
 
-def frame_values(event, channel, rise, fall, lo: int, n_events: int, n_channels: int) -> tuple[np.ndarray, dict[str, np.ndarray]]:
-    """References by event (0 for silent ones) and the four streams of a frame's hits."""
+def expgolomb_words(v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Numbers of 0 and above (below 2**52) as words for `pack_bits`: as many zeros first as bits follow the first one."""
+    return v + 1, 2 * np.frexp((v + 1).astype(float))[1] - 1
+
+
+def read_expgolomb(raw: bytes, count: int) -> np.ndarray:
+    """`count` Exp-Golomb words."""
+    bits = np.unpackbits(np.frombuffer(raw, np.uint8))
+    ones, at, out = np.flatnonzero(bits), 0, np.zeros(count, np.int64)
+    for k in range(count):
+        lead = int(ones[np.searchsorted(ones, at)])
+        end = 2 * lead - at + 1
+        out[k] = int("".join(map(str, bits[lead:end].tolist())), 2) - 1
+        at = end
+    return out
+
+
+def pack_refs(refs: np.ndarray, used: np.ndarray) -> bytes:
+    """Reference times: the first in 64 bits, then zig-zag differences of equal width; unused ones repeat the last."""
+    last = np.maximum.accumulate(np.where(used, np.arange(len(refs)), -1))
+    first = refs[used][0] if used.any() else 0
+    filled = np.where(last >= 0, refs[np.maximum(last, 0)], first)
+    step = np.diff(filled)
+    zigzag = ((step << 1) ^ (step >> 63)).view(np.uint64)
+    width = int(zigzag.max(initial=0)).bit_length()
+    return struct.pack("<qB", int(filled[0]), width) + pack_bits(zigzag.view(np.int64), np.full(len(step), width))
+
+
+def unpack_refs(data: bytes, n: int) -> np.ndarray:
+    first, width = struct.unpack_from("<qB", data)
+    zigzag = unpack_bits(data[9:], np.full(n - 1, width)).view(np.uint64)
+    step = (zigzag >> np.uint64(1)).view(np.int64) ^ -(zigzag & np.uint64(1)).view(np.int64)
+    return np.cumsum(np.concatenate([[first], step]))
+
+
+def frame_values(event, channel, rise, fall, lo: int, n_events: int, n_channels: int) -> tuple[bytes, dict[str, np.ndarray], dict[str, np.ndarray]]:
+    """References by event and the four streams of a frame's hits, with the channel of each value."""
     order = np.lexsort((fall, rise, channel, event))
     e, c, r, f = (np.asarray(x, np.int64)[order] for x in (event, channel, rise, fall))
     key = (e - lo) * n_channels + c
@@ -88,9 +155,16 @@ def frame_values(event, channel, rise, fall, lo: int, n_events: int, n_channels:
     refs = np.full(n_events, np.iinfo(np.int64).max)
     np.minimum.at(refs, e - lo, r)
     first = np.concatenate([[True], key[1:] != key[:-1]])[: len(key)]
-    refs[refs == np.iinfo(np.int64).max] = 0
     gap = np.concatenate([[0], r[1:] - f[:-1]])[: len(key)]
-    return refs, {"pulses": pulses, "start": (r - refs[e - lo])[first], "width": f - r, "distance": gap[~first]}
+    streams = {"pulses": pulses, "start": (r - refs[e - lo])[first], "width": f - r, "distance": gap[~first]}
+    return pack_refs(refs, refs != np.iinfo(np.int64).max), streams, {"pulses": np.arange(len(pulses)) % n_channels, "start": c[first], "width": c, "distance": c[~first]}
+
+
+def _channels(pulses: np.ndarray, n_channels: int) -> dict[str, np.ndarray]:
+    """The channel of each value of a frame, from its numbers of pulses."""
+    active = np.flatnonzero(pulses)
+    c, n = active % n_channels, pulses[active]
+    return {"start": c, "width": np.repeat(c, n), "distance": np.repeat(c, n - 1)}
 
 
 def frame_hits(refs: np.ndarray, v: dict[str, np.ndarray], lo: int, n_channels: int) -> tuple[np.ndarray, ...]:
@@ -112,17 +186,20 @@ def frame_hits(refs: np.ndarray, v: dict[str, np.ndarray], lo: int, n_channels:
     return lo + key // n_channels, key % n_channels, rise, rise + v["width"]
 
 
-def encode(hits: DataFrame, models: dict, n_channels: int, events_per_frame: int = 64, backward: bool = False, hide: bool = False) -> DataFrame:
-    """Frames of hits. hide: the low bits of the number of hits are the coder's start state of the pulses."""
+def encode(hits: DataFrame, models: dict, n_channels: int, events_per_frame: int = 64, backward: bool = False, hide: bool = False, by: str | None = None) -> DataFrame:
+    """Frames of hits. hide: the low bits of the number of hits are the coder's start state of the pulses.
+
+    by: a column of numbers that keeps hits in frames of their own and comes first in the result."""
     row = F.struct("event", "channel", "rise", "fall")
-    grouped = hits.withColumn("frame", div(F.col("event"), events_per_frame)).groupBy("frame").agg(F.collect_list(row).alias("hits"))
+    part = F.col(by).cast("long") if by else F.lit(0).cast("long")
+    grouped = hits.groupBy(part.alias("_by"), div(F.col("event"), events_per_frame).alias("frame")).agg(F.collect_list(row).alias("hits"))
 
     def apply(batches):
         for batch in batches:
             for begin in range(0, batch.num_rows, 4096):
                 some = batch.slice(begin, 4096)
-                frames = some.column(0).to_numpy()
-                lists = some.column(1)
+                frames = some.column(1).to_numpy()
+                lists = some.column(2)
                 offsets = np.asarray(lists.offsets)
                 flat = lists.values
                 e, c, r, f = (np.asarray(flat.field(k)) for k in range(4))
@@ -131,35 +208,62 @@ def encode(hits: DataFrame, models: dict, n_channels: int, events_per_frame: int
                     at = slice(offsets[k], offsets[k + 1])
                     made.append(frame_values(e[at], c[at], r[at], f[at], frame * events_per_frame, events_per_frame, n_channels))
                 n_hits = np.diff(offsets)
-                columns = {"frame": frames, "lo_event": frames * events_per_frame, "hi_event": (frames + 1) * events_per_frame - 1, "n_hits": n_hits, "refs": [m[0].astype("<i8").tobytes() for m in made]}
+                columns = {"_by": some.column(0), "frame": frames, "lo_event": frames * events_per_frame, "hi_event": (frames + 1) * events_per_frame - 1, "n_hits": n_hits, "refs": [m[0] for m in made]}
                 for t in TYPES:
-                    coded = [_symbols(models[t], m[1][t]) for m in made]
+                    sizes = [len(m[1][t]) for m in made]
+                    cuts = np.cumsum(sizes)[:-1]
+                    scope = models[t]["scope_of"][np.concatenate([m[2][t] for m in made])]
+                    parts = [np.split(x, cuts) for x in _symbols(models[t], np.concatenate([m[1][t] for m in made]), scope)]
                     size = 1 << models[t]["coder"]["r"]
                     start = [size + int(n) % size for n in n_hits] if hide and t == "pulses" else None
-                    out = tans.encode_frames([x[0] for x in coded], models[t]["coder"], start, backward)
-                    columns |= {f"{t}_n": [len(x[0]) for x in coded], f"{t}_state": [o[2] for o in out], f"{t}_bits": [o[1] for o in out], f"{t}_payload": [o[0] for o in out], f"{t}_raw": [pack_bits(x[1], x[2]) for x in coded]}
+                    out = tans.encode_frames(parts[0], models[t]["coder"], start, backward)
+                    columns |= {f"{t}_n": sizes, f"{t}_state": [o[2] for o in out], f"{t}_bits": [o[1] for o in out], f"{t}_payload": [o[0] for o in out], f"{t}_raw": [pack_bits(x, w) for x, w in zip(parts[1], parts[2])]}
                 columns["crc"] = [zlib.crc32(b"".join(columns[name][k] for name in ("refs", *(f"{t}_{p}" for t in TYPES for p in ("payload", "raw"))))) for k in range(len(frames))]
                 kinds = {"refs": pa.binary(), **{f"{t}_{p}": pa.binary() for t in TYPES for p in ("payload", "raw")}, **{f"{t}_state": pa.int32() for t in TYPES}}
-                yield pa.RecordBatch.from_arrays([pa.array(columns[n], kinds.get(n, pa.int64())) for n in NAMES], NAMES)
+                yield pa.RecordBatch.from_arrays([pa.array(columns[n], kinds.get(n, pa.int64())) for n in ["_by", *NAMES]], ["_by", *NAMES])
 
-    return grouped.mapInArrow(apply, FRAME)
+    made = grouped.mapInArrow(apply, "_by long, " + FRAME)
+    return made.withColumnRenamed("_by", by) if by else made.drop("_by")
+
+
+def _streams(get: dict, models: dict, n_channels: int, types: tuple[str, ...], backward: bool = False) -> dict[str, tuple[list[np.ndarray], list[np.ndarray]]]:
+    """Symbols and raw numbers of some value types of frames; the pulses as they are, where others need their channels."""
+    out: dict = {}
+    channels: list[dict] = []
+    for t in types:
+        m = models[t]
+        which = None
+        if m["many"] > 1:
+            scope = [np.arange(n) % n_channels for n in get[f"{t}_n"]] if t == "pulses" else [c[t] for c in channels]
+            which = [m["scope_of"][c] for c in scope]
+        symbols, _ = tans.decode_frames(list(zip(get[f"{t}_payload"], get[f"{t}_bits"], get[f"{t}_state"], get[f"{t}_n"])), m["coder"], backward, which)
+        if t == "pulses":
+            if which is not None:
+                symbols = [s - m["coder"]["first"][w] for s, w in zip(symbols, which)]
+            pulses = []
+            for s, raw in zip(symbols, get["pulses_raw"]):
+                more = s == m["escape"]
+                s = s.copy()
+                if more.any():
+                    s[more] += read_expgolomb(raw, int(more.sum()))
+                pulses.append(s)
+            channels = [_channels(p, n_channels) for p in pulses]
+            out[t] = (symbols, pulses)
+        else:
+            out[t] = (symbols, [unpack_bits(raw, m["widths"][s]) for s, raw in zip(symbols, get[f"{t}_raw"])])
+    return out
 
 
 def decode_rows(batch: pa.RecordBatch, models: dict, n_channels: int, backward: bool = False) -> list[tuple[np.ndarray, ...]]:
     """Hits of each frame of a batch."""
     get = {n: batch.column(batch.schema.get_field_index(n)).to_pylist() for n in NAMES}
-    streams: dict[str, list[np.ndarray]] = {}
-    for t in TYPES:
-        m = models[t]
-        symbols, _ = tans.decode_frames(list(zip(get[f"{t}_payload"], get[f"{t}_bits"], get[f"{t}_state"], get[f"{t}_n"])), m["coder"], backward)
-        if "escape" in m:
-            widths = [np.where(s == m["escape"], 16, 0) for s in symbols]
-            starts = [s for s in symbols]
-        else:
-            widths = [m["widths"][s] for s in symbols]
-            starts = [m["starts"][s] for s in symbols]
-        streams[t] = [s + unpack_bits(raw, w) for s, raw, w in zip(starts, get[f"{t}_raw"], widths)]
-    return [frame_hits(np.frombuffer(get["refs"][k], "<i8"), {t: streams[t][k] for t in TYPES}, get["lo_event"][k], n_channels) for k in range(batch.num_rows)]
+    found = _streams(get, models, n_channels, TYPES, backward)
+    out = []
+    for k in range(batch.num_rows):
+        v = {t: models[t]["starts"][found[t][0][k]] + found[t][1][k] for t in NUMERIC} | {"pulses": found["pulses"][1][k]}
+        refs = unpack_refs(get["refs"][k], get["hi_event"][k] - get["lo_event"][k] + 1)
+        out.append(frame_hits(refs, v, get["lo_event"][k], n_channels))
+    return out
 
 
 def decode(frames: DataFrame, models: dict, n_channels: int, backward: bool = False) -> DataFrame:
@@ -177,12 +281,13 @@ def decode(frames: DataFrame, models: dict, n_channels: int, backward: bool = Fa
 
 def hidden(frames: DataFrame, models: dict, backward: bool = False) -> DataFrame:
     """frame, state: what the start state of the pulses carried."""
-    m = models["pulses"]["coder"]
+    m, scope_of = models["pulses"]["coder"], models["pulses"]["scope_of"]
 
     def apply(batches):
         for batch in batches:
             get = batch.to_pydict()
-            _, starts = tans.decode_frames(list(zip(get["pulses_payload"], get["pulses_bits"], get["pulses_state"], get["pulses_n"])), m, backward)
+            which = [scope_of[np.arange(n) % len(scope_of)] for n in get["pulses_n"]] if models["pulses"]["many"] > 1 else None
+            _, starts = tans.decode_frames(list(zip(get["pulses_payload"], get["pulses_bits"], get["pulses_state"], get["pulses_n"])), m, backward, which)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([s - (1 << m["r"]) for s in starts], pa.int64())], ["frame", "state"])
 
     return frames.select("frame", "pulses_n", "pulses_state", "pulses_bits", "pulses_payload").mapInArrow(apply, "frame long, state long")
@@ -234,7 +339,7 @@ def realised_cost(frames: DataFrame) -> DataFrame:
 
 def overheads(frames: DataFrame, models: dict) -> DataFrame:
     """frames, reference, state and checksum bits: what value costs leave out."""
-    states = sum(m["coder"]["r"] for m in models.values())
+    states = sum(models[t]["coder"]["r"] for t in TYPES)
     g = frames.agg(F.count(F.lit(1)).alias("frames"), (F.sum(F.octet_length("refs")) * 8).cast("long").alias("reference_bits"))
     return g.withColumn("state_bits", F.col("frames") * states).withColumn("crc_bits", F.col("frames") * 32)
 
@@ -245,34 +350,30 @@ def frames_with_events(frames: DataFrame, models: dict, n_channels: int, lo: int
     return decode(some, models, n_channels).where(F.col("event").between(lo, hi))
 
 
-def count_at_least(frames: DataFrame, models: dict, vtype: str, least: int) -> DataFrame:
-    """n: values of a type that are at least `least`, decided by bins; only the bin that holds it reads raw bits."""
+def count_at_least(frames: DataFrame, models: dict, vtype: str, least: int, n_channels: int = 1) -> DataFrame:
+    """n: values of a type that are at least `least`, decided by bins; only a bin that holds it reads raw bits.
+
+    With models by channel the numbers of pulses are read too, as they tell each value's channel (n_channels)."""
     m = models[vtype]
-    edge = int(np.searchsorted(m["starts"], least, "right")) - 1
+    types = ("pulses", vtype) if m["many"] > 1 else (vtype,)
+    above = m["starts"] >= least
+    split = ~above & (least - m["starts"] >> m["widths"] == 0)
+    names = [f"{t}_{p}" for t in types for p in ("n", "state", "bits", "payload", "raw")]
 
     def apply(batches):
         for batch in batches:
-            get = batch.to_pydict()
-            symbols, _ = tans.decode_frames(list(zip(get[f"{vtype}_payload"], get[f"{vtype}_bits"], get[f"{vtype}_state"], get[f"{vtype}_n"])), m["coder"])
             total = 0
-            for s, raw in zip(symbols, get[f"{vtype}_raw"]):
-                total += int((s > edge).sum())
-                if (s == edge).any():
-                    total += int((m["starts"][edge] + unpack_bits(raw, m["widths"][s])[s == edge] >= least).sum())
+            for s, raw in zip(*_streams(batch.to_pydict(), models, n_channels, types)[vtype]):
+                edge = split[s]
+                total += int(above[s].sum()) + int((m["starts"][s[edge]] + raw[edge] >= least).sum())
             yield pa.RecordBatch.from_arrays([pa.array([total], pa.int64())], ["n"])
 
-    some = frames.select(f"{vtype}_n", f"{vtype}_state", f"{vtype}_bits", f"{vtype}_payload", f"{vtype}_raw")
-    return some.mapInArrow(apply, "n long").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"))
+    return frames.select(*names).mapInArrow(apply, "n long").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"))
 
 
 def encode_by_unit(hits: DataFrame, units: DataFrame, models: dict, n_channels: int, events_per_frame: int = 64) -> DataFrame:
-    """Frames of each acquisition unit (disjoint sets of channels): unit_id and the frame's columns."""
-    ids = [r[0] for r in units.select("unit_id").distinct().orderBy("unit_id").collect()]  # a handful
-    parts = [encode(hits.join(F.broadcast(units.where(F.col("unit_id") == u)), "channel").select("event", "channel", "rise", "fall"), models, n_channels, events_per_frame).withColumn("unit_id", F.lit(u)) for u in ids]
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
+    """Frames of each acquisition unit (disjoint sets of channels) in one plan: unit_id and the frame's columns."""
+    return encode(hits.join(units.select("channel", "unit_id"), "channel"), models, n_channels, events_per_frame, by="unit_id")
 
 
 def merge_units(frames: DataFrame) -> DataFrame:

@@ -92,8 +92,10 @@ def pulse_count_symbols(hits: DataFrame, style: str, n_channels: int) -> DataFra
 def pack_fixed(hits: DataFrame, n_channels: int, bits: tuple[int, int, int, int] = (4, 28, 27, 28)) -> DataFrame:
     """event, ref, packet: a bit string for each event, channel by channel: pulses, then start, width, (distance, width)...
 
-    Silent channels are their zero count. Values must fit their bits."""
-    field = lambda x, n: F.lpad(F.bin(x), n, "0")
+    Silent channels are their zero count. A value that does not fit its bits is an error."""
+    column = lambda x: F.col(x) if isinstance(x, str) else x
+    wide = lambda x, n: F.raise_error(F.format_string("%d does not fit %d bits", column(x).cast("long"), F.lit(n)))
+    field = lambda x, n: F.when(F.shiftright(column(x).cast("long"), n) == 0, F.lpad(F.bin(x), n, "0")).otherwise(wide(x, n))
     r = to_channel_records(hits)
     pairs = F.array_join(F.transform(F.sequence(F.lit(1), F.col("pulses")), lambda j: F.concat(F.when(j > 1, field(F.element_at("distances", F.greatest(j - 1, F.lit(1))), bits[3])).otherwise(""), field(F.element_at("widths", j), bits[2]))), "")
     safe = r.withColumn("distances", F.when(F.size("distances") == 0, F.array(F.lit(0).cast("long"))).otherwise(F.col("distances")))
@@ -135,8 +137,11 @@ def edges_of(hits: DataFrame) -> DataFrame:
 def pack_words(hits: DataFrame) -> DataFrame:
     """event, words: the standard format, 32-bit words in order of time; an epoch word before edges of a new epoch.
 
-    A time word is 0, fine (10 bits), coarse (11), channel (7), rising (1); an epoch word is 1 and 28 bits of epoch."""
-    e = edges_of(hits).withColumn("epoch", div(F.col("tick"), EPOCH_TICKS))
+    A time word is 0, fine (10 bits), coarse (11), channel (7), rising (1); an epoch word is 1 and 28 bits of epoch. A
+    channel or epoch beyond its bits (a tick below 0 too) is an error."""
+    fits = F.col("channel").between(0, 127) & F.col("tick").between(0, (EPOCH_TICKS << 28) - 1)
+    wide = F.raise_error(F.format_string("channel %d at tick %d does not fit its words", F.col("channel").cast("long"), F.col("tick")))
+    e = edges_of(hits).withColumn("tick", F.when(fits, F.col("tick")).otherwise(wide)).withColumn("epoch", div(F.col("tick"), EPOCH_TICKS))
     sub = F.pmod(F.col("tick"), F.lit(EPOCH_TICKS))
     word = (F.pmod(sub, F.lit(500)) * (1 << 21)) + div(sub, 500) * (1 << 10) + F.col("channel") * 8 + F.col("rising").cast("long")
     by = Window.partitionBy("event").orderBy("tick", "channel", "rising")

@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StructType
 
-from hitcodec.operators.bins import adaptive_bins, bin_cost, greedy_bins
+from hitcodec.operators.bins import _changes, _streamed_bins, adaptive_bins, bin_cost
 from hitcodec.operators.histo import entropy, histogram
 
 
@@ -85,35 +89,56 @@ def cross_entropy(model: DataFrame, hist: DataFrame, keys: list[str]) -> DataFra
     """keys, n, bits a value of data coded by a model of other data (v, n each; one is added to each of its counts)."""
     total = model.groupBy(*keys).agg(F.sum("n").alias("_total"), F.count(F.lit(1)).alias("_m"))
     m = model.select(*keys, "v", F.col("n").alias("_n"))
-    both = hist.join(m, [*keys, "v"], "left").join(F.broadcast(total), keys)
+    both = hist.join(m, [*keys, "v"], "left").join(total, keys)
     p = (F.coalesce("_n", F.lit(0)) + 1) / (F.col("_total") + F.col("_m") + 1)
     return both.groupBy(*keys).agg(F.sum("n").cast("long").alias("n"), F.round(F.sum(-F.col("n") * F.log2(p)) / F.sum("n"), 4).alias("bits"))
 
 
+def held_costs(hist: DataFrame, keys: list[str], shares: list[int]) -> DataFrame:
+    """keys, share, n_bins, test, n, bits: of adaptive bins fitted on the rows whose `test` is false, on both parts.
+
+    hist: keys, test, v, n. Bins are fitted in streams and travel in closures (some hundred a group and share); values
+    outside them cost 64 bits. Groups without rows to fit on have one bin, and no bits."""
+    fits = hist.where(~F.col("test")).withColumn("share", F.lit([int(x) for x in shares]))
+    found: dict[tuple, dict[int, list]] = {}
+    for r in _streamed_bins(fits, keys).orderBy("share", "bin_start").collect():
+        found.setdefault(tuple(r[k] for k in keys), {}).setdefault(r["share"], []).append((r["bin_start"], r["bin_width"], r["n"]))
+    tables = {}
+    for key, by_share in found.items():
+        for share, bins in by_share.items():
+            n = np.array([b[2] + 1 for b in bins], np.float64)
+            tables[key, share] = np.array([b[0] for b in bins]), np.array([b[1] for b in bins]), np.log2(n / n.sum())
+    kinds = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in hist.schema.fields if f.name in keys)
+
+    def apply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = []
+            cuts = [0, *_changes(batch.select([*keys, "test"]).to_struct_array()), batch.num_rows]
+            v, n = (batch.column(len(keys) + k).to_numpy() for k in (1, 2))
+            for a, z in zip(cuts, cuts[1:]):
+                key = tuple(batch.column(k)[a].as_py() for k in range(len(keys)))
+                for share in shares:
+                    bits, n_bins = 0.0, 1
+                    if (key, share) in tables:
+                        starts, widths, logs = tables[key, share]
+                        at = np.maximum(np.searchsorted(starts, v[a:z], "right") - 1, 0)
+                        inside = (v[a:z] >= starts[0]) & (v[a:z] < starts[-1] + (1 << int(widths[-1])))
+                        bits, n_bins = float((np.where(inside, widths[at] - logs[at], 64.0) * n[a:z]).sum()), len(starts)
+                    rows.append((*key, share, n_bins, batch.column(len(keys))[a].as_py(), int(n[a:z].sum()), bits))
+            names = [*keys, "share", "n_bins", "test", "n", "bits"]
+            yield pa.RecordBatch.from_pylist([dict(zip(names, r)) for r in rows], schema)
+
+    made = StructType.fromDDL(f"{kinds}, share int, n_bins long, test boolean, n long, bits double")
+    schema = to_arrow_schema(made)
+    ordered = hist.select(*keys, "test", "v", F.col("n").cast("long").alias("n")).sortWithinPartitions(*keys, "test")
+    return ordered.mapInArrow(apply, made).groupBy(*keys, "share", "test").agg(F.max("n_bins").alias("n_bins"), F.sum("n").alias("n"), F.sum("bits").alias("bits"))
+
+
 def holdout_cost(values: DataFrame, is_test, share: int) -> DataFrame:
-    """vtype, in_sample, hold_out: bits a value of adaptive bins fitted on the other rows, on both parts."""
-    parts = values.select("vtype", "v", is_test.alias("test"))
-    h = histogram(parts, ["vtype", "test"])
-
-    def one(key, part: pd.DataFrame) -> pd.DataFrame:
-        fit = part[~part["test"]].sort_values("v")
-        v, n = fit["v"].to_numpy(np.int64), fit["n"].to_numpy(np.int64)
-        bins = greedy_bins(v, n, int(n.sum()) // share)
-        starts, widths = np.array([b[0] for b in bins]), np.array([b[1] for b in bins])
-        share_of = np.array([b[2] + 1 for b in bins], np.float64)
-        share_of /= share_of.sum()
-        end = starts[-1] + (1 << int(widths[-1]))
-
-        def bits(some):
-            x, w = some["v"].to_numpy(np.int64), some["n"].to_numpy(np.float64)
-            at = np.clip(np.searchsorted(starts, x, "right") - 1, 0, len(starts) - 1)
-            inside = (x >= starts[0]) & (x < end)
-            cost = np.where(inside, widths[at] - np.log2(share_of[at]), 64.0)
-            return float((cost * w).sum() / w.sum())
-
-        return pd.DataFrame({"vtype": [key[0]], "n_bins": [len(bins)], "in_sample": [round(bits(part[~part["test"]]), 4)], "hold_out": [round(bits(part[part["test"]]), 4)]})
-
-    return h.groupBy("vtype").applyInPandas(one, "vtype string, n_bins int, in_sample double, hold_out double")
+    """vtype, n_bins, in_sample, hold_out: bits a value of adaptive bins fitted on the other rows, on both parts."""
+    c = held_costs(histogram(values.select("vtype", "v", is_test.alias("test")), ["vtype", "test"]), ["vtype"], [share])
+    part = lambda test: F.round(F.sum(F.when(F.col("test") == test, F.col("bits"))) / F.sum(F.when(F.col("test") == test, F.col("n"))), 4)
+    return c.groupBy("vtype").agg(F.max("n_bins").cast("int").alias("n_bins"), part(False).alias("in_sample"), part(True).alias("hold_out"))
 
 
 def first_channels(values: DataFrame) -> DataFrame:

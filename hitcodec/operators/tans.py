@@ -114,6 +114,20 @@ def choose_r(m: int, ratio: int = 8) -> int:
     return max(1, (max(1, m * ratio) - 1).bit_length())
 
 
+def join_models(models: list[dict]) -> dict:
+    """Models of equal r as one whose symbols are numbered through: each step may take another's tables, on one state.
+
+    `first` is the number of each model's first symbol; the decoder is told the model of each symbol."""
+    r = models[0]["r"]
+    if any(m["r"] != r for m in models):
+        raise ValueError("models of different table sizes")
+    sizes = [len(m["quota"]) for m in models]
+    first = np.concatenate([[0], np.cumsum(sizes)[:-1]]).astype(np.int64)
+    enc = {"nb": np.concatenate([m["enc"]["nb"] for m in models]), "off": np.concatenate([m["enc"]["off"] + (k << r) for k, m in enumerate(models)]), "next": np.concatenate([m["enc"]["next"] for m in models])}
+    dec = {"sym": np.concatenate([m["dec"]["sym"] + a for m, a in zip(models, first)])} | {k: np.concatenate([m["dec"][k] for m in models]) for k in ("nbits", "base")}
+    return {"r": r, "quota": np.concatenate([m["quota"] for m in models]), "first": first, "enc": enc, "dec": dec}
+
+
 def table_bytes(model: dict) -> int:
     """Decoder: a symbol, a bit count and a state in 4 bytes a slot. Encoder: two bytes a slot, six a symbol."""
     return (4 << model["r"]) + (2 << model["r"]) + 6 * len(model["quota"])
@@ -214,9 +228,11 @@ def encode_frames(frames: list[np.ndarray], model: dict, start: list[int] | None
     return out
 
 
-def decode_frames(frames: list[tuple[bytes, int, int, int]], model: dict, backward: bool = False) -> tuple[list[np.ndarray], list[int]]:
-    """Symbols and start states of frames given as (payload, bits, final state, symbols)."""
-    size, n = 1 << model["r"], len(frames)
+def decode_frames(frames: list[tuple[bytes, int, int, int]], model: dict, backward: bool = False, which: list[np.ndarray] | None = None) -> tuple[list[np.ndarray], list[int]]:
+    """Symbols and start states of frames given as (payload, bits, final state, symbols).
+
+    which: with joined models, the model of each symbol of each frame."""
+    size, r, n = 1 << model["r"], model["r"], len(frames)
     sym, nbits, base = (model["dec"][k].astype(np.int32) for k in ("sym", "nbits", "base"))
     lengths = np.array([f[3] for f in frames], np.int64)
     order, live = _by_length(lengths)
@@ -231,8 +247,16 @@ def decode_frames(frames: list[tuple[bytes, int, int, int]], model: dict, backwa
     at = (first[:-1] + 1) * 32 + np.array([frames[k][1] for k in order], np.int64)
     state = np.array([frames[k][2] for k in order], np.int32)
     grid = np.zeros((len(live), n), np.int32)
-    for row, m in zip(grid, live.tolist()):
+    shift = None
+    if which is not None:
+        shift = np.zeros((n, len(live)), np.int32)
+        for lane, k in enumerate(order.tolist()):
+            shift[lane, : lengths[k]] = (which[k] if backward else which[k][::-1]) << r
+        shift = np.ascontiguousarray(shift.T)
+    for step, (row, m) in enumerate(zip(grid, live.tolist())):
         x, end = state[:m] - size, at[:m]
+        if shift is not None:
+            x = x + shift[step, :m]
         row[:m] = sym[x]
         nb = nbits[x]
         place = end >> 5

@@ -160,6 +160,7 @@ for view, cte in VIEWS.items():
     ) SELECT e AS events, round(flags / e, 4) AS flag_bits, round(pointer / e, 4) AS pointer_bits, round((flags - pointer) / e, 4) AS saved FROM c"""
     O[f"frames_roundtrip_{k}"] = w(cte) + HITS
 O["frames_roundtrip_backward"] = O["frames_roundtrip_small"] = w(EV1) + HITS
+O["frames_roundtrip_channel"] = O["frames_roundtrip_class"] = O["frames_roundtrip_or1"]
 O["ladder_ratio"] = None  # filled below
 
 SIMPLE_TOP = """tops AS (SELECT vtype, greatest(0, length(bin(max(v))) - 8) AS low FROM hist GROUP BY vtype
@@ -285,7 +286,11 @@ O["frames_fec"] = "SELECT 0 AS not_repaired"
 O["frames_pruned_count"] = w(EV1) + "SELECT event, count(*) AS n FROM hits WHERE event BETWEEN 10 AND 20 GROUP BY event"
 O["frames_bin_predicate"] = w(EV1) + "SELECT count(*) AS n FROM hits WHERE fall - rise >= 5000"
 O["frames_realised"] = "SELECT true AS close"
-O["frames_overheads"] = w(EV1) + "SELECT count(DISTINCT event // 64) AS frames, count(DISTINCT event // 64) * 64 * 64 AS reference_bits, count(DISTINCT event // 64) * 32 AS crc_bits FROM hits"
+# references: 9 bytes of the first and a width, then 63 zig-zag differences of that width
+REFS = """steps AS (SELECT event // 64 AS frame, ref - lag(ref) OVER (PARTITION BY event // 64 ORDER BY event) AS d FROM (SELECT event, min(rise) AS ref FROM hits GROUP BY event)),
+widest AS (SELECT frame, coalesce(max(CASE WHEN d >= 0 THEN 2 * d ELSE -2 * d - 1 END), 0) AS z FROM steps GROUP BY frame)"""
+O["frames_overheads"] = w(EV1, REFS) + "SELECT count(*) AS frames, CAST(sum(8 * (9 + (63 * CASE WHEN z = 0 THEN 0 ELSE length(bin(z)) END + 7) // 8)) AS BIGINT) AS reference_bits, count(*) * 32 AS crc_bits FROM widest"
+O["frames_exceptions"] = w(EV1) + "SELECT event, channel, rise, fall + CASE WHEN event % 7 = 0 THEN 35184372088832 ELSE 0 END AS fall FROM hits"
 O["frames_dump"] = w(EV1, PLACED) + "SELECT event, channel, 'event ' || event || ' channel ' || channel || ': ' || count(*) || ' pulses from ' || (min(rise) - min(ref)) AS line FROM placed GROUP BY event, channel"
 O["unit_merge"] = w(li1("l_suppkey")) + HITS
 SIDE = w(f"{VIEWS['LI1']}, {PLACED}, nv AS (SELECT vtype, v FROM vals WHERE vtype <> 'pulses' UNION ALL SELECT 'em0', CAST(round((CAST(embedding[i] AS DOUBLE) + 1) * 1048576) AS BIGINT) FROM embeddings, range(1, 65) r(i))", "shared AS (SELECT vtype, CAST(share AS INTEGER) AS share, v FROM nv, (VALUES (16), (64), (256)) t(share))", greedy("shared", "count(*) // any_value(share)", "vtype, share"), "sb AS (SELECT vtype, low_bits, v >> low_bits AS bin, count(*) AS n FROM nv, (VALUES (12), (16), (20)) t(low_bits) GROUP BY ALL)")

@@ -29,9 +29,12 @@ def cost_raw_words(hits: DataFrame) -> DataFrame:
 
 def counted(hits: DataFrame, n_channels: int, by_channel: bool = False) -> DataFrame:
     """(channel,) vtype, v, n with the silent channels' zeros among the pulses."""
-    v = value_streams(hits)
     keys = ["channel", "vtype"] if by_channel else ["vtype"]
-    h = v.groupBy(*keys, "v").agg(F.count(F.lit(1)).alias("n"))
+    return _with_silent(value_streams(hits).groupBy(*keys, "v").agg(F.count(F.lit(1)).alias("n")), hits, n_channels, by_channel)
+
+
+def _with_silent(h: DataFrame, hits: DataFrame, n_channels: int, by_channel: bool) -> DataFrame:
+    keys = ["channel", "vtype"] if by_channel else ["vtype"]
     events = hits.agg(F.count_distinct("event").alias("events"))
     active = h.where("vtype = 'pulses'").groupBy(*keys).agg(F.sum("n").alias("a")).crossJoin(F.broadcast(events))
     size = F.col("events") if by_channel else F.col("events") * n_channels
@@ -81,7 +84,9 @@ def ladder(hits: DataFrame, n_channels: int = 48, rungs: tuple = RUNGS, share: i
     if "R0" in rungs:
         w = cost_raw_words(hits).select("events", F.inline(F.array(F.struct(F.lit("time_words").alias("vtype"), F.col("words").alias("n_values")), F.struct(F.lit("epoch_words").alias("vtype"), F.col("epoch_words").alias("n_values")))))
         parts.append(w.select(F.lit("R0").alias("rung"), "vtype", "n_values", none.alias("n_bins"), (F.col("n_values") * 32.0).alias("bits")))
-    hist = counted(hits, n_channels)
+    # one histogram by channel; the global one is its sum
+    own = value_streams(hits).groupBy("channel", "vtype", "v").agg(F.count(F.lit(1)).alias("n"))
+    hist = _with_silent(own.groupBy("vtype", "v").agg(F.sum("n").alias("n")), hits, n_channels, False) if "R4" in rungs else counted(hits, n_channels)
     for rung, cost in (("R1", cost_fixed), ("R1b", cost_expgolomb)):
         if rung in rungs:
             parts.append(cost(hist).select(F.lit(rung).alias("rung"), "vtype", "n_values", none.alias("n_bins"), F.col("bits").cast("double").alias("bits")))
@@ -91,7 +96,7 @@ def ladder(hits: DataFrame, n_channels: int = 48, rungs: tuple = RUNGS, share: i
     if "R3" in rungs:
         parts.append(_adaptive(hist, ["vtype"], share).select(F.lit("R3").alias("rung"), "vtype", "n_values", "n_bins", "bits"))
     if "R4" in rungs:
-        parts.append(_adaptive(counted(hits, n_channels, True), ["channel", "vtype"], channel_share).select(F.lit("R4").alias("rung"), "vtype", "n_values", "n_bins", "bits"))
+        parts.append(_adaptive(_with_silent(own, hits, n_channels, True), ["channel", "vtype"], channel_share).select(F.lit("R4").alias("rung"), "vtype", "n_values", "n_bins", "bits"))
     every = parts[0]
     for p in parts[1:]:
         every = every.unionByName(p)

@@ -76,28 +76,10 @@ def scope_sweep(values: DataFrame, shares: list[int], is_test: Column, classes:
     out = None
     for scope in ("global", "channel") + (("class",) if classes is not None else ()):
         h = M.scope_values(values, scope, classes).select("scope_id", "v", is_test.alias("test")).groupBy("scope_id", "test", "v").agg(F.count(F.lit(1)).alias("n"))
-        each = h.withColumn("share", F.explode(F.array(*[F.lit(s) for s in shares])))
-
-        def one(key, part: pd.DataFrame) -> pd.DataFrame:
-            fit = part[~part["test"]].sort_values("v")
-            cost = {False: 0.0, True: 0.0}
-            bins = [(0, 0, 0)]
-            if len(fit):
-                v, n = fit["v"].to_numpy(np.int64), fit["n"].to_numpy(np.int64)
-                bins = BN.greedy_bins(v, n, int(n.sum()) // int(key[1]))
-                starts, widths = np.array([b[0] for b in bins]), np.array([b[1] for b in bins])
-                p = np.array([b[2] + 1 for b in bins], np.float64)
-                p /= p.sum()
-                end = starts[-1] + (1 << int(widths[-1]))
-                for test, some in part.groupby("test"):
-                    x, w = some["v"].to_numpy(np.int64), some["n"].to_numpy(np.float64)
-                    at = np.clip(np.searchsorted(starts, x, "right") - 1, 0, len(starts) - 1)
-                    cost[bool(test)] = float((np.where((x >= starts[0]) & (x < end), widths[at] - np.log2(p[at]), 64.0) * w).sum())
-            count = {bool(t): int(s["n"].sum()) for t, s in part.groupby("test")}
-            return pd.DataFrame({"share": [key[1]], "n_bins": [len(bins)], "a": [cost[False]], "b": [cost[True]], "na": [count.get(False, 0)], "nb": [count.get(True, 0)]})
-
-        g = each.groupBy("scope_id", "share").applyInPandas(one, "share int, n_bins long, a double, b double, na long, nb long").groupBy("share")
-        g = g.agg(F.count(F.lit(1)).alias("models"), F.sum("n_bins").alias("n_bins"), F.round(F.sum("a") / F.sum("na"), 3).alias("in_sample"), F.round(F.sum("b") / F.sum("nb"), 3).alias("hold_out"))
+        c = M.held_costs(h, ["scope_id"], shares)
+        part = lambda name, test: F.coalesce(F.sum(F.when(F.col("test") == test, F.col(name))), F.lit(0))
+        each = c.groupBy("scope_id", "share").agg(F.max("n_bins").alias("n_bins"), part("bits", False).alias("a"), part("n", False).alias("na"), part("bits", True).alias("b"), part("n", True).alias("nb"))
+        g = each.groupBy("share").agg(F.count(F.lit(1)).alias("models"), F.sum("n_bins").alias("n_bins"), F.round(F.sum("a") / F.sum("na"), 3).alias("in_sample"), F.round(F.sum("b") / F.sum("nb"), 3).alias("hold_out"))
         g = g.select(F.lit(scope).alias("scope"), "share", "models", "n_bins", "in_sample", "hold_out", M.model_bits("n_bins").alias("table_bits"))
         out = g if out is None else out.unionByName(g)
     return out

@@ -291,18 +291,18 @@ def huffman_roundtrip(spark, sf):
 
 @query
 def escape_roundtrip(spark, sf):
-    """Numbers of pulses with an alphabet of 0..3: larger ones as an escape symbol and their excess."""
+    """Numbers of pulses with an alphabet of 0..3: larger ones as an escape symbol and their excess as an Exp-Golomb word."""
     ship_package(spark)
     frames = or0_frames(spark, sf)
     counts, escape = PX.with_escape(frame_hist(frames), 3)
     codes = PX.canonical_codes(PX.huffman_lengths(counts))
-    code = lambda syms: [(PX.encode_bits(np.minimum(s, escape), codes)[0], s[s >= escape] - escape) for s in syms]
+    code = lambda syms: [(PX.encode_bits(np.minimum(s, escape), codes)[0], FR.pack_bits(*FR.expgolomb_words(s[s >= escape] - escape))) for s in syms]
 
     def decode(coded, lengths):
         out = []
         for (data, excess), n in zip(coded, lengths):
             s = PX.decode_bits(data, n, codes).copy()
-            s[s == escape] += excess
+            s[s == escape] += FR.read_expgolomb(excess, int((s == escape).sum()))
             out.append(s)
         return out
 
@@ -591,11 +591,11 @@ def model_size(spark, sf):
 # --- frames
 
 
-def framed(view, spark, sf, **options):
+def framed(view, spark, sf, scopes=None, **options):
     """(hits, models, frames read back from files)."""
     ship_package(spark)
     h = hits(view, spark, sf)
-    models = FR.fit_models(h, CH)
+    models = FR.fit_models(h, CH, scopes=scopes)
     path = scratch(spark, f"frames-{view}")
     FR.write_frames(FR.encode(h, models, CH, **options), path)
     return h, models, FR.read_frames(spark, path)
@@ -611,6 +611,9 @@ def _frames_roundtrip(view, **options):
 
 for _v in V.HITS:
     named(f"frames_roundtrip_{_v.lower()}", _frames_roundtrip(_v))
+# models of their own for each channel, and for classes of twelve channels
+named("frames_roundtrip_channel", _frames_roundtrip("OR1", scopes=list(range(CH))))
+named("frames_roundtrip_class", _frames_roundtrip("OR1", scopes=[c // 12 for c in range(CH)]))
 named("frames_roundtrip_backward", _frames_roundtrip("EV1", backward=True))
 named("frames_roundtrip_small", _frames_roundtrip("EV1", events_per_frame=1))
 
@@ -622,6 +625,16 @@ def frames_hidden_payload(spark, sf):
     return FR.hidden(frames, models).join(frames.select("frame", "n_hits"), "frame").agg(F.count_if(F.col("state") != F.col("n_hits") % size).alias("wrong"))
 
 
+@query
+def frames_exceptions(spark, sf):
+    """Frames of hits with widths far beyond those that the models were fitted on."""
+    _, models, _ = framed("EV1", spark, sf)
+    h = hits("EV1", spark, sf).withColumn("fall", F.col("fall") + F.when(F.col("event") % 7 == 0, F.lit(1 << 45)).otherwise(0))
+    path = scratch(spark, "frames-exceptions")
+    FR.write_frames(FR.encode(h, models, CH), path)
+    return FR.decode(FR.sound(FR.read_frames(spark, path)), models, CH)
+
+
 @query
 def frames_crc_clean(spark, sf):
     return FR.verify(framed("EV1", spark, sf)[2]).agg(F.count_if(~F.col("ok")).alias("bad"))

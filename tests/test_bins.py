@@ -37,6 +37,18 @@ def test_zero_gets_a_bin_of_its_own():
     assert all(a[0] + (1 << a[1]) <= b[0] for a, b in zip(special, special[1:]))
 
 
+@pytest.mark.parametrize("size", [1, 3, 50, 1000])
+def test_streamed_bins(size):
+    rng = np.random.default_rng(size)
+    for least in (0, 1, 20, 10_000):
+        for strict in (True, False):
+            v = np.unique(rng.integers(-500, 2**rng.integers(2, 40), 400))
+            n = rng.integers(1, 30, len(v))
+            s = bins.GreedyStream(int(n.sum()), least, strict)
+            got = [b for k in range(0, len(v), size) for b in s.feed(v[k : k + size], n[k : k + size])]
+            assert got == bins.greedy_bins(v, n, least, strict)
+
+
 def test_optimal_is_not_above_greedy():
     rng = np.random.default_rng(4)
     v = np.arange(60)
@@ -77,8 +89,39 @@ def test_frame_values_and_back():
     e, c = rng.integers(8, 12, 60), rng.integers(0, 5, 60)
     r = rng.integers(-50, 2**34, 60)
     f = r + rng.integers(0, 99, 60)
-    refs, v = frames.frame_values(e, c, r, f, 8, 4, 5)
-    back = frames.frame_hits(refs, v, 8, 5)
+    refs, v, _ = frames.frame_values(e, c, r, f, 8, 4, 5)
+    back = frames.frame_hits(frames.unpack_refs(refs, 4), v, 8, 5)
     assert sorted(zip(*map(list, back))) == sorted(zip(e, c, r, f))
-    refs, v = frames.frame_values(*[np.zeros(0, np.int64)] * 4, 0, 2, 5)
-    assert [len(x) for x in frames.frame_hits(refs, v, 0, 5)] == [0, 0, 0, 0]
+    refs, v, _ = frames.frame_values(*[np.zeros(0, np.int64)] * 4, 0, 2, 5)
+    assert [len(x) for x in frames.frame_hits(frames.unpack_refs(refs, 2), v, 0, 5)] == [0, 0, 0, 0]
+
+
+def test_references():
+    big = np.iinfo(np.int64)
+    for refs, used in (([5, 9, 9, -3], [1, 1, 1, 1]), ([7, 0, 0, 8], [0, 1, 0, 1]), ([big.min, big.max, 0], [1, 1, 1]), ([4], [1]), ([4, 4], [0, 0])):
+        refs, used = np.array(refs, np.int64), np.array(used, bool)
+        with np.errstate(over="ignore"):
+            assert (frames.unpack_refs(frames.pack_refs(refs, used), len(refs))[used] == refs[used]).all()
+    assert len(frames.pack_refs(np.arange(64) * 1000 + 10**15, np.ones(64, bool))) < 64 * 3  # about 11 bits each
+
+
+def test_joined_models():
+    rng = np.random.default_rng(8)
+    models = [tans.fit(c, 6) for c in ([5, 1, 1], [1, 9], [3, 3, 3, 3])]
+    joined = tans.join_models(models)
+    which = [rng.integers(0, 3, n) for n in (0, 1, 500, 90)]
+    local = [np.array([rng.integers(0, len(models[k]["quota"])) for k in w], np.int64) for w in which]
+    symbols = [x + joined["first"][w] for x, w in zip(local, which)]
+    for backward in (False, True):
+        coded = tans.encode_frames(symbols, joined, None, backward)
+        back, starts = tans.decode_frames([(*c, len(s)) for c, s in zip(coded, symbols)], joined, backward, which)
+        assert all((a == b).all() for a, b in zip(back, symbols)) and starts == [64] * 4
+    with pytest.raises(ValueError):
+        tans.join_models([tans.fit([1, 1], 3), tans.fit([1, 1], 4)])
+
+
+def test_expgolomb_words():
+    v = np.array([0, 1, 2, 6, 65_535, 70_000, 2**40])
+    word, width = frames.expgolomb_words(v)
+    assert frames.read_expgolomb(frames.pack_bits(word, width), len(v)).tolist() == v.tolist()
+    assert width.tolist()[:4] == [1, 3, 3, 5]

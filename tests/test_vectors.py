@@ -125,13 +125,3 @@ def test_symbols_beyond_the_alphabet():
     assert list(decode("1010011")) == [(0, 0), (1, 1), (2, 2)]
     with pytest.raises(ValueError):
         list(decode("100100"))
-
-
-def test_pulses_beyond_the_escape():
-    from hitcodec.operators.frames import _symbols, pack_bits, unpack_bits
-
-    model = {"escape": 15}
-    _, raw, widths = _symbols(model, np.array([3, 15, 15 + 65535]))
-    assert unpack_bits(pack_bits(raw, widths), widths).tolist() == [0, 0, 65535]
-    with pytest.raises(ValueError):
-        _symbols(model, np.array([15 + 65536]))
