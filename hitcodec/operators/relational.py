@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from hitcodec.sources.views import div
+from hitcodec.functions.bits import bit_length
 
 
 def join_with(left: DataFrame, right: DataFrame, on, how: str = "inner", strategy: str | None = None) -> DataFrame:
@@ -28,13 +28,22 @@ def join_asof(left: DataFrame, right: DataFrame, on: str, by: list[str], columns
 def join_interval(h: DataFrame, cell: int) -> DataFrame:
     """event, a, b, overlap: pairs of channels with overlapping pulses in an event, by cells of time.
 
-    Pulses meet in the cells they share; a pair counts in the cell where the later one begins, hence once."""
-    p = h.withColumn("cell", F.explode(F.sequence(div(F.col("rise"), cell), div(F.col("fall"), cell))))
-    left = p.select("event", "cell", F.col("channel").alias("a"), F.col("rise").alias("ra"), F.col("fall").alias("fa"))
-    right = p.select("event", "cell", F.col("channel").alias("b"), F.col("rise").alias("rb"), F.col("fall").alias("fb"))
-    start, end = F.greatest("ra", "rb"), F.least("fa", "fb")
-    both = left.join(right, ["event", "cell"]).where((F.col("a") < F.col("b")) & (start < end) & (F.col("cell") == div(start, cell)))
-    return both.select("event", "a", "b", "ra", "rb", (end - start).alias("overlap"))
+    A pulse's class is the power of two above its length (`cell`, a power of two, at least), so that it lies in one or two
+    cells of its class, however long it is. It is asked for in the cells of all longer classes that occur; a pair meets in
+    the cells of the longer one's class, and counts in the one where the later pulse begins, hence once."""
+    bits = cell.bit_length() - 1
+    p = h.withColumn("kind", F.greatest(F.lit(bits), bit_length(F.col("fall") - F.col("rise"))).cast("int"))
+    top = p.agg(F.max("kind").alias("top"))  # one row
+    cells = lambda k: F.explode(F.expr(f"sequence(shiftright(rise, {k}), shiftright(fall, {k}))")).alias("cell")
+    left = p.select("event", F.col("kind").alias("at"), F.col("channel").alias("x"), F.col("rise").alias("rx"), F.col("fall").alias("fx"), cells("kind"))
+    asked = p.crossJoin(F.broadcast(top)).select("event", "channel", "rise", "fall", "kind", F.explode(F.sequence("kind", "top")).alias("at"))
+    right = asked.select("event", "at", "kind", F.col("channel").alias("y"), F.col("rise").alias("ry"), F.col("fall").alias("fy"), cells("at"))
+    start, end = F.greatest("rx", "ry"), F.least("fx", "fy")
+    once = (F.col("kind") < F.col("at")) & (F.col("x") != F.col("y")) | (F.col("kind") == F.col("at")) & (F.col("x") < F.col("y"))
+    both = left.join(right, ["event", "at", "cell"]).where(once & (start < end) & (F.col("cell") == F.expr("shiftright(greatest(rx, ry), at)")))
+    first = F.col("x") < F.col("y")
+    pick = lambda a, b: F.when(first, F.col(a)).otherwise(F.col(b))
+    return both.select("event", pick("x", "y").alias("a"), pick("y", "x").alias("b"), pick("rx", "ry").alias("ra"), pick("ry", "rx").alias("rb"), (end - start).alias("overlap"))
 
 
 def topk_per_group(df: DataFrame, by: list[str], order: list[Column], k: int) -> DataFrame:

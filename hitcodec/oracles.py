@@ -219,6 +219,12 @@ def huffman_total(ctes: list[str], table: str) -> str:
 O["cost_huffman_pulses"] = huffman_total([OR0, P0], "h")
 O["cost_huffman_quantity"] = huffman_total(["h AS (SELECT l_quantity AS v, count(*) AS n FROM lineitem GROUP BY ALL)"], "h")
 O["cost_huffman_bytes"] = huffman_total([CHARS, "h AS (SELECT sym AS v, count(*) AS n FROM s GROUP BY ALL)"], "h")
+O["cost_huffman_pages"] = huffman_total([CHARS.replace("documents", "pages").replace("doc_id", "page_id").replace("text", "html"), "h AS (SELECT sym AS v, count(*) AS n FROM s GROUP BY ALL)"], "h")
+O["near_uniform_control"] = f"WITH h AS (SELECT 'p_size' AS vtype, p_size, count(*) AS n FROM part GROUP BY ALL) SELECT vtype, CAST(sum(n) AS BIGINT) AS n_values, count(*) AS symbols, round({ENTROPY}, 4) AS bits_per_value, round(log2(count(*)), 4) AS even FROM h GROUP BY vtype"
+O["tans_trace_example"] = "SELECT * FROM (VALUES (0, 1, 4, 2.0, '00', 5), (1, 0, 5, 2.3219, '', 7), (2, 0, 7, 2.8074, '1', 4), (3, 0, 4, 2.0, '', 6), (4, 0, 6, 2.585, '0', 4), (5, 1, 4, 2.0, '00', 5), (6, 1, 5, 2.3219, '01', 5)) t(step, sym, state, state_bits, bits, next_state)".replace("2.0,", "CAST(2.0 AS DOUBLE),").replace("2.3219", "CAST(2.3219 AS DOUBLE)").replace("2.8074", "CAST(2.8074 AS DOUBLE)").replace("2.585", "CAST(2.585 AS DOUBLE)")
+O["tans_loss_bounds"] = w(OR0, CHARS, f"""every AS (SELECT 'pulses' AS symbols, pulses AS v, count(*) AS n FROM or0 GROUP BY ALL
+  UNION ALL SELECT 'toxic', toxic, count(*) FROM labels WHERE toxic IS NOT NULL GROUP BY ALL UNION ALL SELECT 'characters', sym, count(*) FROM s GROUP BY ALL
+), sized AS (SELECT symbols, CAST(count(*) AS INTEGER) AS m, round({ENTROPY}, 4) AS entropy FROM every GROUP BY symbols)""") + "SELECT symbols, m, r, entropy, CAST((6 << r) + 6 * m AS BIGINT) AS table_bytes, 4 AS spreads, true AS no_gain, true AS falls FROM sized, (VALUES (2), (3), (4), (5), (6), (8), (10)) t(r) WHERE m <= (1 << r)"
 O["huffman_kraft"] = "SELECT 'pulses' AS code, CAST(1 AS DOUBLE) AS kraft, 0 AS clashes UNION ALL SELECT 'characters', CAST(1 AS DOUBLE), 0"
 FRAMES0 = "SELECT event // 16 AS frame, row_number() OVER (PARTITION BY event // 16 ORDER BY event, channel) - 1 AS pos, CAST(pulses AS BIGINT) AS sym FROM or0"
 O["tans_roundtrip_pulses"] = O["tans_roundtrip_backward"] = O["tans_roundtrip_payload"] = O["range_roundtrip_pulses"] = O["escape_roundtrip"] = w(OR0) + FRAMES0
@@ -250,6 +256,23 @@ O["adaptive_sketch_regret"] = "SELECT * FROM (VALUES ('start', true), ('width',
 O["bin_lut_vs_join"] = w(VALUES["OR1"]) + "SELECT count(DISTINCT v) AS \"values\", 0 AS differ FROM nv WHERE vtype = 'width'"
 O["bin_value_roundtrip"] = w(VALUES["OR1"]) + "SELECT v, count(*) AS n FROM nv WHERE vtype = 'width' GROUP BY v"
 O["bin_uniformity"] = w(VALUES["OR1"], "wv AS (SELECT vtype, v FROM nv WHERE vtype = 'width')", greedy("wv", "count(*) // 64"), "wh AS (SELECT vtype, v, count(*) AS n FROM wv GROUP BY ALL)", "inside AS (SELECT h.vtype, b.bin, h.n, sum(h.n) OVER (PARTITION BY b.bin ORDER BY h.v) / sum(h.n) OVER (PARTITION BY b.bin) AS share, (h.v - b.s + 1) / (CAST(1 AS BIGINT) << b.w) AS even FROM wh h JOIN bins b ON h.v >= b.s AND h.v < b.s + (CAST(1 AS BIGINT) << b.w))") + "SELECT vtype, bin, CAST(sum(n) AS BIGINT) AS n, round(max(abs(share - even)), 6) AS gap FROM inside GROUP BY vtype, bin"
+POINTER = """f AS (SELECT event, count(*) AS active, count(*) FILTER (v = 0) AS zeros, min({'v': v, 'c': channel}).c AS pointer FROM vals WHERE vtype = 'start' GROUP BY event
+), own AS (SELECT p.event, p.v AS own, f.active, CASE WHEN p.channel = f.pointer THEN 1 ELSE 0 END AS first FROM vals p JOIN f ON p.event = f.event WHERE p.vtype = 'pulses'
+), rates AS (SELECT own, active, sum(first) / count(*) AS rate FROM own GROUP BY own, active
+), paid AS (SELECT event, log2(sum(rate)) - log2(sum(rate * first)) AS bits FROM own JOIN rates USING (own, active) GROUP BY event
+), g AS (SELECT count(*) AS e, sum(active) AS a, sum(zeros) AS z, count(*) FILTER (zeros > 1) AS t FROM f
+), c AS (SELECT e, CASE WHEN z > 0 AND z < a THEN a * log2(a) - z * log2(z) - (a - z) * log2(a - z) ELSE 0 END AS flags,
+                (SELECT sum(bits) FROM paid) + CASE WHEN t > 0 AND t < e THEN e * log2(e) - t * log2(t) - (e - t) * log2(e - t) ELSE 0 END AS pointer FROM g)"""
+O["zero_pointer_by_pulses"] = w(OR1, PLACED, POINTER) + "SELECT e AS events, round(flags / e, 4) AS flag_bits, round(pointer / e, 4) AS pointer_bits, round((flags - pointer) / e, 4) AS saved FROM c"
+PRICED = "priced AS (SELECT *, w - log2((n + 1) / sum(n + 1) OVER (PARTITION BY {0})) AS bits FROM bins)"
+O["holdout_bins"] = w(OR1, PLACED, "nv AS (SELECT vtype, v FROM vals WHERE vtype <> 'pulses' AND event % 2 = 0)", greedy("nv", "count(*) // 256"), PRICED.format("vtype"), "ins AS (SELECT vtype, CAST(count(*) AS INTEGER) AS n_bins, round(sum(n * bits) / sum(n), 4) AS in_sample FROM priced GROUP BY vtype)", "oth AS (SELECT vtype, v, count(*) AS n FROM vals WHERE vtype <> 'pulses' AND event % 2 = 1 GROUP BY ALL)") + "SELECT i.vtype, any_value(n_bins) AS n_bins, any_value(in_sample) AS in_sample, round(sum(o.n * coalesce(p.bits, 64)) / sum(o.n), 4) AS hold_out FROM ins i JOIN oth o ON i.vtype = o.vtype LEFT JOIN priced p ON p.vtype = o.vtype AND o.v >= p.s AND o.v < p.s + (CAST(1 AS BIGINT) << p.w) GROUP BY i.vtype"
+EM1_SCOPES = """em AS (SELECT vec_id AS event, i - 1 AS channel, 20000 + 90 * (i - 1) + CAST(round(CAST(embedding[i] AS DOUBLE) * 8000) AS BIGINT) AS v FROM embeddings, range(1, 49) r(i)
+), scoped AS (SELECT 'global' AS scope, 0 AS scope_id, event, v FROM em UNION ALL SELECT 'channel', channel, event, v FROM em UNION ALL SELECT 'class', channel // 12, event, v FROM em
+), fits AS (SELECT scope, scope_id, CAST(share AS INTEGER) AS share, v FROM scoped, (VALUES (8), (16), (32), (64)) t(share) WHERE event % 2 = 0)"""
+O["workload_scope_sweep"] = w(EM1_SCOPES, greedy("fits", "count(*) // any_value(share)", "scope, scope_id, share"), PRICED.format("scope, scope_id, share"), """ins AS (SELECT scope, share, count(DISTINCT scope_id) AS models, count(*) AS n_bins, round(sum(n * bits) / sum(n), 3) AS in_sample FROM priced GROUP BY ALL
+), oth AS (SELECT scope, scope_id, v, count(*) AS n FROM scoped WHERE event % 2 = 1 GROUP BY ALL
+), outs AS (SELECT s.scope, s.share, round(sum(o.n * coalesce(p.bits, 64)) / sum(o.n), 3) AS hold_out FROM (SELECT DISTINCT scope, share FROM fits) s JOIN oth o ON s.scope = o.scope
+  LEFT JOIN priced p ON p.scope = o.scope AND p.scope_id = o.scope_id AND p.share = s.share AND o.v >= p.s AND o.v < p.s + (CAST(1 AS BIGINT) << p.w) GROUP BY ALL)""") + "SELECT scope, share, models, n_bins, in_sample, hold_out, CAST(n_bins * 54 AS BIGINT) AS table_bits FROM ins JOIN outs USING (scope, share)"
 O["bins_optimal_regret"] = "SELECT true AS optimal_not_above, true AS within_tenth"
 
 

@@ -11,7 +11,7 @@ inner = f"SELECT o_orderpriority, count(*) AS n, CAST(sum({CENTS.format('l_exten
 for k in ("smj", "shj", "bhj"):
     O[f"join_inner_{k}"] = inner
 for k in ("left", "right", "full"):
-    O[f"join_{k}"] = f"SELECT coalesce(o.o_orderkey, l.o_orderkey) AS o_orderkey, o_orderstatus, n FROM (SELECT o_orderkey, o_orderstatus FROM orders WHERE o_orderkey % 3 <> 0) o {k} JOIN (SELECT l_orderkey AS o_orderkey, count(*) AS n FROM lineitem WHERE l_orderkey % 2 = 0 GROUP BY l_orderkey) l ON o.o_orderkey = l.o_orderkey"
+    O[f"join_{k}"] = f"SELECT day, ordered, shipped FROM (SELECT strftime(o_orderdate, '%Y-%m-%d') AS day, count(*) AS ordered FROM orders GROUP BY 1) {k} JOIN (SELECT strftime(l_shipdate, '%Y-%m-%d') AS day, count(*) AS shipped FROM lineitem GROUP BY 1) USING (day)"
 O["join_semi"] = "SELECT o_orderkey FROM orders WHERE o_orderkey IN (SELECT l_orderkey FROM lineitem WHERE l_quantity > 45)"
 O["join_anti"] = "SELECT o_orderkey FROM orders WHERE NOT EXISTS (SELECT 1 FROM lineitem WHERE l_orderkey = o_orderkey)"
 O["join_cross_small"] = "SELECT n_name, r_name FROM nation, region"
@@ -79,7 +79,7 @@ O["stream_join"] = w(EV2) + "SELECT a.event, a.channel, a.tick AS rise, b.tick A
 O["stream_equals_batch"] = "SELECT 0 AS differ"
 O["udf_arrow"] = w(OR0) + "SELECT event, channel, CAST(2 * length(bin(pulses + 1)) - 1 AS INTEGER) AS bits FROM or0"
 O["udf_pandas"] = w(EV1) + "SELECT event, fall - rise AS v, CAST(CASE WHEN fall - rise >= 20000 THEN 3 WHEN fall - rise >= 5000 THEN 2 WHEN fall - rise >= 1000 THEN 1 ELSE 0 END AS INTEGER) AS bin FROM hits"
-O["udf_agg"] = w(OR0, "h AS (SELECT channel, pulses, count(*) AS n FROM or0 WHERE channel < 4 GROUP BY ALL)") + "SELECT channel, round(log2(sum(n)) - sum(n * log2(n)) / sum(n), 4) AS entropy FROM h GROUP BY channel"
+O["udf_agg"] = w(OR0, "h AS (SELECT channel, pulses, count(*) AS n FROM or0 GROUP BY ALL)") + "SELECT channel, round(log2(sum(n)) - sum(n * log2(n)) / sum(n), 4) AS entropy FROM h GROUP BY channel"
 O["udtf_trace"] = "SELECT * FROM (VALUES (0, 'b', 4, '00', 5), (1, 'a', 5, '', 7), (2, 'a', 7, '1', 4), (3, 'a', 4, '', 6), (4, 'a', 6, '0', 4), (5, 'b', 4, '00', 5), (6, 'b', 5, '01', 5)) t(step, sym, state, bits, next_state)"
-O["udtf_decode"] = w(OR0) + "SELECT event, channel AS pos, CAST(pulses AS INTEGER) AS sym FROM or0 WHERE event <= 300"
+O["udtf_decode"] = w(OR0) + "SELECT event, channel AS pos, CAST(pulses AS INTEGER) AS sym FROM or0"
 O["udf_sql_registered"] = w(OR0) + "SELECT CAST(pulses AS INTEGER) AS pulses, CAST(2 * length(bin(pulses + 1)) - 1 AS INTEGER) AS bits, round(-log2(count(*) / sum(count(*)) OVER ()), 4) AS info FROM or0 GROUP BY pulses"

@@ -157,9 +157,15 @@ def or0_hist(spark, sf) -> DataFrame:
     return V.or0(spark, sf).groupBy(F.col("pulses").cast("long").alias("v")).agg(F.count(F.lit(1)).alias("n"))
 
 
+ALPHABET = 100_000
+
+
 def counts_of(hist: DataFrame) -> dict[int, int]:
-    """A small alphabet's counts: the driver's input for fitting."""
-    return {int(r["v"]): int(r["n"]) for r in hist.orderBy("v").limit(100_000).collect()}
+    """A small alphabet's counts: the driver's input for fitting. More than `ALPHABET` symbols are an error, never cut."""
+    rows = hist.limit(ALPHABET + 1).collect()
+    if len(rows) > ALPHABET:
+        raise ValueError(f"an alphabet of more than {ALPHABET} symbols; bin it first")
+    return {int(r["v"]): int(r["n"]) for r in sorted(rows, key=lambda r: r["v"])}
 
 
 @query
@@ -256,7 +262,8 @@ def _tans_roundtrip(source, ratio=8, backward=False, payload=False):
     def f(spark, sf):
         ship_package(spark)
         frames = source(spark, sf)
-        model = T.fit(dense_counts(frame_hist(frames)), T.choose_r(max(2, len(frame_hist(frames))), ratio) + 1)
+        counts = frame_hist(frames)
+        model = T.fit(dense_counts(counts), T.choose_r(max(2, len(counts)), ratio) + 1)
         size = 1 << model["r"]
 
         def code(syms):
@@ -289,6 +296,16 @@ def huffman_roundtrip(spark, sf):
     return _stream_codec(frames, lambda s: [PX.encode_bits(x, codes) for x in s], lambda c, n: [PX.decode_bits(b[0], k, codes) for b, k in zip(c, n)])
 
 
+named("cost_huffman_pages", lambda spark, sf: _huffman_total(char_hist(V.pg1(spark, sf))))
+
+
+@query
+def near_uniform_control(spark, sf):
+    """Part sizes, of which no coder gains much: entropy beside the bits of equal chances."""
+    h = load(spark, sf, "part").groupBy(F.lit("p_size").alias("vtype"), F.col("p_size").cast("long").alias("v")).agg(F.count(F.lit(1)).alias("n"))
+    return C.cost_entropy(h).withColumn("even", F.round(F.log2("symbols"), 4))
+
+
 @query
 def escape_roundtrip(spark, sf):
     """Numbers of pulses with an alphabet of 0..3: larger ones as an escape symbol and their excess as an Exp-Golomb word."""
@@ -428,6 +445,18 @@ def tans_loss_sweep(spark, sf):
     return W.tans_loss_sweep(every, [2, 3, 4, 5, 6, 8, 10])
 
 
+@query
+def tans_loss_bounds(spark, sf):
+    """What the loss sweep must keep: entropies and table sizes as computed from the data, no gain below the entropy, and
+    on a stride a loss that has fallen by more than half from eight states a symbol to the greatest table."""
+    p = tans_loss_sweep(spark, sf)
+    step = p.where("spread = 'step'").groupBy("symbols").agg(F.sort_array(F.collect_list(F.struct("r", "m", "loss"))).alias("s"))
+    wide = F.filter("s", lambda x: x["m"] * 8 <= F.pow(F.lit(2.0), x["r"]))
+    falls = step.select("symbols", F.when(F.size(wide) > 1, F.element_at(wide, -1)["loss"] * 2 < F.element_at(wide, 1)["loss"]).otherwise(True).alias("falls"))
+    g = p.groupBy("symbols", "m", "r").agg(F.max("entropy").alias("entropy"), F.max("table_bytes").alias("table_bytes"), F.count(F.lit(1)).alias("spreads"), (F.min("loss") > -1e-9).alias("no_gain"))
+    return g.join(falls, "symbols").select("symbols", "m", "r", F.round("entropy", 4).alias("entropy"), "table_bytes", "spreads", "no_gain", "falls")
+
+
 # --- bins
 
 

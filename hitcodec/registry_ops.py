@@ -50,9 +50,11 @@ for _k, _s in (("smj", "merge"), ("shj", "shuffle_hash"), ("bhj", "broadcast")):
 
 def _outer(how):
     def f(spark, sf):
-        o = t(spark, sf, "orders").select("o_orderkey", "o_orderstatus").where("o_orderkey % 3 <> 0")
-        lines = t(spark, sf, "lineitem").where("l_orderkey % 2 = 0").groupBy(F.col("l_orderkey").alias("o_orderkey")).agg(F.count(F.lit(1)).alias("n"))
-        return o.join(lines, "o_orderkey", how).select("o_orderkey", "o_orderstatus", "n")
+        # orders and shipments of each day: either has days without the other
+        day = lambda c: F.date_format(c, "yyyy-MM-dd").alias("day")
+        o = t(spark, sf, "orders").groupBy(day("o_orderdate")).agg(F.count(F.lit(1)).alias("ordered"))
+        lines = t(spark, sf, "lineitem").groupBy(day("l_shipdate")).agg(F.count(F.lit(1)).alias("shipped"))
+        return o.join(lines, "day", how).select("day", "ordered", "shipped")
 
     return f
 
@@ -289,7 +291,7 @@ def udf_pandas(spark, sf):
     return h.select("event", "v", U.assign_bin_np([0, 1000, 5000, 20000])("v").alias("bin"))
 
 
-named("udf_agg", lambda spark, sf: V.or0(spark, sf).where("channel < 4").groupBy("channel").agg(F.round(U.entropy_bits()("pulses"), 4).alias("entropy")))
+named("udf_agg", lambda spark, sf: V.or0(spark, sf).groupBy("channel").agg(F.round(U.entropy_bits()("pulses"), 4).alias("entropy")))
 
 
 @query
@@ -302,7 +304,7 @@ def udtf_trace(spark, sf):
 def udtf_decode(spark, sf):
     """Words of each order's numbers of pulses, joined, and decoded by a table function for each row."""
     spark.udtf.register("expgolomb_decode_all", U.decode_udtf(1000))
-    V.or0(spark, sf).where("event <= 300").groupBy("event").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("channel", B.expgolomb_encode("pulses").alias("w")))), lambda x: x["w"]), "").alias("bits")).createOrReplaceTempView("or0_words")
+    V.or0(spark, sf).groupBy("event").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("channel", B.expgolomb_encode("pulses").alias("w")))), lambda x: x["w"]), "").alias("bits")).createOrReplaceTempView("or0_words")
     return spark.sql("SELECT event, d.pos, d.sym FROM or0_words, LATERAL expgolomb_decode_all(bits) d")
 
 

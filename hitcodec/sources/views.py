@@ -6,7 +6,7 @@ values: event, channel, v. symbols: frame, pos, sym.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from hitcodec.sources.tables import load
@@ -105,10 +105,8 @@ def em1(spark: SparkSession, sf_dir: str) -> DataFrame:
 def cv1(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The role is the channel: its rank by name."""
     c = load(spark, sf_dir, "conversations").where("role is not null")
-    roles = c.groupBy("role").agg(F.count(F.lit(1)).alias("n"))  # a handful
-    ranks = [r["role"] for r in roles.orderBy("role").limit(1000).collect()]
-    channel = F.array_position(F.array(*[F.lit(r) for r in ranks]), F.col("role")).cast("int") - 1
-    return c.select(F.col("conv_id").alias("event"), channel.alias("channel"), F.coalesce(F.length("text"), F.lit(0)).cast("long").alias("v"))
+    ranks = c.select("role").distinct().withColumn("channel", (F.dense_rank().over(Window.orderBy("role")) - 1).cast("int"))  # a row for each role
+    return c.join(ranks, "role").select(F.col("conv_id").alias("event"), "channel", F.coalesce(F.length("text"), F.lit(0)).cast("long").alias("v"))
 
 
 def characters(df: DataFrame, frame: str, text: str) -> DataFrame:
