@@ -81,6 +81,7 @@ def _permuted(rounds: int) -> tuple[str, str]:
 
 
 _STEPS, _LAST = _permuted(4)
+_FIRST, _SECOND = _draw("pos + 1", 5), _draw("xor(f, f >> 13)", 7)
 MIX = rf"""
 WITH sized AS (
   SELECT doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) AS size, (coalesce(doc_id, 0) % 1000003) * 40503 % 1024 AS bucket FROM documents
@@ -95,29 +96,45 @@ WITH sized AS (
 ), aims AS (
   SELECT *, CAST(CASE WHEN 3 * source_size <= level * weight THEN 3 * source_size
                       ELSE least(weight * (SELECT max(level) FROM levels WHERE NOT 3 * source_size <= level * weight), 3 * source_size) END AS DOUBLE) AS target FROM levels
+), size_of AS (
+  SELECT min(b) AS block FROM (VALUES (4), (8), (16), (32), (64), (128), (256), (512), (1024)) t(b), (SELECT coalesce(sum(source_size), 0) AS total FROM aims) WHERE b = 1024 OR b * 1048576 >= total
 ), plan AS (
-  SELECT *, w // greatest(source_size, 1) AS passes, w - (w // greatest(source_size, 1)) * source_size AS rest, source_size // 1024 AS whole, source_size % 1024 AS tail
-  FROM (SELECT *, CAST(round(target) AS BIGINT) AS w FROM aims)
-), cuts AS (
-  SELECT rn, i, rest, whole, tail, passes FROM (SELECT *, unnest(range(0, (rest + 1023) // 1024)) AS i FROM plan)
+  SELECT *, (source_size + block - 1) // block AS blocks FROM aims, size_of
+), due AS (
+  SELECT *, CASE WHEN blocks > 0 THEN target * blocks / source_size ELSE 0.0::DOUBLE END AS draws FROM plan
+), line AS (
+  SELECT *, CAST(round(coalesce(sum(draws) OVER (ORDER BY rn ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) / nullif(sum(draws) OVER (), 0), 0) * 1099511627776) AS BIGINT) AS high FROM due
+), spans AS (
+  SELECT rn, blocks, coalesce(lag(high) OVER (ORDER BY rn), 0) AS low, high FROM line
+), total AS (
+  SELECT CAST(coalesce(round(sum(draws)), 0) AS BIGINT) AS slots FROM due
+), made AS (
+  SELECT pos, pos // 4096 AS shard, pos % 4096 AS j, least(4096, slots - pos // 4096 * 4096) AS size FROM (SELECT slots, unnest(range(0, slots)) AS pos FROM total)
+), first_draw AS (
+  SELECT *, {_FIRST} AS f FROM made
+), points AS (
+  SELECT shard, j, ((j << 40) + (({_SECOND}) << 9)) // size AS point FROM first_draw
+), drawn AS (
+  SELECT p.shard, p.j, s.rn, s.blocks FROM points p JOIN spans s ON p.point >= s.low AND p.point < s.high
+), ranked AS (
+  SELECT rn, blocks, row_number() OVER (PARTITION BY rn ORDER BY shard, j) - 1 AS i FROM drawn
 ), ask AS (
-  SELECT rn, i, whole AS n, rn * 7919 + passes * 104729 + 1 AS seed, CAST(1 AS BIGINT) << (length(bin(whole)) - 1) AS top,
-         greatest(1, length(bin(whole)) - length(bin(whole)) // 2) AS half, i AS x
-  FROM cuts WHERE i < whole
+  SELECT rn, i % blocks AS i, blocks AS n, rn * 7919 + (i // blocks) * 104729 + 1 AS seed, CAST(1 AS BIGINT) << (length(bin(blocks)) - 1) AS top,
+         greatest(1, length(bin(blocks)) - length(bin(blocks)) // 2) AS half, i % blocks AS x
+  FROM ranked WHERE i // blocks < 3
 ), {_STEPS}, used AS (
-  SELECT c.rn, coalesce(p.x, c.i) AS block, least(CASE WHEN c.i < whole THEN 1024 ELSE tail END, rest - c.i * 1024) AS cut
-  FROM cuts c LEFT JOIN {_LAST} p ON c.rn = p.rn AND c.i = p.i
+  SELECT rn, x AS block, count(*) AS uses FROM {_LAST} GROUP BY ALL
 ), placed AS (
-  SELECT s.*, p.rn, p.source_size, p.target, p.passes,
+  SELECT s.*, p.rn, p.source_size, p.target, p.block AS words,
          CAST(sum(size) OVER (PARTITION BY p.rn ORDER BY bucket, doc_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS BIGINT) - size AS origin
   FROM sized s JOIN plan p ON s.source IS NOT DISTINCT FROM p.source
 ), pieces AS (
-  SELECT doc_id, rn, origin, size, b AS block, greatest(origin, b * 1024) - b * 1024 AS a, least(origin + size, (b + 1) * 1024) - b * 1024 AS z
-  FROM (SELECT *, unnest(range(origin // 1024, (origin + size - 1) // 1024 + 1)) AS b FROM placed WHERE size > 0)
-), extra AS (
-  SELECT doc_id, CAST(sum(greatest(0, least(z, cut) - a)) AS BIGINT) AS more FROM pieces JOIN used USING (rn, block) GROUP BY doc_id
+  SELECT doc_id, rn, b AS block, least(origin + size, (b + 1) * words) - greatest(origin, b * words) AS held
+  FROM (SELECT *, unnest(range(origin // words, (origin + size - 1) // words + 1)) AS b FROM placed WHERE size > 0)
+), sums AS (
+  SELECT doc_id, CAST(sum(held * uses) AS BIGINT) AS taken FROM pieces JOIN used USING (rn, block) GROUP BY doc_id
 )
-SELECT doc_id, size, source_size, target, passes * size + coalesce(more, 0) AS taken, source FROM placed LEFT JOIN extra USING (doc_id)
+SELECT doc_id, size, source_size, target, coalesce(taken, 0) AS taken, source FROM placed LEFT JOIN sums USING (doc_id)
 """
 
 ORACLES = {"op1_source_mixing": MIX, "op7_ngram_join": JACCARD, "op9_line_dedup": LINES, "op10_url_filter": URL}
