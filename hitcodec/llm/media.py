@@ -3,10 +3,13 @@
 `decode` reads Netpbm P2, P3, P5, P6 (8 bits) and uncompressed BMP of 8, 24 and 32 bits. `area_resize` averages the
 source area under each target pixel, with exact fractional edges, from an integral image. A tile is the resized grey
 picture in NPY format; the difference hash compares neighbours of a 9 x 8 one. `store_texts` keeps any bytes losslessly as
-a grey picture 64 samples wide; the pictures are written to a table in the shared folder and read back.
+a grey picture 64 samples wide; the pictures, and then their tiles, are written to tables in the shared folder and read
+back.
 
-Defined results: null text is empty and gives one row of zeros; equal texts give equal values; a picture that can't be
-read raises ValueError, in `media_features` it gives nulls; repeated rows each get a row; other columns are ignored.
+Defined results: null text is empty and gives one row of zeros; a null doc_id is kept as it is; equal texts give equal
+values; a very long text is one tall picture, held by one task with its integral image (8 bytes a sample); an empty table
+gives an empty result; a picture that can't be read raises ValueError, in `media_features` it gives nulls; repeated rows
+each get a row; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -18,6 +21,7 @@ import zlib
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from hitcodec.session import materialise
 
@@ -185,20 +189,27 @@ def store_texts(docs: DataFrame, form: str = "pgm") -> DataFrame:
     return materialise(rows, "media")
 
 
-def media_digest(stored: DataFrame, side: int = 16) -> DataFrame:
-    """What the stored pictures hold, decoded: digests of payload and picture, and the difference hash."""
-    names = ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "tile_crc32"]
+def store_tiles(stored: DataFrame, side: int = 16) -> DataFrame:
+    """What the stored pictures hold, decoded, with the difference hash and the tile in NPY format: written to the shared
+    folder and read again."""
+    names = ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "tile"]
 
     def one(data: bytes):
         pixels = decode(data)
         payload = pixels.tobytes()
-        return len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-WIDTH:]), len(data), hashlib.sha256(data).hexdigest(), difference_hash(pixels), zlib.crc32(tile(pixels, side))
+        return len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-WIDTH:]), len(data), hashlib.sha256(data).hexdigest(), difference_hash(pixels), tile(pixels, side)
 
-    kinds = (pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64())
+    kinds = (pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.binary())
 
     def apply(batches):
         for batch in batches:
             made = [one(x) for x in batch.column(2).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array([m[i] for m in made], k) for i, k in enumerate(kinds))], names)
 
-    return stored.select("doc_id", "n_bytes", "media").mapInArrow(apply, "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, tile_crc32 long")
+    made = stored.select("doc_id", "n_bytes", "media").mapInArrow(apply, "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, tile binary")
+    return materialise(made, "media-tiles")
+
+
+def media_digest(stored: DataFrame, side: int = 16) -> DataFrame:
+    """Digests of payload, picture and NPY tile, each as read back, and the difference hash."""
+    return store_tiles(stored, side).withColumn("tile_sha256", F.sha2("tile", 256)).drop("tile")
