@@ -8,7 +8,8 @@ interval of each access identifier in the sorted starts and goes on where the la
 reach is linked, each is visited once, and no pairs are made.
 
 Defined results: null text is empty; spans count code points, end exclusive; parts that overlap a base find are that
-find; repeated rows each get a row; other columns are ignored. The whole text of a document is one string in one task.
+find; a null doc_id is kept as it is; repeated rows each get a row; an empty table gives an empty result; other columns
+are ignored. The whole text of a document, however long, is one string in one task.
 """
 
 from __future__ import annotations

@@ -11,8 +11,9 @@ Only text enters a score. Rows whose crc32(doc_id as text) mod 5 is 0 are never
 
 Defined results: null and empty texts have no feature and get the score of the bias; null labels and labels without a
 document are left out; a document with several labels counts as toxic if one says so; repeated rows each get a score;
-without any training row of one class all scores are the share of toxic rows (0 without labels); other columns are kept
-by `toxicity_filter` and ignored by `score`.
+without any training row of one class all scores are the share of toxic rows (0 without labels); a null doc_id has no
+remainder: it is not held out, is never learnt from, and is scored; a very long text is scored whole, in one task; an
+empty table gives an empty result; other columns are kept by `toxicity_filter` and ignored by `score`.
 """
 
 from __future__ import annotations
@@ -62,7 +63,7 @@ class Grams:
 
 
 def held_out(doc_id) -> bool:
-    return zlib.crc32(str(doc_id).encode()) % 5 == 0
+    return doc_id is not None and zlib.crc32(str(doc_id).encode()) % 5 == 0
 
 
 def known_labels(labels: DataFrame) -> DataFrame:

@@ -6,7 +6,8 @@ first 32 bits of their SHA-256; the full digests then confirm, and the longest r
 
 Defined results: a null url or one without `://` has empty host and path and takes the default verdict; rules with null
 host, path or verdict are left out; repeated rows each get their row; of equal rules with different verdicts, block
-wins; an empty table gives an empty result; other columns of the pages are ignored.
+wins; a null page_id is kept as it is; a very long url makes no more expressions than the rules have shapes; an empty
+table gives an empty result; other columns of the pages are ignored.
 """
 
 from __future__ import annotations
@@ -31,16 +32,18 @@ def _rules(rules: DataFrame) -> DataFrame:
     return (
         rules.where(F.col("host").isNotNull() & F.col("path").isNotNull() & F.col("verdict").isNotNull())
         .select(F.translate("host", UPPER, LOWER).alias("host"), "path", "verdict")
-        .select(F.concat("host", "path").alias("rule"), F.length("path").alias("path_len"), "verdict", F.sha2(F.concat("host", "path"), 256).alias("digest"))
-        .groupBy("rule", "path_len", "digest")
+        .select(F.concat("host", "path").alias("rule"), F.length("path").alias("path_len"), F.size(F.split("host", r"\.")).alias("labels"), "verdict", F.sha2(F.concat("host", "path"), 256).alias("digest"))
+        .groupBy("rule", "path_len", "labels", "digest")
         .agg(F.max("verdict").alias("verdict"))
     )
 
 
-def expressions(parts: DataFrame, lengths: list[int]) -> DataFrame:
-    """(host, path) into rows with an expression each; `lengths` are those of the rules' paths."""
+def expressions(parts: DataFrame, lengths: list[int], counts: list[int]) -> DataFrame:
+    """(host, path) into rows with an expression each; `lengths` are those of the rules' paths, `counts` the numbers of
+    labels of their hosts, so that a host of many labels makes no more expressions than the rules ask for."""
     labels = F.split("host", r"\.")
-    suffixes = F.transform(F.sequence(F.lit(1), F.size(labels)), lambda i: F.array_join(F.slice(labels, i, F.size(labels)), "."))
+    some = F.filter(F.array(*[F.lit(n) for n in counts]), lambda n: n <= F.size(labels))
+    suffixes = F.transform(some, lambda n: F.array_join(F.slice(labels, F.size(labels) - n + 1, n), "."))
     fitting = F.filter(F.array(*[F.lit(n) for n in lengths]), lambda n: n <= F.length("path"))
     return (
         parts.withColumn("suffix", F.explode(suffixes))
@@ -53,17 +56,19 @@ def url_filter(pages: DataFrame, rules: DataFrame, default: str = "allow") -> Da
     """Judge every page: page_id, host, path, rule, verdict.
 
     pages: page_id, url. rules: host, path, verdict (allow or block). A rule fits its host and all subdomains if the
-    path begins with the rule's; the longest wins. The distinct path lengths of the rules, at most as many as a path
-    has characters, go to the driver; the rules themselves are joined, and broadcast only if Spark finds them small.
+    path begins with the rule's; the longest wins. The distinct path lengths and label counts of the rules, at most as
+    many as a path has characters and a host labels, go to the driver; the rules themselves are joined, and broadcast
+    only if Spark finds them small.
     """
     host, path = url_parts(F.col("url"))
     judged = pages.select("page_id", host.alias("host"), path.alias("path"))
     known = _rules(rules)
-    lengths = sorted(r[0] for r in known.select("path_len").distinct().collect())
+    shapes = known.select("path_len", "labels").distinct().collect()
+    lengths, counts = sorted({r[0] for r in shapes}), sorted({r[1] for r in shapes})
     if not lengths:
         return judged.select("page_id", "host", "path", F.lit(None).cast("string").alias("rule"), F.lit(default).alias("verdict"))
     short = lambda c: F.substring(c, 1, PREFIX_HEX)
-    asked = expressions(judged.select("host", "path").where("host <> ''").distinct(), lengths)
+    asked = expressions(judged.select("host", "path").where("host <> ''").distinct(), lengths, counts)
     left = asked.select("host", "path", F.col("path_len").alias("asked_len"), F.col("digest").alias("asked"), short(F.col("digest")).alias("short"))
     right = known.select("rule", "path_len", "verdict", "digest", short(F.col("digest")).alias("short"))
     rank = F.struct(F.length("rule").alias("n"), F.col("verdict"), F.col("rule"))

@@ -356,7 +356,12 @@ def test_toxicity_on_given(spark, sf):
     sf = sf.replace("0.001", "0.01")
     got = Q.op4_toxicity(spark, sf).join(table(spark, sf, "labels"), "doc_id").where("held_out").collect()
     right = sum(r["predicted"] == r["toxic"] for r in got) / len(got)
-    assert right > 0.9
+    toxic = [r["score"] for r in got if r["toxic"] == 1]
+    clean = [r["score"] for r in got if r["toxic"] == 0]
+    assert right > 0.9 and len(toxic) > 5
+    # most labels are clean: of the toxic ones, and by the order of scores
+    assert sum(s >= 0.5 for s in toxic) >= 0.8 * len(toxic)
+    assert sum((a > b) + (a == b) / 2 for a in toxic for b in clean) / (len(toxic) * len(clean)) > 0.95
 
 
 # --- 5 secrets
