@@ -180,8 +180,9 @@ def _encode_lanes(columns: np.ndarray, ids: int) -> list[bytes]:
             log[k0 - start : k0 - start + len(x)] = mix * 3 + by1 + by2 * np.int8(2)
             bucket = model.bucket(x)
             share = model.share.take(model.at_bucket + bucket)
-            size = (share & MOST) * 1.0
-            begin = (share >> np.uint32(TAIL)) * float(WIDE) + size * (x - model.first.take(bucket))
+            size = (share & MOST).astype(float)
+            begin = size * (x - model.first.take(bucket))
+            begin += (share >> np.uint32(TAIL)).astype(float) * WIDE
             rest = 2.0**MIX - both * 2.0**-TAIL
             begin, size = both + rest * begin, rest * size
             known = np.flatnonzero(by1 | by2)
@@ -189,15 +190,19 @@ def _encode_lanes(columns: np.ndarray, ids: int) -> list[bytes]:
             begin.ravel()[known] = np.where(first, 0.0, split)
             size.ravel()[known] = np.where(first, split, both.take(known) - split)
             for k in range(len(x)):
-                unit = np.floor(width * 2.0**-SCALE)
-                low += unit * begin[k]
-                width = unit * size[k]
+                width *= 2.0**-SCALE
+                np.floor(width, out=width)
+                low += width * begin[k]
+                width *= size[k]
                 small = width < LOW_RANGE
-                word = np.floor(low * 2.0**-36)
+                word = low * 2.0**-36
+                np.floor(word, out=word)
                 flat[at] = word.astype(np.int32)  # may hold a carry above 16 bits; written over unless it leaves
                 word *= small
-                low -= word * LOW_RANGE
-                turn = small * (TURN - 1.0) + 1.0
+                word *= LOW_RANGE
+                low -= word
+                turn = small * (TURN - 1.0)
+                turn += 1.0
                 low *= turn
                 width *= turn
                 at += small
@@ -255,15 +260,29 @@ def _decode_lanes(payloads: list[bytes], steps: int, ids: int) -> np.ndarray:
             place = model.places(x, last)
             entry = model.after.take(place)
             mix, two, both = model.weights(entry)
-            rest = 2.0**MIX - both * 2.0**-TAIL
-            unit = np.floor(width * 2.0**-SCALE)
-            v = np.floor(code / unit)
+            rest = both * -(2.0**-TAIL)
+            rest += 2.0**MIX
+            unit = width * 2.0**-SCALE
+            np.floor(unit, out=unit)
+            v = code / unit
+            np.floor(v, out=v)
             # order 0: place on its line, bucket, id in the bucket; of no account where v lies below
-            spot = np.floor((v - both) / rest)
-            bucket = slots.take(model.at_slot + (spot * 2.0**-WIDE_BITS).astype(np.int64), mode="clip").astype(np.int64)
-            share = model.share.take(model.at_bucket + bucket)
-            size, begin = (share & MOST) * 1.0, (share >> np.uint32(TAIL)) * float(WIDE)
-            inside = np.floor((spot - begin) / size)
+            spot = v - both
+            spot /= rest
+            np.floor(spot, out=spot)
+            place0 = (spot * 2.0**-WIDE_BITS).astype(np.int64)
+            place0 += model.at_slot
+            bucket = slots.take(place0, mode="clip")
+            np.add(model.at_bucket, bucket, out=place0)
+            share = model.share.take(place0)
+            size = (share & MOST).astype(float)
+            share >>= np.uint32(TAIL)
+            begin = share.astype(float)
+            begin *= WIDE
+            inside = spot
+            inside -= begin
+            inside /= size
+            np.floor(inside, out=inside)
             begin += size * inside
             begin *= rest
             begin += both
@@ -281,7 +300,8 @@ def _decode_lanes(payloads: list[bytes], steps: int, ids: int) -> np.ndarray:
             code -= unit * begin
             width = unit * size
             small = width < LOW_RANGE
-            turn = small * (TURN - 1.0) + 1.0
+            turn = small * (TURN - 1.0)
+            turn += 1.0
             code *= turn
             code += coming.take(at, mode="clip") * small
             width *= turn
