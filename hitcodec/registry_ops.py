@@ -227,6 +227,23 @@ def io_frames_source(spark, sf):
     return spark.read.format("hitframes").option("path", path).option("models", save_models(models)).option("channels", V.CHANNELS).option("lo", 5).load().where("event <= 40")
 
 
+@query
+def stream_frames_source(spark, sf):
+    """Hits of a growing archive, streamed: files written in two rounds, each read once."""
+    from hitcodec.sources.frames_source import register, save_models
+
+    ship_package(spark)
+    register(spark)
+    h = V.ev1(spark, sf)
+    models = FR.fit_models(h, V.CHANNELS)
+    path, out, state = (scratch(spark, f"frames-stream-{x}") for x in ("in", "out", "state"))
+    for turn in (0, 1):
+        FR.encode(h.where((F.col("event") % 128 >= 64) == bool(turn)), models, V.CHANNELS).write.mode("append").parquet(path)
+        s = spark.readStream.format("hitframes").option("path", path).option("models", save_models(models)).option("channels", V.CHANNELS).load()
+        s.writeStream.format("parquet").option("path", out).option("checkpointLocation", state).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.parquet(out)
+
+
 # --- streams
 
 
