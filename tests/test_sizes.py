@@ -18,3 +18,11 @@ def test_pulses_are_drawn_once(spark, sf):
     assert "transform(" not in plan(V.or1(spark, sf))
     want = V.or0(spark, sf).agg(F.sum("pulses")).first()[0]
     assert V.or1(spark, sf).count() == want
+
+
+def test_streamed_rows_are_files(spark, sf):
+    """Appended rows are read from files and not held by the driver."""
+    from hitcodec.streaming import streams as S
+
+    got = S.run(S.hits_of(spark, sf).drop("at"), "append")
+    assert "FileScan parquet" in plan(got) and got.count() == V.ev1(spark, sf).count()
