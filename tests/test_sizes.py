@@ -26,3 +26,11 @@ def test_streamed_rows_are_files(spark, sf):
 
     got = S.run(S.hits_of(spark, sf).drop("at"), "append")
     assert "FileScan parquet" in plan(got) and got.count() == V.ev1(spark, sf).count()
+
+
+def test_packets_of_overlapping_pulses(spark):
+    from hitcodec.operators import layout as L
+
+    hits = [(1, 0, 0, 100), (1, 0, 0, 100), (1, 0, 40, 50), (1, 0, 50, 60), (1, 1, 7, 7), (1, 1, 7, 9), (2, 1, 5, 2**20), (2, 1, 6, 7)]
+    df = spark.createDataFrame(hits, "event long, channel int, rise long, fall long")
+    assert sorted(map(tuple, L.unpack_fixed(L.pack_fixed(df, 2), 2).collect())) == sorted(hits)
