@@ -34,3 +34,9 @@ def test_packets_of_overlapping_pulses(spark):
     hits = [(1, 0, 0, 100), (1, 0, 0, 100), (1, 0, 40, 50), (1, 0, 50, 60), (1, 1, 7, 7), (1, 1, 7, 9), (2, 1, 5, 2**20), (2, 1, 6, 7)]
     df = spark.createDataFrame(hits, "event long, channel int, rise long, fall long")
     assert sorted(map(tuple, L.unpack_fixed(L.pack_fixed(df, 2), 2).collect())) == sorted(hits)
+
+
+def test_intervals_are_not_broadcast(spark, sf):
+    from hitcodec.operators import relational as R
+
+    assert not re.findall(r"BroadcastHashJoin|HashedRelation", plan(R.join_interval(V.or1(spark, sf), 4096)))
