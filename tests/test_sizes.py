@@ -40,3 +40,8 @@ def test_intervals_are_not_broadcast(spark, sf):
     from hitcodec.operators import relational as R
 
     assert not re.findall(r"BroadcastHashJoin|HashedRelation", plan(R.join_interval(V.or1(spark, sf), 4096)))
+
+
+def test_classes_are_not_broadcast(spark, sf):
+    df = V.cu1(spark, sf)
+    assert "BroadcastHashJoin" not in plan(df) and df.columns == ["event", "channel", "id", "pulses", "event_class"]
