@@ -45,3 +45,13 @@ def test_intervals_are_not_broadcast(spark, sf):
 def test_classes_are_not_broadcast(spark, sf):
     df = V.cu1(spark, sf)
     assert "BroadcastHashJoin" not in plan(df) and df.columns == ["event", "channel", "id", "pulses", "event_class"]
+
+
+def test_large_tables_are_not_broadcast(spark, monkeypatch):
+    from hitcodec.operators import relational as R
+
+    a, b = spark.range(50), spark.range(40)
+    assert "BroadcastHashJoin" in plan(R.join_with(a, b, "id", strategy="broadcast"))
+    monkeypatch.setattr(R, "BROADCAST_ROWS", 39)
+    both = R.join_with(a, b, "id", strategy="broadcast")
+    assert "SortMergeJoin" in plan(both) and both.count() == 40
