@@ -55,3 +55,10 @@ def test_large_tables_are_not_broadcast(spark, monkeypatch):
     monkeypatch.setattr(R, "BROADCAST_ROWS", 39)
     both = R.join_with(a, b, "id", strategy="broadcast")
     assert "SortMergeJoin" in plan(both) and both.count() == 40
+
+
+def test_width_bins_read_the_pulses_once(spark, sf):
+    from hitcodec import registry
+
+    for df in registry._or1_width_bins(spark, sf):
+        assert "MapInArrow" not in plan(df) and "Window" not in plan(df)
