@@ -62,3 +62,34 @@ def test_width_bins_read_the_pulses_once(spark, sf):
 
     for df in registry._or1_width_bins(spark, sf):
         assert "MapInArrow" not in plan(df) and "Window" not in plan(df)
+
+
+def test_frames_are_coded_once(spark, sf, tmp_path):
+    """Ranges of events are drawn from written frames: the coder runs over each hit once."""
+    from hitcodec.operators import frames as FR
+    from hitcodec.session import ship_package
+
+    ship_package(spark)
+    seen = spark.sparkContext.accumulator(0)
+
+    def counted(batches):
+        for b in batches:
+            seen.add(b.num_rows)
+            yield b
+
+    h = V.ev1(spark, sf)
+    models = FR.fit_models(h, V.CHANNELS)
+    frames = FR.encode(h, models, V.CHANNELS)
+    FR.write_frames(frames.mapInArrow(counted, FR.FRAME), str(tmp_path / "f"))
+    assert seen.value == FR.read_frames(spark, str(tmp_path / "f")).count() > 0
+
+
+def test_frames_step_in_small_grids():
+    import numpy as np
+
+    from hitcodec import registry
+
+    sizes = np.array([0, 5, 1000, 3, 3, 400, 0, 90])
+    groups = registry._groups(sizes, 800)
+    assert sorted(np.concatenate(groups).tolist()) == list(range(8)) and registry._groups(sizes[:0]) == []
+    assert all(len(g) == 1 or len(g) * sizes[g].max() <= 800 for g in groups)
