@@ -126,6 +126,33 @@ def test_shards_are_drawn(spark, sf):
     assert uses.exceptAll(other).count() > 0  # another seed takes other blocks
 
 
+@pytest.mark.parametrize("n", [1, 2, 3, 5, 8, 100, 1023, 1024, 1025])
+def test_permutation_is_undone(spark, n):
+    size, seed = F.lit(n).cast("long"), F.lit(77).cast("long")
+    got = spark.range(n).select("id", F.array(MX.permuted(F.col("id"), size, seed)).alias("y"), MX.inverse_turns(size, seed).alias("turns"))
+    assert got.where(MX.unpermuted(F.col("y"), F.col("turns"))[0] != F.col("id")).count() == 0
+
+
+@pytest.mark.parametrize("options", [{"block": 8, "shard_blocks": 100}, {"seed": 3, "shard_blocks": 16, "most": 2}])
+def test_taken_is_what_slots_take(spark, sf, options):
+    """Counting the slots at the ends of parts gives what the list of all slots gives."""
+    placed, uses, _, block = MX.mix_plan(table(spark, sf, "documents"), **options)
+    used = {(r["rn"], r["block"]): r["uses"] for r in uses.collect()}
+    want = collections.Counter()
+    for r in placed.collect():
+        for w in range(r["at"], r["at"] + r["size"]):
+            want[r["doc_id"]] += used.get((r["rn"], w // block), 0)
+    got = MX.mix(table(spark, sf, "documents"), **options).collect()
+    assert {r["doc_id"]: r["taken"] for r in got} == {r["doc_id"]: want[r["doc_id"]] for r in got}
+
+
+def test_blocks_of_larger_tables(spark):
+    """The size of a block does not depend on the size of the table."""
+    docs = spark.range(850).selectExpr("id AS doc_id", "repeat('w ', 5000) AS text", "'a' AS source")
+    placed, _, _, block = MX.mix_plan(docs)
+    assert placed.agg(F.sum("size")).first()[0] > 1 << 22 and block == 4
+
+
 def test_block_sizes():
     assert [MX.block_of(n) for n in (0, 1, 1 << 22, (1 << 22) + 1, 1 << 30, 1 << 40)] == [4, 4, 4, 8, 1024, 1024]
 
