@@ -65,3 +65,29 @@ def test_packets_refuse(spark):
     for bad in (one(1, 200, 10, 20), one(1, 0, -1, 5), one(1, 0, 0, L.EPOCH_TICKS << 28)):
         with pytest.raises(PySparkException):
             L.pack_words(bad).collect()
+
+
+def test_silent_channels_are_not_coded(spark, tmp_path):
+    """Sparse frames: as many numbers of pulses as active channels; scopes, escapes and queries on compressed data work too."""
+    import numpy as np
+    from pyspark.sql import functions as F
+
+    from hitcodec.operators import frames as FR
+    from hitcodec.session import ship_package
+
+    ship_package(spark)
+    for places in ([], [0], [5], [10**9], [0, 1, 2, 3], [7, 4096, 4097, 10**6]):
+        data = FR.pack_places(np.array(places, np.int64))
+        got, used = FR.unpack_places(data + b"\xff\x01", len(places))
+        assert got.tolist() == places and used == len(data)
+    n = 20_000
+    hits = spark.range(600).selectExpr("id div 4 AS event", "CAST(id * 7919 % 20000 AS INT) AS channel", "id * 10 AS rise", "id * 10 + 5 + id % 3 AS fall")
+    hits = hits.union(spark.range(40).selectExpr("3L", "CAST(19999 AS INT)", "id * 100", "id * 100 + 50"))
+    for scopes in (None, [k % 2 for k in range(n)]):
+        models = FR.fit_models(hits, n, scopes=scopes, sparse=True)
+        frames = FR.encode(hits, models, n, hide=True)
+        assert frames.agg(F.sum("pulses_n")).first()[0] == hits.select("event", "channel").distinct().count()
+        assert sorted(FR.decode(frames, models, n).collect()) == sorted(hits.collect())
+        assert FR.count_at_least(frames, models, "width", 6, n).first()[0] == hits.where("fall - rise >= 6").count()
+        size = 1 << models["pulses"]["coder"]["r"]
+        assert sorted(tuple(r) for r in FR.hidden(frames, models).collect()) == sorted((r["frame"], r["n_hits"] % size) for r in frames.collect())
