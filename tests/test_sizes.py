@@ -93,3 +93,26 @@ def test_frames_step_in_small_grids():
     groups = registry._groups(sizes, 800)
     assert sorted(np.concatenate(groups).tolist()) == list(range(8)) and registry._groups(sizes[:0]) == []
     assert all(len(g) == 1 or len(g) * sizes[g].max() <= 800 for g in groups)
+
+
+def test_stream_join_buffers_pieces(spark, tmp_path):
+    """Edges of several files meet; state is an entry for many events and not a row for each edge."""
+    import random
+
+    from hitcodec.session import ship_package
+    from hitcodec.streaming import streams as S
+
+    ship_package(spark)
+    draw, second = random.Random(5), 1_000_000
+    edges = sorted((draw.randrange(7200) * second, draw.randrange(90), draw.randrange(3), draw.random() < 0.5) for _ in range(3000))
+    edges += [(86_400 * second, 1, 1, True), (86_401 * second, 1, 1, False), (86_401 * second, 1, 1, False)]
+    schema = "tick long, event long, channel int, rising boolean"
+    for part in (edges[:1500], edges[1500:3000], edges[3000:]):
+        spark.createDataFrame(part, schema).coalesce(1).write.mode("append").parquet(str(tmp_path / "e"))
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "e"))
+    stream = stream.withColumn("at", F.timestamp_micros(F.col("tick") + S.START_2024))
+    got = S.run(S.rises_with_falls(stream), "append")
+    want = [(a[1], a[2], a[0], b[0]) for a in edges for b in edges if a[1:3] == b[1:3] and a[3] and not b[3] and 0 < b[0] - a[0] <= 600 * second]
+    assert sorted(map(tuple, got.collect())) == sorted(want) and len(want) > 100
+    held = S.rises_with_falls(stream)._jdf.queryExecution().analyzed().toString()
+    assert "FlatMapGroupsInPandasWithState" in held and "Join" not in held
