@@ -157,6 +157,18 @@ def test_block_sizes():
     assert [MX.block_of(n) for n in (0, 1, 1 << 22, (1 << 22) + 1, 1 << 30, 1 << 40)] == [4, 4, 4, 8, 1024, 1024]
 
 
+def test_words_come_from_the_slots(spark, sf, monkeypatch):
+    """What is taken are the blocks that slots were sent to: without some slots, their words are missing."""
+    docs, every = table(spark, sf, "documents"), MX.slots
+    taken = {r["doc_id"]: r["taken"] for r in MX.mix(docs).collect()}
+    monkeypatch.setattr(MX, "slots", lambda *args: every(*args).where("rn <> 1 and shard % 2 = 0"))
+    first = min(r["source"] for r in docs.select("source").collect())
+    less = MX.mix(docs).collect()
+    assert all(r["taken"] == 0 for r in less if r["source"] == first) and any(r["taken"] for r in less)
+    assert all(r["taken"] <= taken[r["doc_id"]] for r in less) and 0.3 < sum(r["taken"] for r in less) / sum(taken.values()) < 0.7
+    assert MX.mix_documents(docs).where(F.col("source") == first).count() == 0
+
+
 def test_mix_documents(docs, none, given, spark, sf):
     out = MX.mix_documents(docs, block=8)
     assert out.columns == docs.columns
