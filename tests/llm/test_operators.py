@@ -184,6 +184,12 @@ def test_mix_documents(docs, none, given, spark, sf):
     assert MX.mix(none).count() == 0 and MX.mix_documents(none).count() == 0
 
 
+def test_texts_are_dealt_once(docs):
+    """Documents meet what was decided on them in one exchange."""
+    plan = MX.mix_documents(docs, block=8)._jdf.queryExecution().executedPlan().toString()
+    assert len(re.findall(r"Exchange hashpartitioning\(_d", plan)) == 1
+
+
 # --- 2 token output
 
 
